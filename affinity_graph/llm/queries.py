@@ -6,14 +6,19 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import token_output
+from . import bin_packing, sentencepiece_codec, token_output, warc_archive
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_token_shards": token_output.query,
+        "op4_warc_archive": warc_archive.query,
+        "op6_sentencepiece": sentencepiece_codec.query,
+        "op8_best_fit_packing": bin_packing.query,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op4_warc_archive": warc_archive.ORACLE,
+    }
