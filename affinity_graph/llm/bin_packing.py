@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import load, public_path, shuffle_width, stored, text_pieces
-from .token_output import END_ID, TOKENIZER, ChunkEncoder
+from .token_output import END_ID, TOKENIZER, encoder
 
 CAPACITY, SLACK, GROUP_ITEMS = 4096, 8, 40_000
 
@@ -93,11 +93,10 @@ def cut_and_pack(docs: DataFrame, tokenizer_path: str, capacity: int, slack: int
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        encode, numbers, items = ChunkEncoder(tokenizer_path, end_id).encode, _numbers(0, TaskContext.get().partitionId()), []
-        for piece in text_pieces(batches):
+        encode, numbers, items = encoder(tokenizer_path, end_id).encode_all, _numbers(0, TaskContext.get().partitionId()), []
+        for piece in text_pieces(batches, limit=1 << 20):
             full = []
-            for doc_id, text in zip(piece.column("doc_id").to_pylist(), piece.column("text").to_pylist(), strict=True):
-                body = encode(text)
+            for doc_id, body in zip(piece.column("doc_id").to_pylist(), encode(piece.column("text").to_pylist()), strict=True):
                 n = len(body) // 4
                 for k, start in enumerate(range(0, n, capacity)):
                     length = min(capacity, n - start)

@@ -6,14 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bin_packing, sentencepiece_codec, token_output, warc_archive
+from . import bin_packing, quality_rules, sentencepiece_codec, token_output, url_templates, warc_archive
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_token_shards": token_output.query,
         "op4_warc_archive": warc_archive.query,
+        "op5_quality_rules": quality_rules.query,
         "op6_sentencepiece": sentencepiece_codec.query,
+        "op7_url_templates": url_templates.query,
         "op8_best_fit_packing": bin_packing.query,
     }
 
@@ -21,4 +23,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op4_warc_archive": warc_archive.ORACLE,
+        "op5_quality_rules": quality_rules.ORACLE,
+        "op7_url_templates": url_templates.ORACLE,
     }

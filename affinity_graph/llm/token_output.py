@@ -14,6 +14,8 @@ rows are kept, in an order fixed by the text's hash; an empty table gives an emp
 from __future__ import annotations
 
 import hashlib
+import os
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -34,40 +36,104 @@ NULL_ID = -(1 << 63)
 BLOCKS = "shard int, block int, dict_hash string, first_id long, last_id long, start long, tokens long, doc_ids binary, n_tokens binary, offsets binary, payload binary"
 
 
+#: A comma or full stop before a space that does not follow a letter, a digit or a space: it may be part of a longer pre-token.
+_CLUSTER = re.compile(r"[^\w ][.,] |_[.,] ")
+
+
 class ChunkEncoder:
     """Ids of whole texts by a fast tokenizer that drops white space: each distinct white-space-free chunk is encoded once.
 
-    Splitting at the six ASCII separators is exact here, as normalisation never joins across them and the
-    pre-tokenizer drops them. The table of chunks is bounded by ``limit`` entries and then begun anew.
-    """
+    Splitting at the six ASCII separators is exact here, as normalisation never joins across them and the pre-tokenizer
+    drops them. Latin-1 texts are first lower-cased, as the tokenizer does, and a comma or full stop between a letter or digit
+    and a space is parted from its word, as the pre-tokenizer does, so that fewer chunks are distinct. New chunks of letters
+    only are encoded many at a time: each is one pre-token, and ends where a piece with the word-end suffix does.
 
-    def __init__(self, path: str, end_id: int = END_ID, limit: int = 300_000):
-        import os
+    The table has two generations of at most ``limit`` chunks: when the young one is full the old one is dropped.
+    """
 
+    def __init__(self, path: str, end_id: int = END_ID, limit: int = 400_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.limit, self.table, self.end = limit, {"": b""}, np.array([end_id], "<u4").tobytes()
+        self.limit, self.table, self.old, self.end = limit, {"": b""}, {}, np.array([end_id], "<u4").tobytes()
+        suffix = getattr(self.tokenizer.model, "end_of_word_suffix", None)
+        vocabulary = self.tokenizer.get_vocab(with_added_tokens=True)
+        self.closes = np.zeros(max(vocabulary.values()) + 1, bool)
+        if suffix:
+            self.closes[[i for piece, i in vocabulary.items() if piece.endswith(suffix)]] = True
+
+    def _learn(self, fresh: list[str]) -> None:
+        if len(self.table) > self.limit:
+            self.old, self.table = self.table, {"": b""}
+        table, old, rest, letters = self.table, self.old, [], []
+        for c in fresh:
+            if c in old:
+                table[c] = old[c]
+            elif c.isalpha() and len(c) < 200:
+                letters.append(c)
+            else:
+                rest.append(c)
+        for lo in range(0, len(letters), 256):
+            part = letters[lo : lo + 256]
+            ids = np.array(self.tokenizer.encode(" ".join(part), add_special_tokens=False).ids, "<u4")
+            cuts = np.flatnonzero(self.closes[ids]) + 1
+            if len(cuts) != len(part) or cuts[-1] != len(ids):
+                rest += part
+                continue
+            body, at = ids.tobytes(), 0
+            for c, to in zip(part, (4 * cuts).tolist(), strict=True):
+                table[c] = body[at:to]
+                at = to
+        for c, e in zip(rest, self.tokenizer.encode_batch(rest, add_special_tokens=False), strict=True):
+            table[c] = np.array(e.ids, "<u4").tobytes()
 
     def encode(self, text: str | None) -> bytes:
         """All ids of the text and the end id, as little-endian unsigned 32-bit integers."""
+        return self.encode_all([text])[0]
+
+    def encode_all(self, texts: list[str | None]) -> list[bytes]:
+        chunks = [self._chunks(t) for t in texts]
+        get = self.table.get
+        found = [[*map(get, own)] for own in chunks]
+        fresh: dict[str, None] = {}
+        for own, got in zip(chunks, found, strict=True):
+            if None in got:
+                fresh.update((c, None) for c, x in zip(own, got, strict=True) if x is None)
+        if fresh:
+            self._learn(list(fresh))
+            get = self.table.get
+            for k, (own, got) in enumerate(zip(chunks, found, strict=True)):
+                if None in got:
+                    found[k] = [x if x is not None else get(c) for c, x in zip(own, got, strict=True)]
+        return [b"".join(got) + self.end for got in found]
+
+    @staticmethod
+    def _chunks(text: str | None) -> list[str]:
         if not text:
-            return self.end
+            return []
         for mark in "\n\t\r\x0b\x0c":
             if mark in text:
                 text = text.replace(mark, " ")
-        chunks = text.split(" ")
-        table = self.table
         try:
-            return b"".join([table[c] for c in chunks]) + self.end
-        except KeyError:
-            if len(table) > self.limit:
-                table = self.table = {"": b""}
-            fresh = [c for c in dict.fromkeys(chunks) if c not in table]
-            for c, e in zip(fresh, self.tokenizer.encode_batch(fresh, add_special_tokens=False), strict=True):
-                table[c] = np.array(e.ids, "<u4").tobytes()
-            return b"".join([table[c] for c in chunks]) + self.end
+            text.encode("latin-1")
+            if "<|" not in text:
+                text = text.lower()
+                if not _CLUSTER.search(text):
+                    text = text.replace(", ", " , ").replace(". ", " . ")
+        except UnicodeEncodeError:
+            pass
+        return text.split(" ")
+
+
+_encoders: dict[tuple[str, int], ChunkEncoder] = {}
+
+
+def encoder(path: str, end_id: int = END_ID) -> ChunkEncoder:
+    """This process's encoder, so that a reused Python worker keeps its table from task to task."""
+    if (path, end_id) not in _encoders:
+        _encoders[path, end_id] = ChunkEncoder(path, end_id)
+    return _encoders[path, end_id]
 
 
 def train_dictionary(samples: list[bytes], size: int = DICTIONARY_BYTES) -> bytes:
@@ -94,8 +160,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer_path: str, end_id: int =
     # Only ids meet in the top-k; texts of the chosen ones are fetched by a pushed-down filter.
     ids = [r[0] for r in docs.select("doc_id").where("doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE_DOCS).collect()]
     sample = docs.where(F.col("doc_id").isin(ids)).select(F.substring("text", 1, SAMPLE_CHARS).alias("text")).limit(SAMPLE_DOCS) if ids else None
-    encoder = ChunkEncoder(tokenizer_path, end_id)
-    content = train_dictionary(sorted(encoder.encode(r[0]) for r in sample.collect())) if sample is not None else b""
+    content = train_dictionary(sorted(encoder(tokenizer_path, end_id).encode_all([r[0] for r in sample.collect()]))) if sample is not None else b""
     dict_hash = hashlib.sha256(content).hexdigest()
     spark.createDataFrame([(dict_hash, bytearray(content))], "dict_hash string, content binary").coalesce(1).write.parquet(f"{path}/dictionary")
 
@@ -103,7 +168,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer_path: str, end_id: int =
         import zstandard
         from pyspark import TaskContext
 
-        encode = ChunkEncoder(tokenizer_path, end_id).encode
+        encode = encoder(tokenizer_path, end_id).encode_all
         squeeze = zstandard.ZstdCompressor(level=1, dict_data=_dictionary(content)).compress
         shard, block, start = TaskContext.get().partitionId(), 0, 0
         ids, counts, frames, held = [], [], [], 0
@@ -116,9 +181,8 @@ def write_shards(docs: DataFrame, path: str, tokenizer_path: str, end_id: int =
             names = [c.split()[0] for c in BLOCKS.split(", ")]
             return pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(values, kinds, strict=True)], names)
 
-        for piece in text_pieces(batches):
-            for doc_id, text in zip(piece.column("doc_id").to_pylist(), piece.column("text").to_pylist(), strict=True):
-                body = encode(text)
+        for piece in text_pieces(batches, limit=1 << 20):
+            for doc_id, body in zip(piece.column("doc_id").to_pylist(), encode(piece.column("text").to_pylist()), strict=True):
                 frames.append(squeeze(body))
                 ids.append(NULL_ID if doc_id is None else doc_id)
                 counts.append(len(body) // 4)
