@@ -37,7 +37,7 @@ BLOCKS = "shard int, block int, dict_hash string, first_id long, last_id long, s
 
 
 #: A comma or full stop before a space that does not follow a letter, a digit or a space: it may be part of a longer pre-token.
-_CLUSTER = re.compile(r"[^\w ][.,] |_[.,] ")
+_CLUSTER = re.compile(r"[.,] (?<![^\W_][.,] )(?<! [.,] )")
 
 
 class ChunkEncoder:
