@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bin_packing, fingerprints, quality_rules, secret_scan, sentencepiece_codec, substring_dedup, token_output, url_templates, warc_archive
+from . import bin_packing, fingerprints, near_dedup, quality_rules, secret_scan, sentencepiece_codec, substring_dedup, token_output, url_templates, warc_archive
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -19,6 +19,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_sentencepiece": sentencepiece_codec.query,
         "op7_url_templates": url_templates.query,
         "op8_best_fit_packing": bin_packing.query,
+        "op9_near_dedup": near_dedup.query,
         "op10_fingerprints": fingerprints.query,
     }
 
@@ -29,4 +30,5 @@ def oracle_sql() -> dict[str, str]:
         "op4_warc_archive": warc_archive.ORACLE,
         "op5_quality_rules": quality_rules.ORACLE,
         "op7_url_templates": url_templates.ORACLE,
+        "op9_near_dedup": near_dedup.ORACLE,
     }
