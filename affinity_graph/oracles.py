@@ -23,7 +23,8 @@ EDGES = {
     "supp_basket": _together("SELECT l_orderkey AS k, l_suppkey AS v FROM lineitem"),
     "cust_day": _together("SELECT o_orderdate::DATE AS k, o_custkey AS v FROM orders"),
     "user_next": _simple("SELECT lag(user_id) OVER (ORDER BY ts, event_id) AS src, user_id AS dst FROM events"),
-    "user_props": _simple("SELECT a.user_id AS src, b.user_id AS dst FROM events a JOIN events b ON a.event_type = b.event_type AND a.props = b.props AND a.ts >= b.ts AND a.ts <= b.ts + INTERVAL 1 HOUR"),
+    "user_props": _together("SELECT hash(event_type, props, date_trunc('hour', ts)) AS k, user_id AS v FROM events"),
+    "users_within": _simple("SELECT a.user_id AS src, b.user_id AS dst FROM events a JOIN events b ON a.event_type = b.event_type AND a.props = b.props AND a.ts >= b.ts AND a.ts <= b.ts + INTERVAL 1 HOUR"),
     "user_window": _together("SELECT time_bucket(INTERVAL 5 MINUTE, ts) AS k, user_id AS v FROM events"),
     "page_href": _simple(f"SELECT page_id * 2 AS src, {_hashed('href', 1)} AS dst FROM (SELECT page_id, {_HREF} AS href FROM pages)"),
     "host_href": _simple(f"SELECT {_hashed('host', 0)} AS src, {_hashed('href', 1)} AS dst FROM (SELECT regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host, {_HREF} AS href FROM pages)"),

@@ -61,12 +61,18 @@ def user_next(spark: SparkSession, d: str) -> DataFrame:
 
 
 def user_props(spark: SparkSession, d: str) -> DataFrame:
-    """Users with an event of the same type and properties within one hour: equi-join on time buckets, then the interval."""
+    """Users with an event of the same type and properties within one clock hour."""
+    e = table(spark, d, "events").select("event_type", "props", F.date_trunc("hour", "ts").alias("hour"), F.col("user_id").alias("v"))
+    return _together(e, "event_type", "props", "hour")
+
+
+def users_within(spark: SparkSession, d: str, seconds: int = 3600) -> DataFrame:
+    """Users with an event of the same type and properties at most ``seconds`` apart: equi-join on time buckets, then the interval."""
     e = table(spark, d, "events").select("event_type", "props", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"), F.col("user_id").alias("v"))
-    hour = 3_600_000_000
-    left = e.withColumn("bucket", F.expr(f"us div {hour}"))
+    width = seconds * 1_000_000
+    left = e.withColumn("bucket", F.expr(f"us div {width}"))
     right = left.select("event_type", "props", F.col("us").alias("us2"), F.col("v").alias("w"), F.explode(F.array("bucket", F.col("bucket") + 1)).alias("bucket"))
-    near = left.join(right, ["event_type", "props", "bucket"]).where((F.col("us") >= F.col("us2")) & (F.col("us") - F.col("us2") <= hour))
+    near = left.join(right, ["event_type", "props", "bucket"]).where((F.col("us") >= F.col("us2")) & (F.col("us") - F.col("us2") <= width))
     return to_simple(near.select(F.col("v").alias("src"), F.col("w").alias("dst")))
 
 
