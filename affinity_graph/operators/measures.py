@@ -36,8 +36,9 @@ def log_bin_starts(omega: float = 1.5, upto: int = 1 << 20) -> list[int]:
 
 def log_bins(spark: SparkSession, omega: float = 1.5, upto: int = 1 << 20) -> DataFrame:
     """(k, lo, hi)."""
-    s = log_bin_starts(omega, upto)
-    e = [*s[1:], math.ceil(s[-1] * omega) + 1]
+    s = log_bin_starts(omega, math.ceil(upto * omega) + 3)
+    s, e = s[:-1], s[1:]
+    s, e = [a for a in s if a <= upto], e[: sum(a <= upto for a in s)]
     return spark.createDataFrame([(k + 1, a, b - 1) for k, (a, b) in enumerate(zip(s, e, strict=True))], "k int, lo long, hi long")
 
 

@@ -33,3 +33,326 @@ EDGES = {
     "turn_chain": _simple("SELECT lag(conv_id * 1000 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS src, conv_id * 1000 + turn AS dst FROM conversations"),
     "vec_knn": _simple("""WITH e AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS v FROM embeddings), p AS (SELECT a.vec_id AS src, b.vec_id AS dst, round(list_cosine_similarity(a.v, b.v), 9) AS sim FROM e a JOIN e b ON a.vec_id <> b.vec_id) SELECT src, dst FROM p QUALIFY row_number() OVER (PARTITION BY src ORDER BY sim DESC, dst) <= 10"""),
 }
+
+
+# --- measures ----------------------------------------------------------------------------------------------------
+
+
+def _base(g: str) -> str:
+    return f"""e AS ({EDGES[g]}),
+nd AS (SELECT v, count(*)::BIGINT AS degree FROM (SELECT lo AS v FROM e UNION ALL SELECT hi FROM e) GROUP BY v),
+h AS (SELECT degree, count(*)::BIGINT AS n FROM nd GROUP BY degree)"""
+
+
+def _clustered(g: str) -> str:
+    return _base(g) + """,
+tri AS (SELECT a.lo AS x, a.hi AS y, b.hi AS z FROM e a JOIN e b ON a.hi = b.lo JOIN e c ON c.lo = a.lo AND c.hi = b.hi),
+cl AS (SELECT v, count(*)::BIGINT AS closed FROM (SELECT x AS v FROM tri UNION ALL SELECT y FROM tri UNION ALL SELECT z FROM tri) GROUP BY v),
+lc AS (SELECT nd.v, degree, coalesce(closed, 0)::BIGINT AS closed, CASE WHEN degree > 1 THEN coalesce(closed, 0)::DOUBLE / (degree * (degree - 1) / 2) ELSE 0 END AS c FROM nd LEFT JOIN cl USING (v)),
+cd AS (SELECT degree, count(*)::BIGINT AS n, sum(closed)::BIGINT AS closed, (count(*) * (degree * (degree - 1) // 2))::BIGINT AS wedges, avg(c) AS c_mean FROM lc GROUP BY degree),
+prof AS (SELECT degree, n, CASE WHEN wedges > 0 THEN closed::DOUBLE / wedges ELSE 0 END AS c FROM cd)"""
+
+
+def degrees(g: str) -> str:
+    return f"WITH {_base(g)} SELECT v, degree FROM nd"
+
+
+def degree_hist(g: str) -> str:
+    return f"WITH {_base(g)} SELECT degree, n FROM h"
+
+
+def size_from_hist(g: str) -> str:
+    return f"WITH {_base(g)} SELECT sum(n)::BIGINT AS nodes, (sum(degree * n) // 2)::BIGINT AS edges, max(degree) AS dmax, round(sum(degree * n)::DOUBLE / sum(n), 6) AS davg FROM h"
+
+
+def wedge_counts(g: str) -> str:
+    return f"WITH {_base(g)} SELECT degree, n, (n * (degree * (degree - 1) // 2))::BIGINT AS wedges FROM h"
+
+
+_SUMMARY = """SELECT '{g}' AS graph, '{model}' AS model, coalesce(sum(n), 0)::BIGINT AS nodes, coalesce(sum(degree * n) // 2, 0)::BIGINT AS edges, coalesce(max(degree), 0)::BIGINT AS dmax, round(coalesce(sum(degree * n)::DOUBLE / sum(n), 0), 6) AS davg,
+coalesce(sum(wedges), 0)::BIGINT AS wedges, coalesce(sum(closed) // 3, 0)::BIGINT AS triangles, round(coalesce(sum(closed)::DOUBLE / nullif(sum(wedges), 0), 0), 6) AS gcc FROM cd"""
+
+
+def summary(g: str, model: str = "original") -> str:
+    return f"WITH {_clustered(g)} {_SUMMARY.format(g=g, model=model)}"
+
+
+def clustering(g: str) -> str:
+    return f"WITH {_clustered(g)} SELECT degree, n, closed, wedges, round(CASE WHEN wedges > 0 THEN closed::DOUBLE / wedges ELSE 0 END, 6) AS c, round(c_mean, 6) AS c_mean FROM cd"
+
+
+def local(g: str) -> str:
+    return f"WITH {_clustered(g)} SELECT v, degree, closed, round(c, 6) AS c FROM lc"
+
+
+def triangle_rows(g: str) -> str:
+    return f"WITH {_clustered(g)} SELECT x AS a, y AS b, z AS c FROM tri"
+
+
+def gcc(g: str) -> str:
+    return f"WITH {_clustered(g)} SELECT '{g}' AS graph, round(coalesce(sum(c * n * (degree * (degree - 1) // 2)) / nullif(sum(n * (degree * (degree - 1) // 2)), 0), 0), 6) AS gcc FROM prof"
+
+
+def order(g: str) -> str:
+    return f"WITH {_base(g)} SELECT v, degree, row_number() OVER (ORDER BY CASE WHEN degree = 1 THEN 4611686018427387904 ELSE degree END, v)::BIGINT AS position FROM nd"
+
+
+def cumulative(g: str) -> str:
+    return f"WITH {_base(g)} SELECT degree, (sum(n) OVER (ORDER BY degree))::BIGINT AS cum_le, (sum(n) OVER (ORDER BY degree ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING))::BIGINT AS cum_ge FROM h"
+
+
+#: Bin k begins at ceil((w^(k-1) - 1) / (w - 1)) + 1; repeated starts are one bin.
+_BINS = """bs AS (SELECT DISTINCT ceil(round((pow(1.5, k - 1) - 1) / 0.5, 9))::BIGINT + 1 AS lo FROM range(1, 41) r(k)),
+bn AS (SELECT row_number() OVER (ORDER BY lo)::INTEGER AS k, lo, lead(lo) OVER (ORDER BY lo) - 1 AS hi FROM bs)"""
+
+
+def binned(g: str) -> str:
+    return f"WITH {_clustered(g)}, {_BINS} SELECT k, lo, hi, sum(n)::BIGINT AS n, round(avg(c), 6) AS c FROM prof JOIN bn ON degree BETWEEN lo AND hi GROUP BY k, lo, hi"
+
+
+def bins() -> str:
+    return f"WITH {_BINS} SELECT k, lo, hi FROM bn WHERE lo <= 3000"
+
+
+def roughness(g: str) -> str:
+    return f"WITH {_base(g)} SELECT * FROM (SELECT degree, round(lag(ln(n)) OVER w - 2 * ln(n) + lead(ln(n)) OVER w, 6) AS second_difference FROM h WINDOW w AS (ORDER BY degree)) WHERE second_difference IS NOT NULL"
+
+
+# --- plan --------------------------------------------------------------------------------------------------------
+
+FIXTURE = "prof AS (SELECT degree::BIGINT AS degree, n::BIGINT AS n, CASE WHEN degree > 1 THEN 0.9::DOUBLE * exp(-0.1::DOUBLE * (degree - 1)) ELSE 0 END AS c FROM (VALUES (1,26),(2,20),(3,10),(4,6),(5,4),(6,3),(7,2),(8,1),(9,1)) t(degree, n))"
+
+
+def planned(head: str, beta: float = 1.0) -> str:
+    """CTEs up to pd (degrees) and pg (groups): the scan as a recursive query over distinct degrees."""
+
+    def rho(c: str, size: str) -> str:
+        return f"CASE WHEN {size} < 2 THEN 0::DOUBLE WHEN sqrt(least(1, greatest(0, {c}))) >= 1 THEN 1 - 1 / ({size} * ({size} - 1))::DOUBLE ELSE sqrt(least(1, greatest(0, {c}))) END"
+
+    return f"""{head},
+ir AS (SELECT degree, n, c, (1 + coalesce(sum(n) OVER (ORDER BY CASE WHEN degree = 1 THEN 4611686018427387904 ELSE degree END ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::BIGINT AS first_node,
+  coalesce(sum(n) OVER (ORDER BY degree ROWS BETWEEN 1 FOLLOWING AND UNBOUNDED FOLLOWING), 0)::BIGINT AS n_above FROM prof),
+iq AS (SELECT *, row_number() OVER (ORDER BY degree) AS rn FROM ir WHERE degree > 1),
+sc AS (
+  SELECT 0::BIGINT AS rn, 0::BIGINT AS slots, 0::DOUBLE AS local, 0::BIGINT AS g, 0::BIGINT AS degree, 0::BIGINT AS first_node, 0::BIGINT AS n, 0::BIGINT AS fill, 0::DOUBLE AS w_fill, 0::DOUBLE AS w_bulk,
+    0::BIGINT AS m1, 0::BIGINT AS b1, 0::BIGINT AS s1, 0::DOUBLE AS r1, 0::BIGINT AS m2, 0::BIGINT AS s2, 0::DOUBLE AS r2
+  UNION ALL
+  SELECT rn, CASE WHEN bulk = 0 THEN slots0 - fill WHEN m2 > 0 THEN s2 - m2 ELSE b1 * s1 - m1 END, CASE WHEN bulk = 0 THEN local0 WHEN m2 > 0 THEN (s2 - 1) * r2 ELSE (s1 - 1) * r1 END,
+    g0 + (m1 > 0)::BIGINT + (m2 > 0)::BIGINT, degree, first_node, n, fill, fill * (degree - local0) / 2, m1 * (degree - (s1 - 1) * r1) / 2 + CASE WHEN m2 > 0 THEN m2 * (degree - (s2 - 1) * r2) / 2 ELSE 0 END, m1, b1, s1, r1, m2, s2, r2
+  FROM (SELECT *, {rho("c", "s1")} AS r1, {rho("c", "s2")} AS r2
+    FROM (SELECT *, CASE WHEN bulk = 0 THEN 0 WHEN whole_fits OR blocks = 1 THEN bulk ELSE bulk // size * size END AS m1, CASE WHEN bulk = 0 THEN 0 WHEN whole_fits OR blocks = 1 THEN blocks ELSE bulk // size END AS b1,
+        CASE WHEN bulk = 0 THEN 0 WHEN whole_fits OR blocks > 1 THEN size ELSE remain END AS s1, CASE WHEN bulk = 0 OR whole_fits OR blocks = 1 THEN 0 ELSE bulk - bulk // size * size END AS m2,
+        CASE WHEN bulk = 0 OR whole_fits OR blocks = 1 THEN 0 ELSE remain - bulk // size * size END AS s2
+      FROM (SELECT *, blocks * size <= remain AS whole_fits
+        FROM (SELECT q.rn, q.degree, q.first_node, q.n, q.c, least(s.slots, q.n) AS fill, q.n - least(s.slots, q.n) AS bulk, q.n - least(s.slots, q.n) + q.n_above AS remain, q.degree + 1 AS size,
+            (q.n - least(s.slots, q.n) + q.degree) // (q.degree + 1) AS blocks, s.slots AS slots0, s.local AS local0, s.g AS g0 FROM sc s JOIN iq q ON q.rn = s.rn + 1)))))
+,
+pd0 AS (SELECT degree, first_node, n, fill AS n_fill, w_fill, w_bulk FROM sc WHERE rn > 0 UNION ALL SELECT degree, first_node, n, floor({beta} * n + 0.5)::BIGINT, n / 2::DOUBLE, 0 FROM ir WHERE degree = 1),
+pd AS (SELECT *, w_fill + w_bulk AS w, CASE WHEN w_fill + w_bulk > 0 THEN w_fill / (w_fill + w_bulk) ELSE 0 END AS r FROM pd0),
+pg0 AS (SELECT g - (m2 > 0)::BIGINT AS g, degree, first_node + fill AS first_node, b1 AS blocks, s1 AS block_size, r1 AS rho FROM sc WHERE m1 > 0
+  UNION ALL SELECT g, degree, first_node + fill + b1 * s1, 1, s2, r2 FROM sc WHERE m2 > 0),
+pg AS (SELECT *, CASE WHEN block_size > 1 THEN -blocks * (block_size * (block_size - 1) // 2) * ln(1 - rho) ELSE 0 END AS w FROM pg0)"""
+
+
+def plan_degree(g: str) -> str:
+    head = FIXTURE if g == "fixture73" else _clustered(g)
+    return f"WITH RECURSIVE {planned(head)} SELECT '{g}' AS graph, degree, first_node, n, n_fill, round(w_fill, 6) AS w_fill, round(w_bulk, 6) AS w_bulk, round(w, 6) AS w, round(r, 6) AS r FROM pd"
+
+
+def plan_group(g: str) -> str:
+    head = FIXTURE if g == "fixture73" else _clustered(g)
+    return f"WITH RECURSIVE {planned(head)} SELECT '{g}' AS graph, g::INTEGER AS g, degree, first_node, blocks, block_size, round(rho, 6) AS rho, round(w, 6) AS w FROM pg"
+
+
+def plan_ranges(g: str) -> str:
+    return f"WITH RECURSIVE {planned(_clustered(g))} SELECT degree, n, first_node, n_above FROM ir"
+
+
+def expected_edges(g: str) -> str:
+    return f"WITH RECURSIVE {planned(_clustered(g))} SELECT round((SELECT sum(blocks * block_size * (block_size - 1) / 2 * rho) FROM pg), 6) AS local, round((SELECT sum(w) FROM pd), 6) AS global, round((SELECT sum(blocks * block_size * (block_size - 1) / 2 * rho) FROM pg) + (SELECT sum(w) FROM pd), 6) AS edges"
+
+
+def plan_cells(g: str) -> str:
+    return f"WITH RECURSIVE {planned(_clustered(g))} SELECT (SELECT count(*) * 5 FROM pd)::BIGINT AS degree_cells, (SELECT count(*) * 4 FROM pg)::BIGINT AS group_cells, (SELECT max(degree) * 10 FROM pd)::BIGINT AS bound"
+
+
+def expanded_nodes() -> str:
+    return f"WITH RECURSIVE {planned(FIXTURE)} SELECT 'fixture73' AS graph, v, degree, v < first_node + n_fill AS filler FROM (SELECT *, unnest(range(first_node, first_node + n)) AS v FROM pd)"
+
+
+def expanded_blocks() -> str:
+    return f"WITH RECURSIVE {planned(FIXTURE)} SELECT 'fixture73' AS graph, g::INTEGER AS g, k AS block, (first_node + k * block_size)::BIGINT AS first_node, (first_node + (k + 1) * block_size - 1)::BIGINT AS last_node, degree FROM (SELECT *, unnest(range(0, blocks)) AS k FROM pg)"
+
+
+# --- draws and generated edges through the portable uniforms --------------------------------------------------------
+
+
+def _cumulated(source: str, key: str, keep: str) -> str:
+    return f"""(SELECT bin, {keep}, (run - q)::DOUBLE / total::DOUBLE AS lo, run::DOUBLE / total::DOUBLE AS hi FROM (SELECT *, sum(q) OVER (ORDER BY bin) AS run, sum(q) OVER () AS total FROM (SELECT {key} AS bin, {keep}, greatest(w, 0)::DECIMAL(28,9) AS q FROM {source}) WHERE q > 0))"""
+
+
+def _u(seed: int, stream: int, id_: str = "edge_id") -> str:
+    from .functions.rng import duckdb_uniform
+
+    return duckdb_uniform(seed, id_, stream)
+
+
+def _below(u: str, n: str) -> str:
+    return f"least(floor({u} * ({n})::DOUBLE)::BIGINT, ({n})::BIGINT - 1)"
+
+
+def generated(g: str, beta: float, seed: int, mode: str = "independent") -> str:
+    """CTEs up to gen (edge_id, phase, a, b)."""
+    head = planned(_clustered(g), beta)
+    if mode == "independent":
+        ids = f"""ids AS (SELECT i AS edge_id, {_u(seed, 0, "i")} < (SELECT w1 / (w1 + w2) FROM tot) AS is_local FROM range((SELECT floor(w1 + w2 + 0.5)::BIGINT FROM tot)) t(i))"""
+    else:
+        ids = """ids AS (SELECT i AS edge_id, i < (SELECT floor(w1 + 0.5) FROM tot) AS is_local FROM range((SELECT (floor(w1 + 0.5) + floor(w2 + 0.5))::BIGINT FROM tot)) t(i))"""
+
+    def end(name: str, s: int) -> str:
+        return f"{name} AS (SELECT edge_id, first_node + CASE WHEN fu < r THEN {_below('mu', 'n_fill')} ELSE n_fill + {_below('mu', 'n_bulk')} END AS v FROM (SELECT edge_id, {_u(seed, s)} AS u, {_u(seed, s + 1)} AS fu, {_u(seed, s + 2)} AS mu FROM ids WHERE NOT is_local) x JOIN dd ON u >= lo AND u < hi)"
+
+    return f"""{head},
+tot AS (SELECT (SELECT coalesce(sum(w), 0) FROM pg) AS w1, (SELECT coalesce(sum(w), 0) FROM pd) AS w2),
+gd AS {_cumulated("pg", "g", "first_node, blocks, block_size")},
+dd AS {_cumulated("(SELECT *, greatest(n - n_fill, 0) AS n_bulk FROM pd)", "degree", "first_node, n_fill, n_bulk, r")},
+{ids},
+lo1 AS (SELECT edge_id, first_node + {_below("bu", "blocks")} * block_size AS base, {_below("iu", "block_size")} AS i, {_below("ju", "block_size - 1")} AS j
+  FROM (SELECT edge_id, {_u(seed, 1)} AS u, {_u(seed, 2)} AS bu, {_u(seed, 3)} AS iu, {_u(seed, 4)} AS ju FROM ids WHERE is_local) x JOIN gd ON u >= lo AND u < hi),
+{end("ea", 5)}, {end("eb", 8)},
+gen AS (SELECT edge_id, 1 AS phase, base + i AS a, base + j + (j >= i)::BIGINT AS b FROM lo1 UNION ALL SELECT ea.edge_id, 2, ea.v, eb.v FROM ea JOIN eb USING (edge_id))"""
+
+
+_UNIQUE = "SELECT DISTINCT least(a, b)::BIGINT AS lo, greatest(a, b)::BIGINT AS hi FROM gen WHERE a <> b"
+
+
+def gen_rows(g: str, beta: float, seed: int, phase: int) -> str:
+    return f"WITH RECURSIVE {generated(g, beta, seed)} SELECT edge_id::BIGINT AS edge_id, phase::TINYINT AS phase, a::BIGINT AS a, b::BIGINT AS b FROM gen WHERE phase = {phase}"
+
+
+def gen_edges(g: str, beta: float, seed: int, mode: str = "independent") -> str:
+    return f"WITH RECURSIVE {generated(g, beta, seed, mode)} {_UNIQUE}"
+
+
+def gen_count(g: str, beta: float, seed: int) -> str:
+    return f"WITH RECURSIVE {generated(g, beta, seed)} SELECT least(a, b)::BIGINT AS lo, greatest(a, b)::BIGINT AS hi, count(*)::BIGINT AS times FROM gen WHERE a <> b GROUP BY 1, 2"
+
+
+def _of_edges(inner: str, tail: str) -> str:
+    """Measures on generated edges: the graph CTEs with ``e`` replaced."""
+    body = _clustered("turn_chain").split("nd AS", 1)[1]
+    return f"WITH e AS ({inner}),\nnd AS{body} {tail}"
+
+
+def clone_summary(g: str, beta: float, seed: int) -> str:
+    return _of_edges(gen_edges(g, beta, seed), _SUMMARY.format(g=g, model="model"))
+
+
+def clone_profile(g: str, beta: float, seed: int) -> str:
+    return _of_edges(gen_edges(g, beta, seed), f"SELECT '{g}' AS graph, degree, n, round(c, 6) AS c FROM prof")
+
+
+def repeat_ratio(g: str, beta: float, seed: int) -> str:
+    one = "SELECT phase::INTEGER AS phase, count(*)::BIGINT AS generated, count(DISTINCT CASE WHEN a <> b THEN least(a, b)::VARCHAR || '-' || greatest(a, b)::VARCHAR END)::BIGINT AS u FROM gen GROUP BY phase"
+    return f"WITH RECURSIVE {generated(g, beta, seed)}, x AS ({one} UNION ALL SELECT 0, count(*), count(DISTINCT CASE WHEN a <> b THEN least(a, b)::VARCHAR || '-' || greatest(a, b)::VARCHAR END) FROM gen) SELECT phase::INTEGER AS phase, generated::BIGINT AS generated, u::BIGINT AS \"unique\", round(generated::DOUBLE / nullif(u, 0), 6) AS ratio FROM x"
+
+
+def blowup(g: str, beta: float, seed: int) -> str:
+    return f"""WITH RECURSIVE {generated(g, beta, seed)}, ue AS ({_UNIQUE}), dg AS (SELECT v, count(*) AS degree FROM (SELECT lo AS v FROM ue UNION ALL SELECT hi FROM ue) GROUP BY v),
+one AS (SELECT first_node, n_fill FROM pd WHERE degree = 1), hit AS (SELECT dg.degree FROM dg JOIN one ON v >= first_node AND v < first_node + n_fill)
+SELECT n_fill::BIGINT AS pool, (n_fill - (SELECT count(*) FROM hit))::BIGINT AS unused, (SELECT count(*) FROM hit WHERE degree = 1)::BIGINT AS once, (SELECT count(*) FROM hit WHERE degree > 1)::BIGINT AS more FROM one"""
+
+
+def draw_rows(g: str, seed: int, rows: int) -> str:
+    return f"""WITH {_base(g)}, dist AS {_cumulated("(SELECT degree, n, degree * n::DOUBLE AS w FROM h)", "degree", "n")}
+SELECT i::BIGINT AS edge_id, bin FROM (SELECT i, {_u(seed, 5, "i")} AS u FROM range({rows}) t(i)) JOIN dist ON u >= lo AND u < hi"""
+
+
+def coin_rows(share: float, seed: int, rows: int) -> str:
+    return f"SELECT i::BIGINT AS edge_id, {_u(seed, 0, 'i')} < {share} AS local FROM range({rows}) t(i)"
+
+
+def chung_lu(g: str, beta: float, seed: int) -> str:
+    def end(name: str, s: int, t: int) -> str:
+        return f"{name} AS (SELECT edge_id, first_node + {_below('mu', 'pool')} AS v FROM (SELECT i AS edge_id, {_u(seed, s, 'i')} AS u, {_u(seed, t, 'i')} AS mu FROM range((SELECT floor(sum(w) / 2 + 0.5)::BIGINT FROM cls)) r(i)) x JOIN dist ON u >= lo AND u < hi)"
+
+    return f"""WITH {_base(g)}, cls AS (SELECT degree, pool, w, 1 + coalesce(sum(pool) OVER (ORDER BY CASE WHEN degree = 1 THEN 4611686018427387904 ELSE degree END ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS first_node
+  FROM (SELECT degree, CASE WHEN degree = 1 THEN floor({beta} * n + 0.5) ELSE n END::BIGINT AS pool, degree::DOUBLE * n AS w FROM h)),
+dist AS {_cumulated("cls", "degree", "first_node, pool")}, {end("ea", 5, 7)}, {end("eb", 8, 10)},
+gen AS (SELECT ea.v AS a, eb.v AS b FROM ea JOIN eb USING (edge_id)) {_UNIQUE}"""
+
+
+def chung_lu_expected(g: str) -> str:
+    return f"WITH {_base(g)}, s AS (SELECT sum(degree * n)::DOUBLE AS stubs FROM h) SELECT a.degree AS degree_a, b.degree AS degree_b, round(CASE WHEN a.degree = b.degree THEN 1 ELSE 2 END * (a.degree * a.n * b.degree * b.n) / stubs / 2, 6) AS expected FROM h a JOIN h b ON a.degree <= b.degree, s"
+
+
+def chung_lu_pairs(g: str, seed: int) -> str:
+    from .functions.rng import duckdb_uniform
+
+    return f"WITH {_base(g)}, s AS (SELECT sum(degree)::DOUBLE AS stubs FROM nd) SELECT x.v AS lo, y.v AS hi FROM nd x JOIN nd y ON x.v < y.v, s WHERE {duckdb_uniform(seed, 'x.v || chr(45) || y.v', 14)} < least(1, x.degree * y.degree / stubs)"
+
+
+def erdos_renyi_pairs(n: int, rho: float, seed: int) -> str:
+    return f"SELECT x.i + 1 AS lo, y.i + 1 AS hi FROM range({n}) x(i) JOIN range({n}) y(i) ON x.i < y.i WHERE {_u(seed, 14, '(y.i * (y.i - 1) // 2 + x.i)')} < {rho}"
+
+
+def kronecker(levels: int, edges: int, initiator: tuple[float, ...], seed: int) -> str:
+    p = [x / sum(initiator) for x in initiator]
+    cuts = (repr(p[0]), repr(p[0] + p[1]), repr(p[0] + p[1] + p[2]))
+    a, b = [], []
+    for level in range(levels):
+        u = _u(seed, 100 + level, "i")
+        a.append(f"({u} >= {cuts[1]}::DOUBLE)::BIGINT * {1 << (levels - 1 - level)}")
+        b.append(f"(({u} >= {cuts[0]}::DOUBLE AND {u} < {cuts[1]}::DOUBLE) OR {u} >= {cuts[2]}::DOUBLE)::BIGINT * {1 << (levels - 1 - level)}")
+    return f"WITH gen AS (SELECT {' + '.join(a)} AS a, {' + '.join(b)} AS b FROM range({edges}) t(i)) {_UNIQUE}"
+
+
+# --- idealized profiles -----------------------------------------------------------------------------------------------
+
+
+def _law(kind: str, p: tuple[float, ...], d: str = "degree") -> str:
+    return f"pow({d}::DOUBLE, -{p[0]}::DOUBLE)" if kind == "dpl" else f"exp(-pow(ln({d}::DOUBLE) / {p[0]}::DOUBLE, {p[1]}::DOUBLE))"
+
+
+def ideal(kind: str, p: tuple[float, ...], dmax: int) -> str:
+    return f"WITH r AS (SELECT degree::BIGINT AS degree, {_law(kind, p)} AS f FROM range(1, {dmax + 1}) t(degree)) SELECT degree, round(f / (SELECT sum(f) FROM r), 9) AS p FROM r"
+
+
+def ideal_moments(kind: str, p: tuple[float, ...], dmax: int) -> str:
+    return f"WITH r AS (SELECT degree, {_law(kind, p)} AS f FROM range(1, {dmax + 1}) t(degree)) SELECT round(sum(degree * f) / sum(f), 6) AS davg, round(ln(max_by(f, degree) / sum(f)), 6) AS log_p_top FROM r"
+
+
+def fit_grid(kind: str, names: list[str], rows: list[tuple[float, ...]], davg: float, dmax: int) -> str:
+    values = ", ".join("(" + ", ".join(f"{x}::DOUBLE" for x in r) + ")" for r in rows)
+    law = "pow(d::DOUBLE, -gamma)" if kind == "dpl" else "exp(-pow(ln(d::DOUBLE) / alpha, delta))"
+    return f"WITH c({', '.join(names)}) AS (VALUES {values}), x AS (SELECT {', '.join(names)}, sum({law} * d) / sum({law}) AS m FROM c, range(1, {dmax + 1}) t(d) GROUP BY ALL) SELECT {', '.join(names)}, round(m, 6) AS davg, round(abs(ln(m / {davg})), 6) AS loss FROM x"
+
+
+def ideal_clustering(g: str, c_max: float, xi: float) -> str:
+    return f"WITH {_base(g)} SELECT degree, n, round(CASE WHEN degree >= 2 THEN {c_max}::DOUBLE * exp(-(degree - 1) * {xi}::DOUBLE) ELSE 0 END, 6) AS c FROM h"
+
+
+def ideal_gcc(g: str, c_max: float, xi: float) -> str:
+    return f"WITH {_base(g)}, p AS (SELECT n * (degree * (degree - 1) // 2) AS w, CASE WHEN degree >= 2 THEN {c_max}::DOUBLE * exp(-(degree - 1) * {xi}::DOUBLE) ELSE 0 END AS c FROM h) SELECT 'ideal' AS graph, round(sum(c * w) / sum(w), 6) AS gcc FROM p"
+
+
+def ideal_noisy(g: str, c_max: float, xi: float, seed: int) -> str:
+    mean = f"{c_max}::DOUBLE * exp(-(degree - 1) * {xi}::DOUBLE)"
+    normal = f"sqrt(-2 * ln(1 - {_u(seed, 11, 'degree')})) * cos({2 * 3.141592653589793!r}::DOUBLE * {_u(seed, 12, 'degree')})"
+    return f"WITH {_base(g)} SELECT degree, n, round(CASE WHEN degree >= 2 THEN least(1, greatest(0, {mean} + least(0.01, {mean} / 2) * {normal})) ELSE 0 END, 6) AS c FROM h"
+
+
+def dgln_study(nodes: int, dmax: int) -> str:
+    return f"WITH c(alpha, delta) AS (VALUES (1.5::DOUBLE, 2::DOUBLE), (2, 1.5), (2, 2), (2, 2.5), (2.5, 2)), r AS (SELECT alpha, delta, d, exp(-pow(ln(d::DOUBLE) / alpha, delta)) AS f FROM c, range(1, {dmax + 1}) t(d)), s AS (SELECT alpha, delta, sum(f) AS total FROM r GROUP BY ALL) SELECT alpha, delta, d::BIGINT AS degree, round(f / total * {nodes}, 6) AS n FROM r JOIN s USING (alpha, delta) WHERE (d & (d - 1)) = 0"
+
+
+def coupon_fixed(trials: int, seed: int) -> str:
+    return f"WITH t AS (SELECT i AS trial, {_below(_u(seed, 3, '(i * 1000 + s)'), '45')} AS code FROM range({trials}) r(i), range(1, 32) q(s)), u AS (SELECT trial, count(DISTINCT code) AS k FROM t GROUP BY trial) SELECT k::BIGINT AS \"unique\", count(*)::BIGINT AS trials FROM u GROUP BY k"
+
+
+def compared(g: str, beta: float, seed: int) -> str:
+    """Distance of the clone's degree distribution from the original's."""
+    clone = gen_edges(g, beta, seed)
+    return f"""WITH {_base(g)}, ce AS ({clone}), ch AS (SELECT degree, count(*) AS n FROM (SELECT v, count(*) AS degree FROM (SELECT lo AS v FROM ce UNION ALL SELECT hi FROM ce) GROUP BY v) GROUP BY degree),
+s AS (SELECT degree, sum(x) AS x, sum(y) AS y FROM (SELECT degree, n AS x, 0 AS y FROM h UNION ALL SELECT degree, 0, n FROM ch) GROUP BY degree)
+SELECT round(max(gap), 6) AS ks FROM (SELECT abs(sum(x) OVER (ORDER BY degree)::DOUBLE / sum(x) OVER () - sum(y) OVER (ORDER BY degree)::DOUBLE / sum(y) OVER ()) AS gap FROM s)"""
