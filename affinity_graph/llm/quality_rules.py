@@ -97,7 +97,10 @@ def judged(docs: DataFrame, max_loss: int = MAX_LOSS_PERCENT) -> DataFrame:
 
 def clean(docs: DataFrame, max_loss: int = MAX_LOSS_PERCENT) -> DataFrame:
     """The documents that are kept, without their failing lines, in the columns of ``docs``."""
-    kept = judged(docs, max_loss).where("kept").withColumn("text", F.array_join("q_kept_lines", "\n"))
+    # A filter would be pushed through the projections and every measure worked out again inside it; one on the output of an
+    # outer generator stays above them.
+    one = F.explode_outer(F.when(F.col("kept"), F.array(F.lit(True))).otherwise(F.array().cast("array<boolean>")))
+    kept = judged(docs, max_loss).select(*docs.columns, "q_kept_lines", one.alias("q_one")).where("q_one IS NOT NULL").withColumn("text", F.array_join("q_kept_lines", "\n"))
     if "n_chars" in docs.columns:
         kept = kept.withColumn("n_chars", F.length("text").cast("long"))
     return kept.select(*docs.columns)
