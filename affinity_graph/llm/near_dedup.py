@@ -1,15 +1,18 @@
 """Near-duplicate groups by b-bit MinHash, with every link confirmed on full shingle sets.
 
-1. Each text's set of word shingles is hashed (64 bits); ``HASHES`` minima make ``BANDS`` band keys, and the low four bits of 128
-   of them the packed signature. Texts with equal sets (a 128-bit digest) are one representative from here on.
+1. Each text's set of word shingles is hashed (64 bits); 200 minima make ``BANDS`` band keys, and the low two bits of ``HASHES``
+   minima the packed signature. Texts with equal sets (a 128-bit digest) are one representative from here on.
 2. First round: in each band bucket every representative is paired with the bucket's smallest. Pairs whose sizes allow the
    threshold and whose bit counts, corrected for chance collisions, come within five deviations of it are confirmed on full
    sets; connected components of the confirmed links follow. This folds a large group of copies with one pair a member.
-3. Second round: of buckets that still hold several components, all pairs of different components are looked at (buckets over
-   ``BLOCK`` members in pairs of blocks, each block pair a unit of work of its own), filtered and confirmed likewise. No bucket,
-   partner or candidate is capped: only pairs already in one component are passed over.
+3. Second round: a bucket that still holds several components gives the forest of its best estimated pairs between them, one
+   pair a member at most, which finds the text that others were copied from wherever it is. Confirmed links join components.
+4. Third round: all pairs of different components that are left in a bucket are looked at, each in the first bucket it shares;
+   full sets go to the buckets where a pair passes the filter, and only links come out. Nothing is capped: only pairs
+   already in one component are passed over.
 
-At a similarity of 0.8 a link shares no band with probability 1.3e-7 and fails the bit count with 3e-7.
+Buckets over ``BLOCK`` members are worked on in pairs of blocks, each a unit of its own. At a similarity of 0.8 a link shares
+no band with probability 1.3e-7 and fails the bit count with 3e-7.
 
 Nulls and edges: a text without words, or null, has an empty set and is linked with nothing; one with fewer words than a shingle
 has its whole sequence as one; a null doc_id is linked with nothing and kept; rows that repeat a doc_id must be copies and
@@ -28,15 +31,14 @@ from pyspark.sql import functions as F
 from .common import load, mix64, pack_ints, shuffle_width, span_hashes, stored, text_buffer, text_pieces, unpack_ints, window_hashes, word_spans
 
 PERCENT = 80
-BANDS, ROWS = 40, 5
-HASHES, SIGNED = BANDS * ROWS, 128
-#: Equal four-bit entries that a link of the threshold has at least, five deviations below the mean of 104 of 128.
-LEAST_EQUAL = 81
-BLOCK = 2048
+BANDS, ROWS, HASHES = 40, 5, 1024
+#: Equal two-bit entries that a link of the threshold has at least, five deviations below the mean of 870 of 1024.
+LEAST_EQUAL = 813
+PER_LONG, LOW_BITS = 32, 0x5555555555555555
+BLOCK = 1024
 _RNG = np.random.Generator(np.random.PCG64(4242))
-_ODD = _RNG.integers(0, 2**63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_ODD = _RNG.integers(0, 2**31, HASHES, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
 _MIX = _RNG.integers(0, 2**63, ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_ONES = np.uint64(0x1111111111111111)
 
 
 def shingle_sets(batch: pa.RecordBatch, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -67,42 +69,43 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
             has = np.flatnonzero(sizes)
             d = np.zeros((2, len(sizes)), np.uint64)
             bands = np.zeros((len(has), BANDS), np.uint64)
-            packed = np.zeros((len(has), SIGNED // 16), np.uint64)
+            packed = np.zeros((len(has), HASHES // PER_LONG), np.uint64)
             if len(has):
                 begins = cuts[:-1][has]
                 d[0, has] = np.add.reduceat(mix64(values ^ np.uint64(0x51ED270B)), begins)
                 d[1, has] = np.add.reduceat(mix64(values ^ np.uint64(0xC3A5C85C97CB3127)), begins)
+                short = (values >> np.uint64(32)).astype(np.uint32)
+                turned = np.empty_like(short)
                 for k in range(HASHES):
-                    least = np.minimum.reduceat(values * _ODD[k], begins)
-                    bands[:, k // ROWS] += (least >> np.uint64(8)) * _MIX[k % ROWS]
-                    if k < SIGNED:
-                        packed[:, k // 16] |= ((least >> np.uint64(20)) & np.uint64(15)) << np.uint64(4 * (k % 16))
+                    np.multiply(short, _ODD[k], out=turned)
+                    least = np.minimum.reduceat(turned, begins).astype(np.uint64)
+                    if k < BANDS * ROWS:
+                        bands[:, k // ROWS] += least * _MIX[k % ROWS]
+                    packed[:, k // PER_LONG] |= (least & np.uint64(3)) << np.uint64(2 * (k % PER_LONG))
                 bands = mix64(bands + np.arange(BANDS, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
             def arrays(x: np.ndarray, per: int, sizes: np.ndarray = sizes) -> pa.Array:
                 ends = np.cumsum(np.concatenate([[0], np.where(sizes > 0, per, 0)])).astype(np.int32)
                 return pa.ListArray.from_arrays(pa.array(ends), pa.array(x.reshape(-1).view(np.int64)))
 
-            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(sizes.astype(np.int64)), pa.array(d[0].view(np.int64)), pa.array(d[1].view(np.int64)), arrays(bands, BANDS), arrays(packed, SIGNED // 16)], ["doc_id", "n", "d1", "d2", "bands", "signature"])
+            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(sizes.astype(np.int64)), pa.array(d[0].view(np.int64)), pa.array(d[1].view(np.int64)), arrays(bands, BANDS), arrays(packed, HASHES // PER_LONG)], ["doc_id", "n", "d1", "d2", "bands", "signature"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, d1 long, d2 long, bands array<long>, signature array<long>")
 
 
 def equal_entries(a: str, b: str) -> F.Column:
-    """Number of equal four-bit entries of two packed signatures, by bit counts."""
+    """Number of equal two-bit entries of two packed signatures, by bit counts."""
 
     def differing(x: F.Column, y: F.Column) -> F.Column:
         z = x.bitwiseXOR(y)
-        z = z.bitwiseOR(F.shiftrightunsigned(z, 1))
-        z = z.bitwiseOR(F.shiftrightunsigned(z, 2))
-        return F.bit_count(z.bitwiseAND(F.lit(int(_ONES))))
+        return F.bit_count(z.bitwiseOR(F.shiftrightunsigned(z, 1)).bitwiseAND(F.lit(LOW_BITS)))
 
-    return F.lit(SIGNED) - F.aggregate(F.zip_with(a, b, differing), F.lit(0), lambda acc, x: acc + x)
+    return F.lit(HASHES) - F.aggregate(F.zip_with(a, b, differing), F.lit(0), lambda acc, x: acc + x)
 
 
 def similarity(equal: F.Column) -> F.Column:
-    """Jaccard similarity estimated from equal four-bit entries, corrected for chance collisions."""
-    return F.greatest(F.lit(0.0), (equal / F.lit(float(SIGNED)) - 1 / 16) / (1 - 1 / 16))
+    """Jaccard similarity estimated from equal two-bit entries, corrected for chance collisions."""
+    return F.greatest(F.lit(0.0), (equal / F.lit(float(HASHES)) - 1 / 4) / (1 - 1 / 4))
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -183,53 +186,120 @@ def _possible(percent: int) -> F.Column:
     return F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent
 
 
-def _left_over(rows: DataFrame, percent: int, width: int) -> DataFrame:
-    """Candidate pairs of different components from bucket rows (key, members, least_rep, rep, component, n, signature)."""
+def _forest(a: np.ndarray, b: np.ndarray, equal: np.ndarray, component: dict[int, int]) -> list[int]:
+    """Places of the pairs, best estimate first, that join parts not joined before."""
+    above: dict[int, int] = {}
+
+    def top(x: int) -> int:
+        while above.get(x, x) != x:
+            above[x] = x = above.get(above[x], above[x])
+        return x
+
+    out = []
+    for k in np.lexsort((b, a, -equal)).tolist():
+        x, y = top(component[int(a[k])]), top(component[int(b[k])])
+        if x != y:
+            above[x] = y
+            out.append(k)
+    return out
+
+
+UNIT = "key bigint, i int, j int, own int, least_rep bigint, rep bigint, component bigint, n bigint, signature array<bigint>, bands array<bigint>"
+
+
+def _units(rows: DataFrame) -> DataFrame:
+    """Bucket rows (key, members, least_rep, rep, component, n, signature, bands) dealt to units (key, i, j) of two blocks at most."""
     blocks = F.ceil(F.col("members") / F.lit(float(BLOCK))).cast("int")
     own = F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")
     rows = rows.withColumn("blocks", blocks).withColumn("own", own)
     rows = rows.withColumn("unit", F.explode(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least(j, F.col("own")).alias("i"), F.greatest(j, F.col("own")).alias("j")))))
-    rows = rows.select("key", "unit.i", "unit.j", "own", "least_rep", "rep", "component", "n", "signature").repartition(shuffle_width(rows.sparkSession), "key", "i", "j").sortWithinPartitions("key", "i", "j")
+    return _dealt(rows.select("key", "unit.i", "unit.j", "own", "least_rep", "rep", "component", "n", "signature", "bands"))
+
+
+def _dealt(rows: DataFrame) -> DataFrame:
+    return rows.repartition(shuffle_width(rows.sparkSession), "key", "i", "j").sortWithinPartitions("key", "i", "j")
+
+
+def _each_unit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    held: list[pa.RecordBatch] = []
+    now = None
+    for batch in batches:
+        unit = np.stack([batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("key", "i", "j")])
+        cut = [0, *(np.flatnonzero((unit[:, 1:] != unit[:, :-1]).any(axis=0)) + 1).tolist(), batch.num_rows]
+        for lo, hi in zip(cut, cut[1:], strict=False):
+            if hi == lo:
+                continue
+            this = tuple(unit[:, lo].tolist())
+            if this != now and held:
+                yield pa.Table.from_batches(held)
+                held = []
+            now = this
+            held.append(batch.slice(lo, hi - lo))
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def _candidates(t: pa.Table, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Pairs of a unit's rows, as places, of different components that pass the filter and share no earlier band; equal entries."""
+    key, i, j = (t[c][0].as_py() for c in ("key", "i", "j"))
+    own, least, rep, comp, n = (t[c].to_numpy() for c in ("own", "least_rep", "rep", "component", "n"))
+    sig, bands = (t[c].combine_chunks().flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(len(rep), -1) for c in ("signature", "bands"))
+    out = [np.zeros((3, 0), np.int64)]
+    for k in range(len(rep)):
+        others = np.flatnonzero((comp != comp[k]) & (rep > rep[k]) & ((own != own[k]) if i != j else True) & (100 * np.minimum(n, n[k]) >= percent * np.maximum(n, n[k])))
+        if rep[k] == least[k] or not len(others):
+            continue  # the smallest has been paired with all others in the first round
+        z = sig[others] ^ sig[k]
+        equal = HASHES - np.bitwise_count((z | (z >> np.uint64(1))) & np.uint64(LOW_BITS)).sum(axis=1, dtype=np.int64)
+        near = equal >= LEAST_EQUAL
+        others, equal = others[near], equal[near]
+        if len(others):
+            same = bands[others] == bands[k]
+            first = bands[k][same.argmax(axis=1)].view(np.int64) == key
+            out.append(np.stack([np.full(int(first.sum()), k), others[first], equal[first]]))
+    a, b, equal = np.concatenate(out, axis=1)
+    return a, b, equal
+
+
+def _best_left(units: DataFrame, percent: int) -> DataFrame:
+    """The best candidate pairs (a, b) that would leave no unit in parts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.RecordBatch] = []
-        now = None
-
-        def close() -> Iterator[pa.RecordBatch]:
-            t = pa.Table.from_batches(held)
-            i, j = t["i"][0].as_py(), t["j"][0].as_py()
-            own, least, rep, comp, n = (t[c].to_numpy() for c in ("own", "least_rep", "rep", "component", "n"))
-            sig = t["signature"].combine_chunks().flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(len(rep), -1)
-            out = []
-            for k in range(len(rep)):
-                others = np.flatnonzero((comp != comp[k]) & (rep > rep[k]) & ((own != own[k]) if i != j else True) & (100 * np.minimum(n, n[k]) >= percent * np.maximum(n, n[k])))
-                if rep[k] == least[k] or not len(others):
-                    continue  # the smallest has been paired with all others in the first round
-                z = sig[others] ^ sig[k]
-                z |= z >> np.uint64(1)
-                z |= z >> np.uint64(2)
-                equal = SIGNED - np.bitwise_count(z & _ONES).sum(axis=1)
-                out.append(np.stack([np.full(len(others), rep[k]), rep[others]])[:, equal >= LEAST_EQUAL])
+        for t in _each_unit(batches):
+            a, b, equal = _candidates(t, percent)
+            if len(a):
+                rep, comp = t["rep"].to_numpy(), t["component"].to_numpy()
+                chosen = _forest(rep[a], rep[b], equal, dict(zip(rep.tolist(), comp.tolist(), strict=True)))
+                yield pa.RecordBatch.from_arrays([pa.array(rep[a[chosen]]), pa.array(rep[b[chosen]])], ["a", "b"])
+
+    return units.mapInArrow(run, "a long, b long").distinct()
+
+
+def _links_left(units: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) among all candidate pairs of the units, tested on full sets inside each unit."""
+
+    def those_with_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in _each_unit(batches):
+            a, b, _ = _candidates(t, percent)
+            if len(a):
+                yield from t.take(pa.array(np.unique(np.concatenate([a, b])))).combine_chunks().to_batches()
+
+    def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in _each_unit(batches):
+            a, b, _ = _candidates(t, percent)
+            rep, packed, opened, out = t["rep"].to_numpy(), t["shingles"], {}, []
+            for x, y in zip(a.tolist(), b.tolist(), strict=True):
+                for k in (x, y):
+                    if k not in opened:
+                        opened[k] = unpack_ints(packed[k].as_py())
+                both = len(np.intersect1d(opened[x], opened[y], assume_unique=True))
+                if 100 * both >= percent * (len(opened[x]) + len(opened[y]) - both):
+                    out.append((rep[x], rep[y]))
             if out:
-                a, b = np.concatenate(out, axis=1)
-                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["a", "b"])
 
-        for batch in batches:
-            unit = np.stack([batch.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("key", "i", "j")])
-            cut = [0, *(np.flatnonzero((unit[:, 1:] != unit[:, :-1]).any(axis=0)) + 1).tolist(), batch.num_rows]
-            for lo, hi in zip(cut, cut[1:], strict=False):
-                if hi == lo:
-                    continue
-                this = tuple(unit[:, lo].tolist())
-                if this != now and held:
-                    yield from close()
-                    held.clear()
-                now = this
-                held.append(batch.slice(lo, hi - lo))
-        if held:
-            yield from close()
-
-    return rows.mapInArrow(run, "a long, b long").distinct()
+    some = units.mapInArrow(those_with_pairs, UNIT)
+    return _dealt(some.join(sets, "rep").select(*some.columns, "shingles")).mapInArrow(test, "a long, b long")
 
 
 def groups(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame:
@@ -240,23 +310,24 @@ def groups(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame
     rows = reps.select("rep", F.explode("bands").alias("key"))
     keys = rows.groupBy("key").agg(F.min("rep").alias("least_rep"), F.count(F.lit(1)).alias("members")).where("members > 1")
     shared = stored(rows.join(keys, "key"), "buckets")
-    facts = reps.select("rep", "n", "signature")
+    facts = reps.select("rep", "n", "signature", "bands")
 
     def side(x: str) -> DataFrame:
-        return facts.select(F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("signature").alias(f"s{x}"))
+        return reps.select(F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("signature").alias(f"s{x}"))
 
     stars = shared.where("rep <> least_rep").select(F.col("least_rep").alias("a"), F.col("rep").alias("b")).distinct()
-    first = stars.join(side("a"), "a").join(side("b"), "b").where(_possible(percent) & (equal_entries("sa", "sb") >= LEAST_EQUAL)).select("a", "b")
+    first = stored(stars.join(side("a"), "a").join(side("b"), "b").where(_possible(percent) & (equal_entries("sa", "sb") >= LEAST_EQUAL)).select("a", "b"), "pairs")
     sets = stored(full_sets(docs, shared.select("rep").distinct(), width), "shingle-sets")
     links = stored(confirmed(first, sets, percent), "links-1")
     found = stored(components(links), "components-1")
 
-    labelled = shared.select("key", "least_rep", "members", "rep").join(found.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    open_ = labelled.groupBy("key").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("key")
-    rest = labelled.join(open_, "key").join(facts, "rep")
-    more = stored(confirmed(_left_over(rest, percent, width), sets, percent), "links-2")
-    if more.head(1):
-        found = stored(components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more)), "components-2")
+    for last in (False, True):
+        labelled = shared.select("key", "least_rep", "members", "rep").join(found.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+        open_ = labelled.groupBy("key").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("key")
+        units = _units(labelled.join(open_, "key").join(facts, "rep"))
+        links = stored(_links_left(units, sets, percent) if last else confirmed(_best_left(units, percent), sets, percent), "links")
+        if links.head(1):
+            found = stored(components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(links)), "components")
 
     # A set's component, for sets that have copies or links; all other documents are their own.
     of_set = reps.join(found.select(F.col("node").alias("rep"), "component"), "rep", "left").where("copies > 1 OR component IS NOT NULL").select("d1", "d2", F.col("n").alias("m"), F.coalesce("component", "rep").alias("component_id"))
