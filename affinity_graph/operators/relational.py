@@ -6,6 +6,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
+from pyspark.sql.types import DoubleType
 
 from ..plans.block_plan import Plan, block_of, register
 from ..sources.tables import table
@@ -130,7 +131,7 @@ def quality_by_degree(spark: SparkSession, d: str, nodes: DataFrame) -> DataFram
     return nodes.join(lab, nodes["v"] == lab["doc_id"]).groupBy("degree").agg(F.count(F.lit(1)).alias("labelled"), F.count_if(F.col("quality") == 1).alias("good"))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def ks_of(x: pd.Series, y: pd.Series) -> float:
     """Grouped aggregate: largest distance of two cumulative count series given in order of degree."""
     return float(((x / max(x.sum(), 1)).cumsum() - (y / max(y.sum(), 1)).cumsum()).abs().max()) if len(x) else 0.0
