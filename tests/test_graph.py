@@ -107,7 +107,7 @@ def test_skip_has_no_local_repeats(plan):
 
 
 def test_plan_shape_of_generation(plan):
-    text = generate.dedup(generate.generate(plan, 1))._jdf.queryExecution().executedPlan().toString()
+    text = generate.dedup(generate.generate(plan, 1, edges_per_task=100))._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastNestedLoopJoin" not in text and "CartesianProduct" not in text and "BroadcastHashJoin" in text
     assert text.count("Exchange hashpartitioning(lo") + text.count("Exchange hashpartitioning(hi") == 1
 
