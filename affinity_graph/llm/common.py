@@ -61,6 +61,7 @@ def text_pieces(batches: Iterator[pa.RecordBatch], column: str = "text", limit:
         cuts = np.flatnonzero(np.diff(group)) + 1
         for lo, hi in zip([0, *cuts.tolist()], [*cuts.tolist(), batch.num_rows], strict=True):
             yield batch.slice(lo, hi - lo)
+    release()
 
 
 # --- vectorised word hashing -------------------------------------------------------------------------------------
@@ -73,19 +74,36 @@ _SEP = np.zeros(256, bool)
 _SEP[[0x20, 9, 10, 11, 12, 13]] = True
 _BASE = 0x9E3779B97F4A7C13
 _INVERSE = pow(_BASE, -1, 1 << 64)
-_powers: tuple[np.ndarray, np.ndarray] = (np.ones(1, np.uint64), np.ones(1, np.uint64))
+_BLOCK = 1 << 20
+
+
+def _powers(base: int, n: int) -> np.ndarray:
+    p = np.full(n, base, np.uint64)
+    p[0] = 1
+    return np.multiply.accumulate(p)
+
+
+_tables: list[np.ndarray] = []
 
 
 def _power_tables(n: int) -> tuple[np.ndarray, np.ndarray]:
-    global _powers
-    if len(_powers[0]) < n:
-        out = []
-        for base in (_BASE, _INVERSE):
-            p = np.full(n, base, np.uint64)
-            p[0] = 1
-            out.append(np.multiply.accumulate(p))
-        _powers = (out[0], out[1])
-    return _powers
+    """Powers of the base and of its inverse; only those of ordinary blocks are kept."""
+    if n > _BLOCK + 4096:
+        return _powers(_BASE, n), _powers(_INVERSE, n)
+    if not _tables:
+        _tables.extend((_powers(_BASE, _BLOCK + 4096), _powers(_INVERSE, _BLOCK + 4096)))
+    return _tables[0], _tables[1]
+
+
+def release() -> None:
+    """Give freed memory back to the system: Python workers outlive their tasks."""
+    import ctypes
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):
+        return  # another C library
 
 
 def mix64(h: np.ndarray) -> np.ndarray:
@@ -130,16 +148,25 @@ def word_spans(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.nda
 
 
 def span_hashes(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, lower: bool = False) -> np.ndarray:
-    """64-bit hashes of byte spans by differences of a running polynomial over random byte values."""
-    if not len(starts):
-        return np.zeros(0, np.uint64)
-    power, inverse = _power_tables(len(raw) + 1)
-    run = np.empty(len(raw) + 1, np.uint64)
-    run[0] = 0
-    values = (_BYTE_LOWER if lower else _BYTE)[raw]
-    values *= power[: len(raw)]
-    np.cumsum(values, out=run[1:])
-    return mix64((run[ends] - run[starts]) * inverse[starts] + (ends - starts).astype(np.uint64))
+    """64-bit hashes of disjoint ascending byte spans: differences of a running polynomial over random byte values.
+
+    The polynomial runs over a block of spans at a time, which bounds the arrays; a span's hash does not depend on its block.
+    """
+    out, lo = np.empty(len(starts), np.uint64), 0
+    while lo < len(starts):
+        base = int(starts[lo])
+        hi = max(lo + 1, int(np.searchsorted(starts, base + _BLOCK)))
+        s, e = starts[lo:hi] - base, ends[lo:hi] - base
+        part = raw[base : int(ends[hi - 1])]
+        power, inverse = _power_tables(len(part) + 1)
+        values = (_BYTE_LOWER if lower else _BYTE)[part]
+        values *= power[: len(part)]
+        run = np.empty(len(part) + 1, np.uint64)
+        run[0] = 0
+        np.cumsum(values, out=run[1:])
+        out[lo:hi] = mix64((run[e] - run[s]) * inverse[s] + (e - s).astype(np.uint64))
+        lo = hi
+    return out
 
 
 _LANES = _GEN.integers(1, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
