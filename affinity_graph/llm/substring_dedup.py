@@ -1,7 +1,7 @@
 """Repeated passages by prefix-partitioned suffix trees over words.
 
 A suffix is a word position followed by at least ``width`` words of its document. Suffixes are split by variable-length
-prefixes into groups that fit in memory: counts of prefixes of 1, 2, 4 and ``width`` words (hashed to 4096 bins a length) over
+prefixes into groups that fit in memory: counts of prefixes of 1, 2, 4 and ``width`` words (hashed to bins by the shuffle's width) over
 the whole corpus give the plan; a prefix too frequent for a group is taken apart by its longer ones. Each group's suffixes
 are sorted by the digest of their first ``width`` words, which lays the leaves under one inner node at depth ``width`` side by
 side. Such a node with leaves in two documents is a repeat; its leaves in other documents than the smallest are starts of
@@ -34,8 +34,7 @@ from .common import load, mix64, pack_ints, shuffle_width, span_hashes, text_buf
 
 WIDTH = 13
 PREFIXES = (1, 2, 4)
-BINS_LOG2, GROUP_SUFFIXES = 12, 4_000_000
-_SHIFT = np.uint64(64 - BINS_LOG2)
+GROUP_SUFFIXES = 1_500_000
 PACKED = "slot int, grp int, docs binary, counts binary, places binary, digests binary"
 _PACKED_TYPES = [pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary()]
 _WORD_AND_GAP = re.compile(rb"[^\x20\x09-\x0D]+[\x20\x09-\x0D]*")
@@ -67,23 +66,30 @@ class _Suffixes:
         return window_hashes(self.words, self.width)[self.at] if len(self.at) else np.zeros(0, np.uint64)
 
 
-def count_prefixes(docs: DataFrame, width: int) -> dict[int, np.ndarray]:
-    """Suffixes per prefix bin, for each prefix length; at most lengths x 4096 counts come to the driver."""
+def bins_log2(slots: int) -> int:
+    """Bins a prefix length is hashed to: 16 a shuffle partition, from 2^12 up to 2^20 (a few MB of counts on the driver)."""
+    return min(20, max(12, (16 * slots - 1).bit_length()))
+
+
+def count_prefixes(docs: DataFrame, width: int, log2: int) -> dict[int, np.ndarray]:
+    """Suffixes per prefix bin, for each prefix length; lengths x bins counts come to the driver, as Arrow columns."""
     lengths = [*(p for p in PREFIXES if p < width), width]
+    shift = np.uint64(64 - log2)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts = np.zeros((len(lengths), 1 << BINS_LOG2), np.int64)
+        counts = np.zeros((len(lengths), 1 << log2), np.int64)
         for piece in text_pieces(batches, limit=4 << 20):
             s = _Suffixes(piece, width)
             for k, length in enumerate(lengths):
-                counts[k] += np.bincount((s.prefix(length) >> _SHIFT).astype(np.int64), minlength=1 << BINS_LOG2)
+                counts[k] += np.bincount((s.prefix(length) >> shift).astype(np.int64), minlength=1 << log2)
         level, where = np.nonzero(counts)
         yield pa.RecordBatch.from_arrays([pa.array(level.astype(np.int32)), pa.array(where.astype(np.int32)), pa.array(counts[level, where])], ["level", "bin", "n"])
 
-    rows = docs.select("doc_id", "text").mapInArrow(run, "level int, bin int, n long").groupBy("level", "bin").agg(F.sum("n").alias("n")).collect()
-    out = {length: np.zeros(1 << BINS_LOG2, np.int64) for length in lengths}
-    for r in rows:
-        out[lengths[r["level"]]][r["bin"]] = r["n"]
+    rows = docs.select("doc_id", "text").mapInArrow(run, "level int, bin int, n long").groupBy("level", "bin").agg(F.sum("n").alias("n")).toArrow()
+    level, where, n = (rows[c].to_numpy() for c in ("level", "bin", "n"))
+    out = {length: np.zeros(1 << log2, np.int64) for length in lengths}
+    for k, length in enumerate(lengths):
+        out[length][where[level == k]] = n[level == k]
     return out
 
 
@@ -96,7 +102,7 @@ def plan_groups(counts: dict[int, np.ndarray], slots: int, group_suffixes: int =
     total = int(counts[lengths[0]].sum())
     groups = slots * max(1, -(-total // (group_suffixes * slots)))
     most = max(1, total // (4 * groups))
-    tables = [(length, np.full(1 << BINS_LOG2, -1, np.int32)) for length in lengths]
+    tables = [(length, np.full(len(counts[length]), -1, np.int32)) for length in lengths]
     units, share = [], 1.0
     for (length, _), last in zip(tables, [False] * (len(tables) - 1) + [True], strict=True):
         n = counts[length]
@@ -150,10 +156,12 @@ def subtree_repeats(digests: np.ndarray, docs: np.ndarray) -> np.ndarray:
 def repeated_windows(docs: DataFrame, width: int = WIDTH) -> DataFrame:
     """Packed starts of repeated windows, dealt by bucket of documents (column ``slot``)."""
     slots = shuffle_width(docs.sparkSession)
-    tables, _ = plan_groups(count_prefixes(docs, width), slots)
+    log2 = bins_log2(slots)
+    tables, _ = plan_groups(count_prefixes(docs, width, log2), slots)
+    shift = np.uint64(64 - log2)
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for piece in text_pieces(batches, limit=8 << 20):
+        for piece in text_pieces(batches, limit=6 << 20):
             s = _Suffixes(piece, width)
             if not len(s.at):
                 continue
@@ -162,7 +170,7 @@ def repeated_windows(docs: DataFrame, width: int = WIDTH) -> DataFrame:
             for length, table in tables:
                 open_ = grp < 0
                 if open_.any():
-                    grp[open_] = table[(s.prefix(length)[open_] >> _SHIFT).astype(np.int64)]
+                    grp[open_] = table[(s.prefix(length)[open_] >> shift).astype(np.int64)]
             ids = s.ids[s.doc]
             place = s.at - s.first[s.doc]
             known = subtree_repeats(digest, ids)
