@@ -1,7 +1,7 @@
 """Near-duplicate groups by b-bit MinHash, with every link confirmed on full shingle sets.
 
-1. Each text's set of word shingles is hashed (64 bits); 200 minima make ``BANDS`` band keys, and the low two bits of ``HASHES``
-   minima the packed signature. Texts with equal sets (a 128-bit digest) are one representative from here on.
+1. Each text's set of word shingles is hashed (64 bits); 200 minima make ``BANDS`` band keys, and two bits of each of ``HASHES``
+   minima, mixed anew, the packed signature. Texts with equal sets (a 128-bit digest) are one representative from here on.
 2. First round: in each band bucket every representative is paired with the bucket's smallest. Pairs whose sizes allow the
    threshold and whose bit counts, corrected for chance collisions, come within five deviations of it are confirmed on full
    sets; connected components of the confirmed links follow. This folds a large group of copies with one pair a member.
@@ -59,6 +59,12 @@ def shingle_sets(batch: pa.RecordBatch, width: int) -> tuple[np.ndarray, np.ndar
     return (np.concatenate(sets) if sets else np.zeros(0, np.uint64)), np.cumsum([0, *map(len, sets)])
 
 
+def two_bits(least: np.ndarray, k: int) -> np.ndarray:
+    """The signature's entries for the minima of hash ``k``. An odd factor leaves agreement modulo 4 as it is, so that bits of a
+    minimum itself would collide by chance in all hashes or in none: they are taken after mixing, with the hash's number."""
+    return mix64(least | np.uint64(k << 32)) & np.uint64(3)
+
+
 def signatures(docs: DataFrame, width: int) -> DataFrame:
     """(doc_id, n, d1, d2, bands, signature) of every text; arrays are null for empty sets."""
 
@@ -81,7 +87,7 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
                     least = np.minimum.reduceat(turned, begins).astype(np.uint64)
                     if k < BANDS * ROWS:
                         bands[:, k // ROWS] += least * _MIX[k % ROWS]
-                    packed[:, k // PER_LONG] |= (least & np.uint64(3)) << np.uint64(2 * (k % PER_LONG))
+                    packed[:, k // PER_LONG] |= two_bits(least, k) << np.uint64(2 * (k % PER_LONG))
                 bands = mix64(bands + np.arange(BANDS, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
             def arrays(x: np.ndarray, per: int, sizes: np.ndarray = sizes) -> pa.Array:

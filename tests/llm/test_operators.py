@@ -273,6 +273,25 @@ def test_signature_estimates():
     assert ((low[0] == low[1]).mean() - 0.25) / 0.75 == pytest.approx(true, abs=0.08)
 
 
+@pytest.mark.parametrize("union", [5, 10, 15, 20])
+def test_links_at_the_threshold_of_small_sets(spark, union):
+    """Pairs at exactly 0.8, each with words of its own: all are linked, and only with each other."""
+    texts = []
+    for p in range(400):
+        common, extra = [[f"{x}{p}x{i}" for i in range(n)] for x, n in (("c", union * 4 // 5), ("e", union // 5))]
+        texts += [" ".join(common + extra[: len(extra) // 2]), " ".join(common + extra[len(extra) // 2 :])]
+    got = near_dedup.groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), width=1).collect()
+    assert len(got) == 800 and [r.doc_id for r in got if r.component_id != r.doc_id // 2 * 2] == []
+
+
+def test_signature_collisions_are_drawn_anew():
+    rng = np.random.default_rng(2)
+    words = rng.integers(0, 2**32, (400, 5)).astype(np.uint32)
+    least = [[(words[:, :n] * o).min(axis=1).astype(np.uint64) for o in near_dedup._ODD] for n in (4, 5)]
+    equal = sum((near_dedup.two_bits(a, k) == near_dedup.two_bits(b, k)).astype(int) for k, (a, b) in enumerate(zip(*least, strict=True)))
+    assert equal.min() >= near_dedup.LEAST_EQUAL and 10 < equal.std() < 13 and abs(equal.mean() - 870.4) < 3
+
+
 def test_fingerprints(docs, rows, none):
     some = docs.where("doc_id IS NOT NULL")
     got = fingerprints.compared(some).collect()
