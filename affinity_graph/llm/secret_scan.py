@@ -1,7 +1,7 @@
 """Secret scans with DataFrame functions only: three patterns, and a randomness battery for what patterns cannot name.
 
 Patterns (kinds assign, access, hex) give the base spans. Every other run of 20 or more characters of the usual encodings is a
-candidate of kind ``random``. Its encoding is inferred (hex, base32, base64), and under the hypothesis that its symbols
+candidate of kind ``random``. Its encoding is inferred (hex, base32, base36, letters, base64), and under the hypothesis that its symbols
 are independent and uniform three tests are made: chi-squared over the alphabet, runs of the upper half of the alphabet, and
 serial correlation of neighbours. The smallest p-value, times three, is the battery's; below ``LEVEL`` the candidate is
 ordinary text. One that passes could still be ordinary text too short to be found out: that chance falls as
@@ -42,6 +42,20 @@ ENCODINGS = (
     ("base32", "^(?=.*[2-7])(?=.*[A-Z])[A-Z2-7]+$", "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567", 0.35),
     ("base64", "^(?=.*[0-9])(?=.*[a-z])(?=.*[A-Z])[A-Za-z0-9+/_-]+$", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", 0.45),
 )
+#: Looked at after those above, the last for every run that is left. Ordinary words are nearer to these, so the shares of kinds of symbols
+#: must fit the alphabet (``KINDS``, ``FIT``), else the run is of no encoding. Dashes of hex groups are left out.
+WIDER = (
+    ("hex", "^(?=.*[0-9])(?=.*[a-f])[0-9a-f]+(-[0-9a-f]+)+$", "0123456789abcdef", 0.25),
+    ("hex", "^(?=.*[0-9])(?=.*[A-F])[0-9A-F]+(-[0-9A-F]+)+$", "0123456789ABCDEF", 0.25),
+    ("base32", "^(?=.*[2-7])(?=.*[a-z])[a-z2-7]+$", "abcdefghijklmnopqrstuvwxyz234567", 0.35),
+    ("base36", "^(?=.*[0-9])(?=.*[a-z])[a-z0-9]+$", "abcdefghijklmnopqrstuvwxyz0123456789", 0.37),
+    ("base36", "^(?=.*[0-9])(?=.*[A-Z])[A-Z0-9]+$", "ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 0.37),
+    ("base52", "^(?=.*[a-z])(?=.*[A-Z])[A-Za-z]+$", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz", 0.42),
+    ("base26", "^[a-z]+$", "abcdefghijklmnopqrstuvwxyz", 0.12),
+    ("base26", "^[A-Z]+$", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", 0.12),
+    ("base64", "^[A-Za-z0-9+/_-]+$", ENCODINGS[3][2], 0.45),
+)
+KINDS, FIT = ("aeiou", "bcdfghjklmnpqrstvwxyz", "AEIOU", "BCDFGHJKLMNPQRSTVWXYZ", "0123456789", "+/"), 0.02
 _SPAN = "array<struct<s:int,k:int,e:int,name:string,said:string>>"
 
 
@@ -88,11 +102,29 @@ def battery(said: Column, alphabet: str) -> Column:
     return F.least(F.lit(1.0), F.lit(3.0) * F.least(_upper_tail(z_chi), F.lit(2.0) * _upper_tail(z_runs), F.lit(2.0) * _upper_tail(z_serial)))
 
 
+def _fits(said: Column, alphabet: str) -> Column:
+    """Whether vowels, consonants, digits and signs have about the shares of the alphabet (chi-squared)."""
+    n = F.length(said).cast("double")
+    kinds = [(k, sum(c in k for c in alphabet) / len(alphabet)) for k in KINDS]
+    kinds = [(k, share) for k, share in kinds if share]
+    chi = F.lit(0.0)
+    for k, share in kinds:
+        chi += F.pow(n - F.length(F.translate(said, k, "")) - n * share, F.lit(2.0)) / (n * share)
+    df = float(len(kinds) - 1)
+    return _upper_tail((F.pow(chi / df, F.lit(1 / 3)) - (1 - 2 / (9 * df))) / (2 / (9 * df)) ** 0.5) >= FIT
+
+
 def _scored(candidates: Column) -> Column:
-    """Candidates with the p-value of their being ordinary text; those of no encoding are left out."""
+    """Candidates with the p-value of their being ordinary text; those that fit no encoding are left out."""
 
     def one(x: Column) -> Column:
         score = F.lit(None).cast("double")
+        for name, test, alphabet, nats in reversed(WIDER):
+            said = F.translate(x["said"], "-", "") if name == "hex" else F.translate(x["said"], "-_", "+/")
+            odds = F.exp(F.length(said).cast("double") * -nats)
+            passes = F.when(battery(said, alphabet) >= LEVEL, odds).otherwise(F.lit(1.0))
+            # too short to be told from text by any company: no part of the step-up
+            score = F.when(x["said"].rlike(test), F.when((odds <= RATE) & _fits(said, alphabet), passes)).otherwise(score)
         for _, test, alphabet, nats in reversed(ENCODINGS):
             passes = F.when(battery(x["said"], alphabet) >= LEVEL, F.exp(F.length(x["said"]).cast("double") * -nats)).otherwise(F.lit(1.0))
             score = F.when(x["said"].rlike(test), passes).otherwise(score)

@@ -131,6 +131,19 @@ def test_battery_tells_random_from_text(spark):
     assert df.where("random AND p >= 0.01").count() >= 55 and df.where("NOT random AND p >= 0.01").count() == 0
 
 
+def test_random_runs_of_every_encoding(spark):
+    rng = random.Random(6)
+    low, up, digits = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789"
+    of = {"base36": (low + digits, 32), "base32": (low + "234567", 28), "BASE36": (up + digits, 32), "letters": (low + up, 24), "lower": (low, 48)}
+    runs = [(name, "".join(rng.choice(chars) for _ in range(n))) for name, (chars, n) in of.items() for _ in range(60)]
+    runs += [("uuid", "-".join("".join(rng.choice("0123456789abcdef") for _ in range(n)) for n in (8, 4, 4, 4, 12))) for _ in range(60)]
+    words = ["internationalizations", "chapter2section3introduction", "en/docs/guide/getting-started", "a-state-of-the-art-method-2", "ThisIsAnOrdinaryIdentifier", "MAX_NUMBER_OF_ENTRIES", "--------------------------", "2024-01-02-03-04-05-06"]
+    df = spark.createDataFrame([*runs, *(("text", w) for w in words)], "kind string, run string")
+    got = secret_scan.scan(df.withColumn("text", F.concat(F.lit("é see "), "run", F.lit(" there")))).select("kind", "run", F.filter("secrets", lambda x: x["k"] == 3).alias("found")).collect()
+    hit = collections.Counter(r.kind for r in got if [(x.s, x.said) for x in r.found] == [(6, r.run)])
+    assert all(hit[k] >= 51 for k in [*of, "uuid"]) and hit["text"] == 0, hit
+
+
 def test_archive(spark, none):
     big = "<p>" + "x" * 200
     pages = [(1, "http://a/", big), (2, "http://b/", big), (3, None, "short"), (4, "u", "short"), (5, "u", None), (5, "u", None), (None, "u", big), (7, "u", "é" * 90)]
