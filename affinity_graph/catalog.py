@@ -92,7 +92,7 @@ add("sampled_clustering_doc_line", lambda s, d: rounded(profile.sample_clusterin
 add("sampled_clustering_exact_below", lambda s, d: rounded(profile.sample_clustering(stored_edges(s, d, FLAGSHIP), 2000, SEED, exact_below=2000)))
 add("sampled_gcc_doc_line", lambda s, d: rounded(profile.sample_gcc(stored_edges(s, d, FLAGSHIP), 2000, SEED)))
 add("sampling_error_doc_line", lambda s, d: rounded(profile.sampling_error(stored_edges(s, d, FLAGSHIP), 2000, SEED)))
-add("eigenvalues_doc_line", lambda s, d: rounded(spectrum.leading_eigenvalues(stored_edges(s, d, FLAGSHIP), 20, 10, 1e-4, 8)))
+add("eigenvalues_doc_line", lambda s, d: rounded(spectrum.leading_eigenvalues(stored_edges(s, d, FLAGSHIP))))
 
 # plan
 for g in ("fixture73", "doc_line", "part_basket", "page_href", "user_next", "cust_order"):

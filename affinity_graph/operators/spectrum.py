@@ -7,7 +7,11 @@ that the driver sees; the rows are turned by a p x p matrix of literals.
 
 from __future__ import annotations
 
+import warnings
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -27,9 +31,20 @@ def _multiply(arcs: DataFrame, rows: DataFrame, p: int) -> DataFrame:
 
 
 def _gram(rows: DataFrame, left: list[str], right: list[str]) -> np.ndarray:
-    """Left' Right, one aggregate a row of the result in one job."""
-    values = rows.agg(*[F.sum(F.col(a) * F.col(b)) for a in left for b in right]).head()
-    return np.array([v or 0.0 for v in values], float).reshape(len(left), len(right))
+    """Left' Right: a sum in each partition, then one by entry, so that the plan does not grow with p."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros((len(left), len(right)))
+        for batch in batches:
+            a, b = (np.stack([batch.column(c).to_numpy(zero_copy_only=False) for c in names]) for names in (left, right))
+            total += a @ b.T
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(total.size)), pa.array(total.reshape(-1))], ["k", "v"])
+
+    sums = rows.select(*dict.fromkeys([*left, *right])).mapInArrow(run, "k long, v double").groupBy("k").agg(F.sum("v").alias("v")).collect()
+    out = np.zeros(len(left) * len(right))
+    for r in sums:
+        out[r.k] = r.v
+    return out.reshape(len(left), len(right))
 
 
 def _turned(rows: DataFrame, names: list[str], m: np.ndarray, out: list[str]) -> DataFrame:
@@ -40,7 +55,7 @@ def _turned(rows: DataFrame, names: list[str], m: np.ndarray, out: list[str]) ->
 
 
 def leading_eigenvalues(edges: DataFrame, k: int = 50, oversample: int = 14, tol: float = 1e-6, max_iter: int = 30, seed: int = 1) -> DataFrame:
-    """(rank, value): the k eigenvalues of largest magnitude."""
+    """(rank, value): the k eigenvalues of largest magnitude; warns if they have not settled after ``max_iter`` steps."""
     spark = edges.sparkSession
     nodes = stored(degrees(edges).select("v"), "nodes")
     n = nodes.count()
@@ -74,4 +89,6 @@ def leading_eigenvalues(edges: DataFrame, k: int = 50, oversample: int = 14, tol
         base = np.zeros((p, p))
         base[:, : keep.sum()] = (q[:, keep] / np.sqrt(w[keep]))[:, ::-1]
         rows = _turned(image, y, base, x)
+    else:
+        warnings.warn(f"eigenvalues not settled to {tol:g} after {max_iter} steps", RuntimeWarning, stacklevel=2)
     return spark.createDataFrame([(i + 1, float(v)) for i, v in enumerate(values[: min(k, p)])], "rank int, value double")

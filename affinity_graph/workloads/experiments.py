@@ -20,7 +20,7 @@ def _union(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def small_comparison(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("doc_line", "user_next"), beta: float = 10.0, initiator: tuple[float, float, float, float] = baselines.INITIATOR, k: int = 20, seed: int = 1) -> dict[str, DataFrame]:
+def small_comparison(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("doc_line", "user_next"), beta: float = 10.0, initiator: tuple[float, float, float, float] = baselines.INITIATOR, k: int = 50, seed: int = 1) -> dict[str, DataFrame]:
     """Block model, Chung-Lu with blow-up and Kronecker against the original: summaries, series and leading eigenvalues."""
     summaries, series, spectra = [], [], []
     for g in graphs:
@@ -37,7 +37,7 @@ def small_comparison(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] =
             e = e if model == "original" else stored(e, "edges")
             summaries.append(profile.summary(e, g, model))
             series.append(profile.measure_profile(e, g).withColumn("model", F.lit(model)))
-            spectra.append(spectrum.leading_eigenvalues(e, k, min(14, k + 4), 1e-4, 8).select(F.lit(g).alias("graph"), F.lit(model).alias("model"), "rank", "value"))
+            spectra.append(spectrum.leading_eigenvalues(e, k).select(F.lit(g).alias("graph"), F.lit(model).alias("model"), "rank", "value"))
     return {"summary": _union(summaries), "series": _union(series), "spectrum": _union(spectra)}
 
 

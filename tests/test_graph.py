@@ -2,6 +2,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from affinity_graph import catalog
 from affinity_graph.functions.rng import uniform
 from affinity_graph.operators import baselines, discrete, generate, measures, profile, relational, spectrum
 from affinity_graph.plans import block_plan as bp
@@ -192,3 +193,14 @@ def test_sql_face(spark, lines):
     assert spark.sql("SELECT count(*) FROM edges_view").head()[0] == lines.count()
     rows = spark.sql("SELECT * FROM block_plan(TABLE(SELECT 'g' AS graph, 3L AS degree, 8L AS n, 0.25D AS c, 1L AS first_node, 0L AS n_above) PARTITION BY (graph) ORDER BY (degree), 1.0D, 'log', true, 'split')").collect()
     assert {r.kind for r in rows} == {"group", "degree"}
+
+
+def test_registered_eigenvalues(spark, data):
+    e = [(r.lo, r.hi) for r in graphs.doc_line(spark, data).collect()]
+    at = {v: i for i, v in enumerate(sorted({x for r in e for x in r}))}
+    a = np.zeros((len(at), len(at)))
+    for x, y in e:
+        a[at[x], at[y]] = a[at[y], at[x]] = 1
+    want = sorted(np.abs(np.linalg.eigvalsh(a)), reverse=True)[:50]
+    got = sorted(catalog.QUERIES["eigenvalues_doc_line"](spark, data).collect(), key=lambda r: r.rank)
+    assert len(got) == 50 and np.allclose(np.abs([r.value for r in got]), want, atol=1e-3)
