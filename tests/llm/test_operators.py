@@ -207,6 +207,40 @@ def test_urls(spark):
     assert url_templates.judge(df.limit(0)).count() == 0
 
 
+def _judged(spark, rows, **options):
+    df = spark.createDataFrame([(i, u, b) for i, (u, b) in enumerate(rows)], "page_id long, url string, bad boolean")
+    return {rows[r.page_id][0]: r for r in url_templates.judge(df, (), "bad", **options).collect()}
+
+
+def test_templates_generalise_merge_and_reject(spark):
+    rows = [(f"http://h.x/{word}/a/{k}", word in ("spam", "scam")) for word in ("spam", "scam", "news", "blog") for k in range(1, 9)]
+    rows += [("http://h.x/spam/a/777", None), ("http://h.x/news/a/888", None), ("http://h.x/other/a/1", None), ("http://g.x/spam/a/1", None), ("http://few.x/spam/1", True), ("http://few.x/spam/2", None)]
+    rows += [(f"http://m.x/mixed/{k}", k % 2 == 0) for k in range(20)] + [("http://m.x/mixed/99", None)]
+    got = _judged(spark, rows)
+    assert got["http://h.x/spam/a/777"].verdict == "block" and got["http://h.x/spam/a/777"].template == "h.x/~scam/a/*"
+    assert got["http://h.x/news/a/888"].verdict == "allow" and got["http://h.x/news/a/888"].template == "h.x/~blog/a/*"
+    # no label, one label, labels of both kinds: never enough
+    for url in ("http://h.x/other/a/1", "http://g.x/spam/a/1", "http://few.x/spam/2", "http://m.x/mixed/99"):
+        assert got[url].verdict == "allow"
+    assert got["http://h.x/other/a/1"].t_labelled == 0 and got["http://h.x/other/a/1"].purity == 0.5
+
+
+def test_templates_are_as_deep_as_paths(spark):
+    deep = lambda last, k: f"http://d.x/a/b/c/d/e/f/g/h/i/{last}/{k}"
+    rows = [(deep("bad", k), True) for k in range(9)] + [(deep("good", k), False) for k in range(9)] + [(deep("bad", 50), None), (deep("good", 50), None)]
+    for depth in (3, 8, 20):
+        got = _judged(spark, rows, depth=depth)
+        assert (got[deep("bad", 50)].verdict, got[deep("good", 50)].verdict) == ("block", "allow")
+
+
+def test_rare_segments_among_many_are_variable(spark):
+    names = ["".join(chr(97 + (k // 26**j) % 26) for j in range(3)) for k in range(120)]
+    rows = [(f"http://s.x/post/{n}", True) for n in names[:100]] + [(f"http://s.x/post/{n}", None) for n in names[100:]] + [("http://s.x/about/us", False)]
+    got = _judged(spark, rows)
+    assert all(got[f"http://s.x/post/{n}"].template == "s.x/post/*" and got[f"http://s.x/post/{n}"].verdict == "block" for n in names)
+    assert got["http://s.x/about/us"].verdict == "allow"
+
+
 def test_packing(docs, rows, none):
     path = common.public_path(token_output.TOKENIZER)
     e = token_output.ChunkEncoder(path)
