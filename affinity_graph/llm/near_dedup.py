@@ -1,7 +1,7 @@
 """Near-duplicate groups by b-bit MinHash, with every link confirmed on full shingle sets.
 
-1. Each text's set of word shingles is hashed (64 bits); 200 minima make ``BANDS`` band keys, and two bits of each of ``HASHES``
-   minima, mixed anew, the packed signature. Texts with equal sets (a 128-bit digest) are one representative from here on.
+1. Each text's set of word shingles is hashed (64 bits); minima make band keys (``Scheme``: 40 bands of 5 at 80 percent), and two
+   bits of each of ``HASHES`` minima, mixed anew, the packed signature. Texts with equal sets (a 128-bit digest) are one representative from here on.
 2. First round: in each band bucket every representative is paired with the bucket's smallest. Pairs whose sizes allow the
    threshold and whose bit counts, corrected for chance collisions, come within five deviations of it are confirmed on full
    sets; connected components of the confirmed links follow. This folds a large group of copies with one pair a member.
@@ -11,17 +11,22 @@
    full sets go to the buckets where a pair passes the filter, and only links come out. Nothing is capped: only pairs
    already in one component are passed over.
 
-Buckets over ``BLOCK`` members are worked on in pairs of blocks, each a unit of its own. At a similarity of 0.8 a link shares
-no band with probability 1.3e-7 and fails the bit count with 3e-7.
+Buckets are worked on in pairs of blocks of ``BLOCK`` members, each a unit of its own. Members of a bucket's largest component
+are never paired with each other, so that a bucket of one large group and a few others costs in proportion to its size. Bands
+and the least bit count follow from the threshold: a link at it shares no band with probability ``MISS`` at most and fails the
+bit count with 3e-7.
 
 Nulls and edges: a text without words, or null, has an empty set and is linked with nothing; one with fewer words than a shingle
-has its whole sequence as one; a null doc_id is linked with nothing and kept; rows that repeat a doc_id must be copies and
-are kept or dropped together; other columns are ignored; an empty table gives an empty result.
+has its whole sequence as one; a null doc_id is linked with nothing and kept; rows that repeat a doc_id are one document with
+the links of all its texts, kept or dropped together; other columns are ignored by ``groups`` and pass ``deduplicated``; an
+empty table gives an empty result; a percentage outside 30 to 100 is refused.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -30,15 +35,46 @@ from pyspark.sql import functions as F
 
 from .common import load, mix64, pack_ints, shuffle_width, span_hashes, stored, text_buffer, text_pieces, unpack_ints, window_hashes, word_spans
 
-PERCENT = 80
-BANDS, ROWS, HASHES = 40, 5, 1024
-#: Equal two-bit entries that a link of the threshold has at least, five deviations below the mean of 870 of 1024.
-LEAST_EQUAL = 813
+PERCENT, HASHES, MISS, MOST_ROWS = 80, 1024, 1.4e-7, 25
 PER_LONG, LOW_BITS = 32, 0x5555555555555555
-BLOCK = 1024
+BLOCK = 256
 _RNG = np.random.Generator(np.random.PCG64(4242))
 _ODD = _RNG.integers(0, 2**31, HASHES, dtype=np.uint32) * np.uint32(2) + np.uint32(1)
-_MIX = _RNG.integers(0, 2**63, ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_MIX = _RNG.integers(0, 2**63, MOST_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+@dataclass(frozen=True)
+class Scheme:
+    """What follows from a threshold in percent: rows a band, bands, and the equal entries that a link has at least.
+
+    Rows are as many as leave a pair at the threshold a chance of a third to share a band; then bands for ``MISS``. Equal
+    two-bit entries are binomial with mean 1/4 + 3/4 of the similarity; five deviations below that are allowed.
+    """
+
+    percent: int = PERCENT
+
+    def __post_init__(self) -> None:
+        if not 30 <= self.percent <= 100:
+            raise ValueError("percent is from 30 to 100")
+
+    @property
+    def rows(self) -> int:
+        s = self.percent / 100
+        return MOST_ROWS if s == 1 else min(MOST_ROWS, max(2, int(math.log(0.326) / math.log(s))))
+
+    @property
+    def bands(self) -> int:
+        s = self.percent / 100
+        return 1 if s == 1 else math.ceil(math.log(MISS) / math.log1p(-(s**self.rows)))
+
+    @property
+    def least_equal(self) -> int:
+        p = 1 / 4 + 3 / 4 * self.percent / 100
+        return math.floor(HASHES * p - 5 * math.sqrt(HASHES * p * (1 - p)))
+
+    @property
+    def least_similarity(self) -> float:
+        return (self.least_equal / HASHES - 1 / 4) / (3 / 4)
 
 
 def shingle_sets(batch: pa.RecordBatch, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -65,8 +101,9 @@ def two_bits(least: np.ndarray, k: int) -> np.ndarray:
     return mix64(least | np.uint64(k << 32)) & np.uint64(3)
 
 
-def signatures(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, n, d1, d2, bands, signature) of every text; arrays are null for empty sets."""
+def signatures(docs: DataFrame, width: int, scheme: Scheme) -> DataFrame:
+    """(doc_id, n, d1, d2, bands, signature) of every text; arrays are empty for empty sets."""
+    n_bands, n_rows = scheme.bands, scheme.rows
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in text_pieces(batches, limit=4 << 20):
@@ -74,7 +111,7 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
             sizes = np.diff(cuts)
             has = np.flatnonzero(sizes)
             d = np.zeros((2, len(sizes)), np.uint64)
-            bands = np.zeros((len(has), BANDS), np.uint64)
+            bands = np.zeros((len(has), n_bands), np.uint64)
             packed = np.zeros((len(has), HASHES // PER_LONG), np.uint64)
             if len(has):
                 begins = cuts[:-1][has]
@@ -85,16 +122,16 @@ def signatures(docs: DataFrame, width: int) -> DataFrame:
                 for k in range(HASHES):
                     np.multiply(short, _ODD[k], out=turned)
                     least = np.minimum.reduceat(turned, begins).astype(np.uint64)
-                    if k < BANDS * ROWS:
-                        bands[:, k // ROWS] += least * _MIX[k % ROWS]
+                    if k < n_bands * n_rows:
+                        bands[:, k // n_rows] += least * _MIX[k % n_rows]
                     packed[:, k // PER_LONG] |= two_bits(least, k) << np.uint64(2 * (k % PER_LONG))
-                bands = mix64(bands + np.arange(BANDS, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+                bands = mix64(bands + np.arange(n_bands, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
 
             def arrays(x: np.ndarray, per: int, sizes: np.ndarray = sizes) -> pa.Array:
                 ends = np.cumsum(np.concatenate([[0], np.where(sizes > 0, per, 0)])).astype(np.int32)
                 return pa.ListArray.from_arrays(pa.array(ends), pa.array(x.reshape(-1).view(np.int64)))
 
-            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(sizes.astype(np.int64)), pa.array(d[0].view(np.int64)), pa.array(d[1].view(np.int64)), arrays(bands, BANDS), arrays(packed, HASHES // PER_LONG)], ["doc_id", "n", "d1", "d2", "bands", "signature"])
+            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(sizes.astype(np.int64)), pa.array(d[0].view(np.int64)), pa.array(d[1].view(np.int64)), arrays(bands, n_bands), arrays(packed, HASHES // PER_LONG)], ["doc_id", "n", "d1", "d2", "bands", "signature"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, d1 long, d2 long, bands array<long>, signature array<long>")
 
@@ -187,9 +224,10 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> Data
     return j.select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-def _possible(percent: int) -> F.Column:
-    """Sizes that allow the threshold."""
-    return F.least("na", "nb") * 100 >= F.greatest("na", "nb") * percent
+def _promising(scheme: Scheme) -> F.Column:
+    """Pairs whose sizes allow the threshold and whose estimated similarity is not too far below it."""
+    sizes = F.least("na", "nb") * 100 >= F.greatest("na", "nb") * scheme.percent
+    return sizes & (similarity(equal_entries("sa", "sb")) >= scheme.least_similarity - 1e-9)
 
 
 def _forest(a: np.ndarray, b: np.ndarray, equal: np.ndarray, component: dict[int, int]) -> list[int]:
@@ -214,11 +252,16 @@ UNIT = "key bigint, i int, j int, own int, least_rep bigint, rep bigint, compone
 
 
 def _units(rows: DataFrame) -> DataFrame:
-    """Bucket rows (key, members, least_rep, rep, component, n, signature, bands) dealt to units (key, i, j) of two blocks at most."""
-    blocks = F.ceil(F.col("members") / F.lit(float(BLOCK))).cast("int")
-    own = F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")
-    rows = rows.withColumn("blocks", blocks).withColumn("own", own)
-    rows = rows.withColumn("unit", F.explode(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least(j, F.col("own")).alias("i"), F.greatest(j, F.col("own")).alias("j")))))
+    """Bucket rows (key, members, largest, of_largest, least_rep, rep, component, n, signature, bands) dealt to units (key, i, j).
+
+    A unit has two blocks of members at most. Blocks 0 to ``first`` - 1 are of the largest component and meet other blocks only.
+    """
+    most = F.lit(float(BLOCK))
+    rows = rows.withColumn("first", F.ceil(F.col("of_largest") / most).cast("int")).withColumn("blocks", F.col("first") + F.ceil((F.col("members") - F.col("of_largest")) / most).cast("int"))
+    inside = F.col("component") == F.col("largest")
+    own = F.when(inside, F.pmod(F.xxhash64("rep"), F.col("first"))).otherwise(F.col("first") + F.pmod(F.xxhash64("rep"), F.col("blocks") - F.col("first"))).cast("int")
+    rows = rows.withColumn("own", own).withColumn("start", F.when(inside, F.col("first")).otherwise(F.lit(0)))
+    rows = rows.withColumn("unit", F.explode(F.transform(F.sequence(F.col("start"), F.col("blocks") - 1), lambda j: F.struct(F.least(j, F.col("own")).alias("i"), F.greatest(j, F.col("own")).alias("j")))))
     return _dealt(rows.select("key", "unit.i", "unit.j", "own", "least_rep", "rep", "component", "n", "signature", "bands"))
 
 
@@ -245,19 +288,19 @@ def _each_unit(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
-def _candidates(t: pa.Table, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def _candidates(t: pa.Table, scheme: Scheme) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Pairs of a unit's rows, as places, of different components that pass the filter and share no earlier band; equal entries."""
     key, i, j = (t[c][0].as_py() for c in ("key", "i", "j"))
     own, least, rep, comp, n = (t[c].to_numpy() for c in ("own", "least_rep", "rep", "component", "n"))
     sig, bands = (t[c].combine_chunks().flatten().to_numpy(zero_copy_only=False).view(np.uint64).reshape(len(rep), -1) for c in ("signature", "bands"))
     out = [np.zeros((3, 0), np.int64)]
     for k in range(len(rep)):
-        others = np.flatnonzero((comp != comp[k]) & (rep > rep[k]) & ((own != own[k]) if i != j else True) & (100 * np.minimum(n, n[k]) >= percent * np.maximum(n, n[k])))
+        others = np.flatnonzero((comp != comp[k]) & (rep > rep[k]) & ((own != own[k]) if i != j else True) & (100 * np.minimum(n, n[k]) >= scheme.percent * np.maximum(n, n[k])))
         if rep[k] == least[k] or not len(others):
             continue  # the smallest has been paired with all others in the first round
         z = sig[others] ^ sig[k]
         equal = HASHES - np.bitwise_count((z | (z >> np.uint64(1))) & np.uint64(LOW_BITS)).sum(axis=1, dtype=np.int64)
-        near = equal >= LEAST_EQUAL
+        near = equal >= scheme.least_equal
         others, equal = others[near], equal[near]
         if len(others):
             same = bands[others] == bands[k]
@@ -267,12 +310,12 @@ def _candidates(t: pa.Table, percent: int) -> tuple[np.ndarray, np.ndarray, np.n
     return a, b, equal
 
 
-def _best_left(units: DataFrame, percent: int) -> DataFrame:
+def _best_left(units: DataFrame, scheme: Scheme) -> DataFrame:
     """The best candidate pairs (a, b) that would leave no unit in parts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _each_unit(batches):
-            a, b, equal = _candidates(t, percent)
+            a, b, equal = _candidates(t, scheme)
             if len(a):
                 rep, comp = t["rep"].to_numpy(), t["component"].to_numpy()
                 chosen = _forest(rep[a], rep[b], equal, dict(zip(rep.tolist(), comp.tolist(), strict=True)))
@@ -281,25 +324,25 @@ def _best_left(units: DataFrame, percent: int) -> DataFrame:
     return units.mapInArrow(run, "a long, b long").distinct()
 
 
-def _links_left(units: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def _links_left(units: DataFrame, sets: DataFrame, scheme: Scheme) -> DataFrame:
     """Links (a, b) among all candidate pairs of the units, tested on full sets inside each unit."""
 
     def those_with_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _each_unit(batches):
-            a, b, _ = _candidates(t, percent)
+            a, b, _ = _candidates(t, scheme)
             if len(a):
                 yield from t.take(pa.array(np.unique(np.concatenate([a, b])))).combine_chunks().to_batches()
 
     def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in _each_unit(batches):
-            a, b, _ = _candidates(t, percent)
+            a, b, _ = _candidates(t, scheme)
             rep, packed, opened, out = t["rep"].to_numpy(), t["shingles"], {}, []
             for x, y in zip(a.tolist(), b.tolist(), strict=True):
                 for k in (x, y):
                     if k not in opened:
                         opened[k] = unpack_ints(packed[k].as_py())
                 both = len(np.intersect1d(opened[x], opened[y], assume_unique=True))
-                if 100 * both >= percent * (len(opened[x]) + len(opened[y]) - both):
+                if 100 * both >= scheme.percent * (len(opened[x]) + len(opened[y]) - both):
                     out.append((rep[x], rep[y]))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], ["a", "b"])
@@ -308,9 +351,18 @@ def _links_left(units: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return _dealt(some.join(sets, "rep").select(*some.columns, "shingles")).mapInArrow(test, "a long, b long")
 
 
+def _one_id(full: DataFrame, reps: DataFrame) -> DataFrame:
+    """Links (a, b) between the sets of rows that repeat a doc_id with other texts; none where doc_id is a key."""
+    sets = F.struct("d1", "d2", "n")
+    twice = full.groupBy("doc_id").agg(F.min(sets).alias("s0"), F.max(sets).alias("s1")).where("s0 <> s1").select("doc_id")
+    own = full.select("doc_id", "d1", "d2", "n").join(twice, "doc_id").join(reps.select("d1", "d2", "n", "rep"), ["d1", "d2", "n"])
+    return own.select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
+
+
 def groups(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) of every row of ``docs`` (doc_id, text)."""
-    light = stored(signatures(docs, width), "signatures")
+    scheme = Scheme(percent)
+    light = stored(signatures(docs, width, scheme), "signatures")
     full = light.where("n > 0 AND doc_id IS NOT NULL")
     reps = stored(full.groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.any_value("bands").alias("bands"), F.any_value("signature").alias("signature")), "representatives")
     rows = reps.select("rep", F.explode("bands").alias("key"))
@@ -322,16 +374,17 @@ def groups(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame
         return reps.select(F.col("rep").alias(x), F.col("n").alias(f"n{x}"), F.col("signature").alias(f"s{x}"))
 
     stars = shared.where("rep <> least_rep").select(F.col("least_rep").alias("a"), F.col("rep").alias("b")).distinct()
-    first = stored(stars.join(side("a"), "a").join(side("b"), "b").where(_possible(percent) & (equal_entries("sa", "sb") >= LEAST_EQUAL)).select("a", "b"), "pairs")
+    first = stored(stars.join(side("a"), "a").join(side("b"), "b").where(_promising(scheme)).select("a", "b"), "pairs")
     sets = stored(full_sets(docs, shared.select("rep").distinct(), width), "shingle-sets")
-    links = stored(confirmed(first, sets, percent), "links-1")
+    links = stored(confirmed(first, sets, percent).unionByName(_one_id(full, reps)), "links-1")
     found = stored(components(links), "components-1")
 
     for last in (False, True):
-        labelled = shared.select("key", "least_rep", "members", "rep").join(found.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-        open_ = labelled.groupBy("key").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 <> c1").select("key")
+        labelled = shared.select("key", "least_rep", "rep").join(found.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+        parts = labelled.groupBy("key", "component").agg(F.count(F.lit(1)).alias("k")).groupBy("key").agg(F.max(F.struct("k", "component")).alias("top"), F.sum("k").alias("members"), F.count(F.lit(1)).alias("parts"))
+        open_ = parts.where("parts > 1").select("key", F.col("top.component").alias("largest"), F.col("top.k").alias("of_largest"), "members")
         units = _units(labelled.join(open_, "key").join(facts, "rep"))
-        links = stored(_links_left(units, sets, percent) if last else confirmed(_best_left(units, percent), sets, percent), "links")
+        links = stored(_links_left(units, sets, scheme) if last else confirmed(_best_left(units, scheme), sets, percent), "links")
         if links.head(1):
             found = stored(components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(links)), "components")
 

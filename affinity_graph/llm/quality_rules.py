@@ -9,7 +9,7 @@ where two windows are equal are (hash, place) pairs sorted to find and cover the
 n log n in the words of a document, and no row is shuffled.
 
 Nulls and edges: a null or blank text has no words and fails; ``\\n`` alone parts lines; repeated rows are judged alike;
-other columns pass through ``clean`` unchanged; an empty table gives an empty result.
+other columns, of whatever name, pass through ``clean`` unchanged; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import SPACES, load
+from .common import SPACES, load, packed, unpacked
 
 MIN_WORDS, MAX_REPEAT_PERCENT, MAX_LOSS_PERCENT, WINDOW = 20, 30, 50, 8
 SYMBOLS = "#*$%&|<>"
@@ -57,10 +57,10 @@ def _pairs(a: str, gap: int, shorter: int) -> Column:
 
 
 def measured(docs: DataFrame) -> DataFrame:
-    """``docs`` with n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, q_lines and q_kept_lines."""
+    """(row, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, q_lines, q_kept_lines); ``row`` has the columns of ``docs``."""
     none = F.array().cast("array<bigint>")
-    t = F.coalesce(F.col("text"), F.lit(""))
-    df = docs.withColumn("q_words", F.array_remove(F.split(t, f"{_BLANK}+"), "")).withColumn("q_lines", F.split(t, "\\n"))
+    t = F.coalesce(F.col("row.text"), F.lit(""))
+    df = packed(docs).withColumn("q_words", F.array_remove(F.split(t, f"{_BLANK}+"), "")).withColumn("q_lines", F.split(t, "\\n"))
     df = df.withColumn("q_h1", F.transform("q_words", lambda w: F.xxhash64(w)))
     df = df.withColumn("q_h2", _pairs("q_h1", 1, 1)).withColumn("q_h4", _pairs("q_h2", 2, 2)).withColumn("q_h8", _pairs("q_h4", 4, 4))
     df = df.withColumn("q_again", F.size(F.array_distinct("q_h8")) < F.size("q_h8"))
@@ -100,15 +100,13 @@ def clean(docs: DataFrame, max_loss: int = MAX_LOSS_PERCENT) -> DataFrame:
     # A filter would be pushed through the projections and every measure worked out again inside it; one on the output of an
     # outer generator stays above them.
     one = F.explode_outer(F.when(F.col("kept"), F.array(F.lit(True))).otherwise(F.array().cast("array<boolean>")))
-    kept = judged(docs, max_loss).select(*docs.columns, "q_kept_lines", one.alias("q_one")).where("q_one IS NOT NULL").withColumn("text", F.array_join("q_kept_lines", "\n"))
-    if "n_chars" in docs.columns:
-        kept = kept.withColumn("n_chars", F.length("text").cast("long"))
-    return kept.select(*docs.columns)
+    kept = judged(docs, max_loss).select("row", "q_kept_lines", one.alias("q_one")).where("q_one IS NOT NULL").select("row", F.array_join("q_kept_lines", "\n").alias("said"))
+    return unpacked(kept, docs.columns, text=F.col("said"), n_chars=F.length("said").cast("long"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = load(spark, sf_dir, "documents").select("doc_id", "text")
-    return judged(docs).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "n_lines_removed", "n_chars_lost", "kept")
+    return judged(docs).select("row.doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "n_lines_removed", "n_chars_lost", "kept")
 
 
 _Q = {k: v.replace("'", "''") for k, v in {"ends": _ENDS.replace("$", "\\z"), "any": _ANY_POINT, "three": _THREE_WORDS, "boiler": BOILERPLATE}.items()}

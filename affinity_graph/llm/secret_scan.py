@@ -4,16 +4,17 @@ Patterns (kinds assign, access, hex) give the base spans. Every other run of 20
 candidate of kind ``random``. Its encoding is inferred (hex, base32, base36, letters, base64), and under the hypothesis that its symbols
 are independent and uniform three tests are made: chi-squared over the alphabet, runs of the upper half of the alphabet, and
 serial correlation of neighbours. The smallest p-value, times three, is the battery's; below ``LEVEL`` the candidate is
-ordinary text. One that passes could still be ordinary text too short to be found out: that chance falls as
-exp(-length * information per symbol) and is the p-value given to the Benjamini-Hochberg step-up over the candidates of its
-document at rate ``RATE``, so that short candidates need the company of longer ones. Rejected candidates count with 1.
+ordinary text. Those that pass are tested the other way round (``ordinary``), under the hypothesis that they are text, by the
+statistics of chi-squared (pairs of equal symbols, fewer than text has) and of runs (changes between kinds of symbols); that
+p-value, but not less than exp(-length * information per symbol), goes to the Benjamini-Hochberg step-up over the
+candidates of its document at rate ``RATE``: short candidates need the company of longer ones. Rejected candidates count with 1.
 
 Places are code points, from the lengths of what lies between matches; a text without matches costs a search alone. Work
 on a document grows with its length and its matches, and nothing is shuffled.
 
 Nulls and edges: a null text is empty and has no spans; repeated rows are scanned alike; overlapping spans of different
-kinds are all reported, and ``redact`` covers them as one; other columns pass through ``redact``; an empty table gives
-an empty result.
+kinds are all reported, and ``redact`` covers them as one; other columns, of whatever name, pass through ``redact``; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import load
+from .common import load, packed, unpacked
 
 
 def _either_case(word: str) -> str:
@@ -55,6 +56,9 @@ WIDER = (
     ("base26", "^[A-Z]+$", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", 0.12),
     ("base64", "^[A-Za-z0-9+/_-]+$", ENCODINGS[3][2], 0.45),
 )
+#: Ordinary identifiers: equal among pairs of symbols (in hex digits, else), changes of kind among neighbours (with letters of one
+#: case, of both), changes between vowels and consonants (fixed values).
+EQUAL, CHANGE, ALTERNATE = (0.12, 0.06), (0.12, 0.3), 0.6
 KINDS, FIT = ("aeiou", "bcdfghjklmnpqrstvwxyz", "AEIOU", "BCDFGHJKLMNPQRSTVWXYZ", "0123456789", "+/"), 0.02
 _SPAN = "array<struct<s:int,k:int,e:int,name:string,said:string>>"
 
@@ -85,9 +89,8 @@ def battery(said: Column, alphabet: str) -> Column:
     size = len(alphabet)
     n = F.length(said).cast("double")
     said = F.translate(said, "-_", "+/") if size == 64 else said
-    squares = F.aggregate(F.transform(F.sequence(F.lit(1), F.lit(size)), lambda i: F.pow((F.length(said) - F.length(F.replace(said, F.substr(F.lit(alphabet), i, F.lit(1)), F.lit("")))).cast("double"), F.lit(2.0))), F.lit(0.0), lambda a, x: a + x)
     df = float(size - 1)
-    chi = squares * F.lit(float(size)) / n - n
+    chi = (F.lit(2.0) * _collisions(said, alphabet) + n) * F.lit(float(size)) / n - n
     z_chi = (F.pow(F.greatest(chi, F.lit(0.0)) / df, F.lit(1 / 3)) - (1 - 2 / (9 * df))) / (2 / (9 * df)) ** 0.5
     halves = F.translate(said, alphabet, "0" * (size // 2) + "1" * (size // 2))
     ones = (n - F.length(F.replace(halves, F.lit("1"), F.lit("")))).cast("double")
@@ -102,6 +105,32 @@ def battery(said: Column, alphabet: str) -> Column:
     return F.least(F.lit(1.0), F.lit(3.0) * F.least(_upper_tail(z_chi), F.lit(2.0) * _upper_tail(z_runs), F.lit(2.0) * _upper_tail(z_serial)))
 
 
+def _collisions(said: Column, alphabet: str) -> Column:
+    """Pairs of equal symbols: chi-squared but for its scale, and with power where a symbol is expected less than once."""
+    n = F.length(said).cast("double")
+    squares = F.aggregate(F.transform(F.sequence(F.lit(1), F.lit(len(alphabet))), lambda i: F.pow((F.length(said) - F.length(F.replace(said, F.substr(F.lit(alphabet), i, F.lit(1)), F.lit("")))).cast("double"), F.lit(2.0))), F.lit(0.0), lambda a, x: a + x)
+    return (squares - n) / 2
+
+
+def ordinary(said: Column, alphabet: str) -> Column:
+    """p-value of a run under the hypothesis of text, from a collision test and a test of changes between kinds (Stouffer's sum).
+
+    Of pairs of symbols in text ``EQUAL`` are equal, and of neighbours ``CHANGE`` differ in kind (case, digit, sign); where
+    the alphabet has letters of one case only, kinds are vowels and consonants, which alternate more in text.
+    """
+    n = F.length(said).cast("double")
+    pairs = n * (n - 1) / 2
+    z_equal = F.lit(2.0) * (F.sqrt(F.lit(EQUAL[len(alphabet) > 16]) * pairs + 0.375) - F.sqrt(_collisions(said, alphabet) + 0.375))
+    letters_only = alphabet.isalpha() and (alphabet.islower() or alphabet.isupper())
+    kinds = (KINDS[0] + KINDS[2], KINDS[1] + KINDS[3]) if letters_only else (KINDS[0] + KINDS[1], KINDS[2] + KINDS[3], KINDS[4], KINDS[5])
+    kind_of = F.translate(said, "".join(kinds), "".join(str(i) * len(k) for i, k in enumerate(kinds)))
+    turns = (F.length(F.regexp_replace(kind_of, r"(.)\1*", "x")) - 1).cast("double")
+    both = any(c.islower() for c in alphabet) and any(c.isupper() for c in alphabet)
+    share, sign = (ALTERNATE, -1.0) if letters_only else (CHANGE[both], 1.0)
+    z_turns = F.lit(sign) * (turns - F.lit(share) * (n - 1)) / F.sqrt(F.lit(share * (1 - share)) * (n - 1))
+    return _upper_tail((z_equal + z_turns) / F.lit(2**0.5))
+
+
 def _fits(said: Column, alphabet: str) -> Column:
     """Whether vowels, consonants, digits and signs have about the shares of the alphabet (chi-squared)."""
     n = F.length(said).cast("double")
@@ -122,11 +151,13 @@ def _scored(candidates: Column) -> Column:
         for name, test, alphabet, nats in reversed(WIDER):
             said = F.translate(x["said"], "-", "") if name == "hex" else F.translate(x["said"], "-_", "+/")
             odds = F.exp(F.length(said).cast("double") * -nats)
-            passes = F.when(battery(said, alphabet) >= LEVEL, odds).otherwise(F.lit(1.0))
+            passes = F.when(battery(said, alphabet) >= LEVEL, F.greatest(odds, ordinary(said, alphabet))).otherwise(F.lit(1.0))
             # too short to be told from text by any company: no part of the step-up
             score = F.when(x["said"].rlike(test), F.when((odds <= RATE) & _fits(said, alphabet), passes)).otherwise(score)
-        for _, test, alphabet, nats in reversed(ENCODINGS):
-            passes = F.when(battery(x["said"], alphabet) >= LEVEL, F.exp(F.length(x["said"]).cast("double") * -nats)).otherwise(F.lit(1.0))
+        for name, test, alphabet, nats in reversed(ENCODINGS):
+            said = F.translate(x["said"], "-_", "+/") if name == "base64" else x["said"]
+            odds = F.exp(F.length(said).cast("double") * -nats)
+            passes = F.when(battery(said, alphabet) >= LEVEL, F.greatest(odds, ordinary(said, alphabet))).otherwise(F.lit(1.0))
             score = F.when(x["said"].rlike(test), passes).otherwise(score)
         return F.struct(score.alias("p"), x.alias("x"))
 
@@ -134,9 +165,9 @@ def _scored(candidates: Column) -> Column:
 
 
 def scan(docs: DataFrame) -> DataFrame:
-    """``docs`` with ``secrets``: array of (s, k, e, name, said) by start and kind."""
-    t = F.coalesce(F.col("text"), F.lit(""))
-    df = docs.withColumn("x_text", t)
+    """(row, secrets): the columns of ``docs`` as a struct, and an array of (s, k, e, name, said) by start and kind."""
+    t = F.coalesce(F.col("row.text"), F.lit(""))
+    df = packed(docs).withColumn("x_text", t)
     t = F.col("x_text")
     for number, (name, pattern, least, group) in enumerate(BASE):
         df = df.withColumn(f"x_{name}", _matches(t, pattern, SEARCH[name], number, name, least, group))
@@ -147,8 +178,9 @@ def scan(docs: DataFrame) -> DataFrame:
     # The limit goes in by an array of its copies, so that it is worked out once a document even if projections are merged.
     paired = F.zip_with("x_scored", F.array_repeat("x_limit", F.size("x_scored")), lambda y, limit: F.when(y["p"] <= limit, y["x"]))
     random = F.filter(paired, lambda x: x.isNotNull())
-    df = df.withColumn("secrets", F.sort_array(F.concat(*[f"x_{b[0]}" for b in BASE], random)))
-    return df.drop("x_text", "x_run", "x_scored", "x_limit", *[f"x_{b[0]}" for b in BASE])
+    spans = F.sort_array(F.concat(*[f"x_{b[0]}" for b in BASE], random))
+    # Filters on the spans are not pushed through a generator, which keeps them from working everything out again.
+    return df.select("row", F.explode(F.array(spans)).alias("secrets"))
 
 
 def listed(spans: Column) -> Column:
@@ -161,15 +193,14 @@ def redact(docs: DataFrame) -> DataFrame:
     zero = F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out"))
 
     def step(acc: Column, x: Column) -> Column:
-        gap = F.substr(F.col("text"), acc["at"] + 1, x["s"] - acc["at"])
+        gap = F.substr(F.col("row.text"), acc["at"] + 1, x["s"] - acc["at"])
         out = F.when(x["s"] >= acc["at"], F.array_append(acc["out"], F.concat(gap, F.lit("[SECRET]")))).otherwise(acc["out"])
         return F.struct(F.greatest(acc["at"], x["e"]).alias("at"), out.alias("out"))
 
-    text = F.aggregate("secrets", zero, step, lambda acc: F.concat(F.array_join(acc["out"], ""), F.substr(F.col("text"), acc["at"] + 1, F.length("text"))))
-    df = df.withColumn("text", F.when(F.size("secrets") > 0, text).otherwise(F.col("text")))
-    if "n_chars" in docs.columns:
-        df = df.withColumn("n_chars", F.when(F.size("secrets") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars")))
-    return df.select(*docs.columns)
+    left = F.aggregate("secrets", zero, step, lambda acc: F.concat(F.array_join(acc["out"], ""), F.substr(F.col("row.text"), acc["at"] + 1, F.length("row.text"))))
+    df = df.withColumn("left", F.when(F.size("secrets") > 0, left).otherwise(F.col("row.text")))
+    n_chars = F.when(F.size("secrets") > 0, F.length("left").cast("long")).otherwise(F.col("row.n_chars")) if "n_chars" in docs.columns else F.lit(None)
+    return unpacked(df, docs.columns, text=F.col("left"), n_chars=n_chars)
 
 
 def _of_kind(k: int):
@@ -180,4 +211,4 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = scan(load(spark, sf_dir, "documents").select("doc_id", "text"))
     base = F.filter("secrets", lambda x: x["k"] < len(BASE))
     counts = [F.size(F.filter("secrets", _of_kind(k))).cast("long").alias(f"n_{b[0]}") for k, b in enumerate(BASE)]
-    return df.select("doc_id", *counts, F.sha2(listed(base), 256).alias("base_sha256"), listed(F.col("secrets")).alias("spans"))
+    return df.select("row.doc_id", *counts, F.sha2(listed(base), 256).alias("base_sha256"), listed(F.col("secrets")).alias("spans"))

@@ -14,8 +14,9 @@ their repeats. The digest and the prefix group (a separate hash) must both agree
 in 10^10 words at 10^13 words. No group, bucket or document is cut short.
 
 Nulls and edges: a null text has no words; a document of fewer than ``width`` words has no suffix; a null doc_id is neither
-smaller nor larger than any other and keeps its words; rows that repeat a doc_id must be copies and are treated alike, none
-as the other's repeat; all other columns pass through; an empty table gives an empty result.
+smaller nor larger than any other and keeps its words; rows that repeat a doc_id are one document, none the other's repeat,
+and a place that is repeated in one is removed in all that reach to it; all other columns, of whatever name, pass through; an
+empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,14 +24,16 @@ from __future__ import annotations
 import hashlib
 import heapq
 import re
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import load, mix64, pack_ints, shuffle_width, span_hashes, text_buffer, text_pieces, unpack_ints, window_hashes, word_spans
+from .common import load, mix64, pack_ints, quoted, shuffle_width, span_hashes, text_buffer, text_pieces, unpack_ints, window_hashes, word_spans
 
 WIDTH = 13
 PREFIXES = (1, 2, 4)
@@ -221,6 +224,10 @@ def covered(starts: np.ndarray, width: int, words: int) -> np.ndarray:
     return np.cumsum(edge)[:words] > 0
 
 
+def _shape(ddl: str, more: list[T.StructField] | tuple = ()) -> T.StructType:
+    return T.StructType([*T.StructType.fromDDL(ddl).fields, *more])
+
+
 def without_repeats(docs: DataFrame, width: int = WIDTH, texts: bool = True) -> DataFrame:
     """``docs`` with n_words, n_removed and kept_sha256 and, if ``texts``, its text without the removed words.
 
@@ -236,14 +243,14 @@ def without_repeats(docs: DataFrame, width: int = WIDTH, texts: bool = True) ->
         squeeze = zstandard.ZstdCompressor(level=3).compress
         for piece in text_pieces(batches):
             ids = piece.column("doc_id")
-            slot = _bucket(ids.fill_null(0).to_numpy(zero_copy_only=False), slots).astype(np.int32)
             body = [None if t is None else squeeze(t.encode()) for t in piece.column("text").to_pylist()]
+            spread = np.fromiter((zlib.crc32(x or b"") for x in body), np.int64, len(body)) % slots  # rows without an id have no marks to meet
+            slot = np.where(ids.is_valid().to_numpy(zero_copy_only=False), _bucket(ids.fill_null(0).to_numpy(zero_copy_only=False), slots), spread).astype(np.int32)
             yield pa.RecordBatch.from_arrays([pa.array(slot), pa.array(np.ones(len(slot), np.int32)), ids, pa.array(body, pa.binary()), *([piece.column("rest")] if other else [])], ["slot", "kind", "doc_id", "body", *["rest"] * bool(other)])
 
-    rest = [F.struct(*[F.col(f"`{c}`") for c in other]).alias("rest")] if other else []
-    shape = docs.select("doc_id", *rest).schema
-    rest_ddl = f", rest {shape['rest'].dataType.simpleString()}" if other else ""
-    packed = docs.select("doc_id", "text", *rest).mapInArrow(shrink, f"slot int, kind int, doc_id long, body binary{rest_ddl}")
+    rest = [F.struct(*[F.col(quoted(c)) for c in other]).alias("rest")] if other else []
+    carried = docs.select(*rest).schema.fields if other else []
+    packed = docs.select("doc_id", "text", *rest).mapInArrow(shrink, _shape("slot int, kind int, doc_id long, body binary", carried))
     marks = found.select("slot", F.lit(0).alias("kind"), "docs", "counts", "places")
     both = packed.unionByName(marks, allowMissingColumns=True).repartitionById(slots, F.col("slot")).sortWithinPartitions("kind")
 
@@ -267,7 +274,9 @@ def without_repeats(docs: DataFrame, width: int = WIDTH, texts: bool = True) ->
                 raw = b"" if body is None else expand(body)
                 words = raw.split()
                 own = starts.get(doc_id) if doc_id is not None else None
-                gone = covered(np.concatenate(own), width, len(words)) if own and words else None
+                own = np.concatenate(own) if own else np.zeros(0, np.int32)
+                own = own[own + width <= len(words)]  # a place of another text under the same id
+                gone = covered(own, width, len(words)) if len(own) else None
                 left = words if gone is None else [w for w, g in zip(words, gone.tolist(), strict=True) if not g]
                 n_words.append(len(words))
                 n_removed.append(len(words) - len(left))
@@ -284,7 +293,8 @@ def without_repeats(docs: DataFrame, width: int = WIDTH, texts: bool = True) ->
                 names.append("text")
             yield pa.RecordBatch.from_arrays(columns, names)
 
-    return both.mapInArrow(apply, f"doc_id long{rest_ddl}, n_words long, n_removed long, kept_sha256 string{', text string' if texts else ''}")
+    said = "n_words long, n_removed long, kept_sha256 string" + (", text string" if texts else "")
+    return both.mapInArrow(apply, T.StructType([*_shape("doc_id long", carried).fields, *_shape(said).fields]))
 
 
 def deduplicated(docs: DataFrame, width: int = WIDTH) -> DataFrame:
@@ -295,7 +305,7 @@ def deduplicated(docs: DataFrame, width: int = WIDTH) -> DataFrame:
         if c == "n_chars":
             columns.append(F.when(F.col("n_removed") > 0, F.length("text").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("rest.n_chars")).alias(c))
         else:
-            columns.append(F.col(c) if c in ("doc_id", "text") else F.col(f"rest.`{c}`").alias(c))
+            columns.append(F.col(c) if c in ("doc_id", "text") else F.col(f"rest.{quoted(c)}").alias(c))
     return out.select(*columns)
 
 

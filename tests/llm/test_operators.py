@@ -111,9 +111,9 @@ def test_secrets(docs, rows, none):
     text = {r[0]: r[1] or "" for r in rows}
     seen = 0
     for r in secret_scan.scan(docs).collect():
-        base = sorted((m.start(), k, m.end()) for k, (_, x, least, g) in enumerate(kinds) for m in x.finditer(text[r.doc_id]) if len(m.group(g)) >= least)
+        base = sorted((m.start(), k, m.end()) for k, (_, x, least, g) in enumerate(kinds) for m in x.finditer(text[r.row.doc_id]) if len(m.group(g)) >= least)
         assert [(x.s, x.k, x.e) for x in r.secrets if x.k < 3] == base
-        assert all(text[r.doc_id][x.s : x.e] == x.said for x in r.secrets)
+        assert all(text[r.row.doc_id][x.s : x.e] == x.said for x in r.secrets)
         seen += sum(x.k == 3 for x in r.secrets)
     assert seen >= 1
     red = secret_scan.redact(docs)
@@ -139,11 +139,74 @@ def test_random_runs_of_every_encoding(spark):
     runs += [("uuid", "-".join("".join(rng.choice("0123456789abcdef") for _ in range(n)) for n in (8, 4, 4, 4, 12))) for _ in range(60)]
     words = ["internationalizations", "chapter2section3introduction", "en/docs/guide/getting-started", "a-state-of-the-art-method-2", "ThisIsAnOrdinaryIdentifier", "MAX_NUMBER_OF_ENTRIES", "--------------------------", "2024-01-02-03-04-05-06"]
     df = spark.createDataFrame([*runs, *(("text", w) for w in words)], "kind string, run string")
-    got = secret_scan.scan(df.withColumn("text", F.concat(F.lit("é see "), "run", F.lit(" there")))).select("kind", "run", F.filter("secrets", lambda x: x["k"] == 3).alias("found")).collect()
+    got = secret_scan.scan(df.withColumn("text", F.concat(F.lit("é see "), "run", F.lit(" there")))).select("row.kind", "row.run", F.filter("secrets", lambda x: x["k"] == 3).alias("found")).collect()
     hit = collections.Counter(r.kind for r in got if [(x.s, x.said) for x in r.found] == [(6, r.run)])
     assert all(hit[k] >= 51 for k in [*of, "uuid"]) and hit["text"] == 0, hit
 
 
+def test_p_values_hold_the_tests_and_the_length(spark):
+    rng = random.Random(9)
+    chars = secret_scan.ENCODINGS[3][2][:62]
+    words = "the value of this ordinary name is Read from Some Other long identifier and used in many places of the program".split()
+    runs = [("random", n, "".join(rng.choice(chars) for _ in range(n))) for n in (20, 40) for _ in range(40)]
+    runs += [("text", 40, "".join(rng.choice(words).capitalize() for _ in range(12))[:40]) for _ in range(40)]
+    chars = secret_scan.ENCODINGS[3][2]
+    df = spark.createDataFrame(runs, "kind string, n int, said string").select("kind", "n", secret_scan.ordinary(F.col("said"), chars).alias("p"), secret_scan.battery(F.col("said"), chars).alias("uniform"))
+    rows = df.collect()
+    p = {k: sorted(r.p for r in rows if (r.kind, r.n) == k) for k in (("random", 20), ("random", 40), ("text", 40))}
+    assert p["random", 40][20] < p["random", 20][20] < 0.01 < 0.05 and p["random", 40][-1] < 1e-3 and p["text", 40][20] > 100 * p["random", 40][20]
+    found = collections.Counter(r.kind for r in rows if r.n == 40 and r.uniform >= secret_scan.LEVEL and r.p <= secret_scan.RATE)
+    assert found["random"] >= 36 and found["text"] <= 1, found
+
+
+def test_secret_query_columns(spark, docs, data, tmp_path):
+    """Every column of the query over a whole table, but for the method's own spans, by regular expressions in Python."""
+    own = docs.where("doc_id IS NOT NULL").select((F.col("doc_id") + 10**6).alias("doc_id"), "text")
+    own.unionByName(common.load(spark, data, "documents").select("doc_id", "text")).write.parquet(f"{tmp_path}/documents.parquet")
+    data = str(tmp_path)
+    kinds = [("assign", re.compile(secret_scan.ASSIGN.replace("\\x20", " ")), 6, 2), ("access", re.compile("AKIA[A-Z0-9]+"), 20, 0), ("hex", re.compile("[0-9a-f]+"), 24, 0)]
+    want = {}
+    for r in common.load(spark, data, "documents").collect():
+        t = r.text or ""
+        found = sorted((m.start(), k, m.end()) for k, (_, x, least, g) in enumerate(kinds) for m in x.finditer(t) if len(m.group(g)) >= least)
+        said = [f"{kinds[k][0]}:{a}:{b}" for a, k, b in found]
+        want[r.doc_id] = (*(sum(f[1] == k for f in found) for k in range(3)), hashlib.sha256(",".join(said).encode()).hexdigest(), said)
+    got = secret_scan.query(spark, data).collect()
+    assert len(got) == len(want)
+    for r in got:
+        n_assign, n_access, n_hex, digest, said = want[r.doc_id]
+        spans = r.spans.split(",") if r.spans else []
+        assert (r.n_assign, r.n_access, r.n_hex, r.base_sha256) == (n_assign, n_access, n_hex, digest)
+        assert [x for x in spans if not x.startswith("random:")] == said and sorted(spans, key=lambda x: int(x.split(":")[1])) == spans
+    assert sum(w[0] + w[1] + w[2] for w in want.values()) > 0
+
+
+def parse_archive_file(records, path, n, responses):
+    """Every record of the exported files, by their content lengths alone; ids differ where rows do."""
+    import glob
+    import gzip
+
+    warc_archive.export(records, path)
+    seen, ids = 0, []
+    for name in glob.glob(f"{path}/*.gz"):
+        raw = gzip.open(name).read()
+        while raw:
+            head, _, raw = raw.partition(b"\r\n\r\n")
+            fields = dict(x.split(": ", 1) for x in head.decode().split("\r\n")[1:])
+            size = int(fields["Content-Length"])
+            body, raw = raw[:size], raw[size:]
+            assert head.startswith(b"WARC/1.1\r\n") and raw.startswith(b"\r\n\r\n")
+            raw = raw[4:]
+            page = fields["WARC-Record-ID"].split(":")[2]
+            ids.append(fields["WARC-Record-ID"])
+            if fields["WARC-Type"] == "response":
+                assert hashlib.sha256(body).hexdigest() == fields["WARC-Payload-Digest"][7:] and (page == "unknown" or bytes(responses[int(page)].body) == body)
+            else:
+                assert fields["WARC-Refers-To"] in ids or records.count() > 0
+            seen += 1
+    assert seen == n and len(set(ids)) == n - 1
+
+
 def test_archive(spark, none):
     big = "<p>" + "x" * 200
     pages = [(1, "http://a/", big), (2, "http://b/", big), (3, None, "short"), (4, "u", "short"), (5, "u", None), (5, "u", None), (None, "u", big), (7, "u", "é" * 90)]
@@ -155,8 +218,14 @@ def test_archive(spark, none):
     assert {(r.page_id, r.record_type, r.refers_to) for r in got.collect()} == {(1, "response", None), (2, "revisit", 1), (3, "response", None), (4, "response", None), (5, "response", None), (None, "response", None), (7, "response", None)}
     assert all(hashlib.sha256(r.payload).hexdigest() == r.payload_digest and len(r.payload) == r.bytes_read for r in got.collect())
     assert spark.read.parquet(f"{path}/payloads").count() == 4
-    one = warc_archive.record_bytes(got.where("page_id = 1")).head().record
-    assert bytes(one).startswith(b"WARC/1.1\r\nWARC-Type: response\r\n") and bytes(one).endswith(big.encode() + b"\r\n\r\n") and b"\r\n\r\n<p>" in bytes(one)
+    records = warc_archive.record_bytes(spark, path)
+    back = warc_archive.parsed(records).collect()
+    html = {r[0]: r[2] or "" for r in pages}
+    assert sorted((r.page_id, r.record_type, r.refers_to) for r in back if r.page_id) == sorted((r.page_id, r.record_type, r.refers_to) for r in got.collect() if r.page_id)
+    for r in back:
+        assert r.record_type == "revisit" or bytes(r.body) == (html[r.page_id] if r.page_id else big).encode()
+        assert r.said_digest == r.digest_read and (r.target is None) == (r.page_id == 3)
+    parse_archive_file(records, f"{path}-warc", len(pages), {r.page_id: r for r in back if r.page_id and r.record_type == "response"})
     spark.read.parquet(f"{path}/payloads").withColumn("payload", F.concat("payload", F.lit(b"!"))).write.parquet(f"{path}-bad/payloads")
     spark.read.parquet(f"{path}/records").write.parquet(f"{path}-bad/records")
     with pytest.raises(Exception, match="does not match"):
@@ -167,7 +236,7 @@ def test_archive(spark, none):
 
 
 def test_quality(docs, rows, none):
-    got = {r.doc_id: r for r in quality_rules.judged(docs).collect()}
+    got = {r.row.doc_id: r for r in quality_rules.judged(docs).collect()}
     for d, t, *_ in rows:
         w = WORD.findall(t or "")
         seen = collections.Counter(tuple(w[i : i + 8]) for i in range(len(w) - 7))
@@ -279,9 +348,8 @@ def shingles(t, width):
     return {tuple(w[i : i + width]) for i in range(len(w) - width + 1)} or ({tuple(w)} if w else set())
 
 
-@pytest.mark.parametrize("width", [2, 5])
-def test_near_duplicates(docs, rows, none, width):
-    sets = {d: shingles(t, width) for d, t in known(rows)}
+def linked(sets, percent=80):
+    """The smallest id that each document reaches, by all pairs."""
     top = {d: d for d in sets}
 
     def find(x):
@@ -291,17 +359,35 @@ def test_near_duplicates(docs, rows, none, width):
 
     for a in sets:
         for b in sets:
-            if a < b and sets[a] and 100 * len(sets[a] & sets[b]) >= 80 * len(sets[a] | sets[b]):
+            if a < b and sets[a] and 100 * len(sets[a] & sets[b]) >= percent * len(sets[a] | sets[b]):
                 x, y = sorted((find(a), find(b)))
                 top[y] = x
+    return {d: find(d) for d in sets}
+
+
+@pytest.mark.parametrize("width", [2, 5])
+def test_near_duplicates(docs, rows, none, width):
+    sets = {d: shingles(t, width) for d, t in known(rows)}
+    top = linked(sets)
     got = {r.doc_id: r for r in near_dedup.groups(docs, width).collect()}
-    assert {d: (r.n_shingles, r.component_id, r.kept) for d, r in got.items() if d is not None} == {d: (len(s), find(d), find(d) == d) for d, s in sets.items()}
+    assert {d: (r.n_shingles, r.component_id, r.kept) for d, r in got.items() if d is not None} == {d: (len(s), top[d], top[d] == d) for d, s in sets.items()}
     assert got[None].kept
     kept = near_dedup.deduplicated(docs, width)
-    assert kept.columns == docs.columns and kept.count() == sum(find(d) == d for d in sets) + 1
+    assert kept.columns == docs.columns and kept.count() == sum(top[d] == d for d in sets) + 1
     assert near_dedup.groups(none, width).count() == 0
 
 
+@pytest.mark.parametrize("stage", [quality_rules.clean, near_dedup.deduplicated, substring_dedup.deduplicated, secret_scan.redact])
+def test_columns_of_any_name_pass(spark, docs, stage):
+    """Columns named like an operator's own, the user's values in them, in and out unchanged."""
+    names = ["n_words", "kept", "secrets", "x_text", "q_words", "row", "q_one", "left", "said", "key", "own", "component", "rep", "bands", "kind", "body", "rest", "n_removed", "a`b", "x.y"]
+    wide = docs.select("doc_id", "text", *[F.concat(F.lit(f"mine {k} "), F.col("slot").cast("string")).alias(c) for k, c in enumerate(names)], "slot")
+    out = stage(wide)
+    assert out.columns == wide.columns
+    rows = out.collect()
+    assert rows and all(list(r)[2:] == [f"mine {k} {r['slot']}" for k in range(len(names))] + [r["slot"]] for r in rows)
+
+
 def test_components_of_a_chain(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(0, 40)] + [(100, 101), (7, 7)], "a long, b long")
     got = {r.node: r.component for r in near_dedup.components(links).collect()}
@@ -331,12 +417,44 @@ def test_links_at_the_threshold_of_small_sets(spark, union):
     assert len(got) == 800 and [r.doc_id for r in got if r.component_id != r.doc_id // 2 * 2] == []
 
 
+@pytest.mark.parametrize("percent", [50, 80, 95])
+def test_links_at_any_threshold(spark, percent):
+    """Against all pairs: chains of texts around the threshold, several copies, and a large group with a stranger in its buckets."""
+    scheme = near_dedup.Scheme(percent)
+    assert scheme.rows * scheme.bands <= near_dedup.HASHES and (1 - (percent / 100) ** scheme.rows) ** scheme.bands <= near_dedup.MISS
+    if percent == 80:
+        assert (scheme.rows, scheme.bands, scheme.least_equal) == (5, 40, 813)
+    rng = random.Random(percent)
+    texts = []
+    for g in range(25):
+        base = [f"g{g}w{i}" for i in range(rng.randint(15, 60))]
+        for _ in range(4):
+            words = list(base)
+            for i in rng.sample(range(len(base)), round(len(base) * rng.uniform(0, 1.3) * (1 - percent / 100) / (1 + percent / 100))):
+                words[i] = f"x{rng.random()}"
+            texts.append(" ".join(words))
+    base = [f"hot{i}" for i in range(100)]
+    texts += [" ".join(base[:k] + [f"y{k}"] + base[k + 1 :]) for k in range(100)] * 2 + [" ".join(base[:55] + [f"z{i}" for i in range(45)])]
+    sets = {d: shingles(t, 1) for d, t in enumerate(texts)}
+    got = {r.doc_id: r.component_id for r in near_dedup.groups(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), 1, percent).collect()}
+    assert got == linked(sets, percent)
+
+
+def test_rows_of_one_id_are_one_document(spark):
+    a, b, c = (" ".join(f"{x}{i}" for i in range(30)) for x in "abc")
+    df = spark.createDataFrame([(1, a), (2, a), (2, b), (3, b + " more"), (4, c), (4, c)], "doc_id long, text string")
+    assert {(r.doc_id, r.component_id) for r in near_dedup.groups(df, 1).collect()} == {(1, 1), (2, 1), (3, 1), (4, 4)}
+    assert sorted(r.doc_id for r in near_dedup.deduplicated(df, 1).collect()) == [1, 4, 4]
+    with pytest.raises(ValueError, match="percent"):
+        near_dedup.groups(df, 1, 20)
+
+
 def test_signature_collisions_are_drawn_anew():
     rng = np.random.default_rng(2)
     words = rng.integers(0, 2**32, (400, 5)).astype(np.uint32)
     least = [[(words[:, :n] * o).min(axis=1).astype(np.uint64) for o in near_dedup._ODD] for n in (4, 5)]
     equal = sum((near_dedup.two_bits(a, k) == near_dedup.two_bits(b, k)).astype(int) for k, (a, b) in enumerate(zip(*least, strict=True)))
-    assert equal.min() >= near_dedup.LEAST_EQUAL and 10 < equal.std() < 13 and abs(equal.mean() - 870.4) < 3
+    assert equal.min() >= near_dedup.Scheme().least_equal and 10 < equal.std() < 13 and abs(equal.mean() - 870.4) < 3
 
 
 def test_fingerprints(docs, rows, none):
