@@ -33,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import load, mix64, pack_ints, shuffle_width, span_hashes, stored, text_buffer, text_pieces, unpack_ints, window_hashes, word_spans
+from .common import load, mix64, pack_ints, quoted, shuffle_width, span_hashes, stored, text_buffer, text_pieces, unpack_ints, window_hashes, word_spans
 
 PERCENT, HASHES, MISS, MOST_ROWS = 80, 1024, 1.4e-7, 25
 PER_LONG, LOW_BITS = 32, 0x5555555555555555
@@ -209,13 +209,13 @@ def confirmed(pairs: DataFrame, sets: DataFrame, percent: int = PERCENT) -> Data
     """The pairs (a, b) whose full sets have the similarity."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        opened: dict[int, np.ndarray] = {}
+        opened: dict[bytes, np.ndarray] = {}  # by the packed set itself: an id may come with several
         for batch in batches:
             keep = []
             for a, b, x, y in zip(*(batch.column(c).to_pylist() for c in ("a", "b", "sa", "sb")), strict=True):
                 if len(opened) > 256:
                     opened.clear()
-                s, t = (opened.setdefault(i, unpack_ints(z)) if i not in opened else opened[i] for i, z in ((a, x), (b, y)))
+                s, t = (opened.setdefault(z, unpack_ints(z)) if z not in opened else opened[z] for z in (x, y))
                 both = len(np.intersect1d(s, t, assume_unique=True))
                 keep.append(100 * both >= percent * (len(s) + len(t) - both))
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
@@ -398,7 +398,7 @@ def groups(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame
 def deduplicated(docs: DataFrame, width: int = 5, percent: int = PERCENT) -> DataFrame:
     """One document of each group, the one with the smallest doc_id, in the columns of ``docs``."""
     gone = groups(docs, width, percent).where("NOT kept").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(gone, "doc_id", "left_anti").select(*map(quoted, docs.columns))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
