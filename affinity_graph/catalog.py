@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -14,6 +15,7 @@ from .plans import block_plan
 from .sources import graphs
 from .sources.tables import stored
 from .streaming import stream
+from .workloads import experiments
 
 Query = Callable[[SparkSession, str], DataFrame]
 FLAGSHIP, SEED, BETA = "doc_line", 1, 10.0
@@ -88,10 +90,12 @@ for g in ("doc_line", "user_next"):
     add(f"canonical_order_{g}", _loop(g, lambda s, d, g: profile.canonical_order(profile.degrees(graphs.BUILDERS[g](s, d)))), O.order(g))
 add("triangles_doc_line", lambda s, d: profile.triangles(stored_edges(s, d, FLAGSHIP)).select(F.array_sort(F.array("a", "b", "c")).alias("t")).select(F.col("t")[0].alias("a"), F.col("t")[1].alias("b"), F.col("t")[2].alias("c")), O.triangle_rows(FLAGSHIP))
 add("log_bins", lambda s, d: measures.log_bins(s, 1.5, 3000), O.bins())
-add("sampled_clustering_doc_line", lambda s, d: rounded(profile.sample_clustering(stored_edges(s, d, FLAGSHIP), 2000, SEED)))
-add("sampled_clustering_exact_below", lambda s, d: rounded(profile.sample_clustering(stored_edges(s, d, FLAGSHIP), 2000, SEED, exact_below=2000)))
-add("sampled_gcc_doc_line", lambda s, d: rounded(profile.sample_gcc(stored_edges(s, d, FLAGSHIP), 2000, SEED)))
-add("sampling_error_doc_line", lambda s, d: rounded(profile.sampling_error(stored_edges(s, d, FLAGSHIP), 2000, SEED)))
+add("sampled_clustering_doc_line", lambda s, d: rounded(profile.sample_clustering(stored_edges(s, d, FLAGSHIP), 2000, SEED, "portable")), O.sampled_clustering(FLAGSHIP, 2000, SEED))
+for g in ("part_basket", "user_next"):
+    add(f"sampled_clustering_{g}", _loop(g, lambda s, d, g: rounded(profile.sample_clustering(stored_edges(s, d, g), 2000, SEED, "portable"))), O.sampled_clustering(g, 2000, SEED))
+add("sampled_clustering_exact_below", lambda s, d: rounded(profile.sample_clustering(stored_edges(s, d, FLAGSHIP), 2000, SEED, "portable", exact_below=2000)), O.sampled_clustering(FLAGSHIP, 2000, SEED, 2000))
+add("sampled_gcc_doc_line", lambda s, d: rounded(profile.sample_gcc(stored_edges(s, d, FLAGSHIP), 2000, SEED, "portable")), O.sampled_gcc(FLAGSHIP, 2000, SEED))
+add("sampling_error_doc_line", lambda s, d: rounded(profile.sampling_error(stored_edges(s, d, FLAGSHIP), 2000, SEED, "portable")), O.sampling_error(FLAGSHIP, 2000, SEED))
 add("eigenvalues_doc_line", lambda s, d: rounded(spectrum.leading_eigenvalues(stored_edges(s, d, FLAGSHIP))))
 
 # plan
@@ -104,8 +108,8 @@ add("plan_cells_doc_line", lambda s, d: planned(s, d, FLAGSHIP).cells(), O.plan_
 add("nodes_fixture73", lambda s, d: block_plan.expand_nodes(planned(s, d, "fixture73")), O.expanded_nodes())
 add("blocks_fixture73", lambda s, d: block_plan.expand_blocks(planned(s, d, "fixture73")), O.expanded_blocks())
 for w in ("harmonic", "plain"):
-    add(f"plan_group_{w}", (lambda w: lambda s, d: rounded(planned(s, d, FLAGSHIP, weight=w).group))(w))
-add("plan_density_by_degree", lambda s, d: rounded(block_plan.build_plan(measured(s, d, FLAGSHIP), rho=F.lit(0.9) * F.exp(-F.lit(0.01) * F.col("degree"))).group))
+    add(f"plan_group_{w}", (lambda w: lambda s, d: rounded(planned(s, d, FLAGSHIP, weight=w).group))(w), O.plan_group(FLAGSHIP, w))
+add("plan_density_by_degree", lambda s, d: rounded(block_plan.build_plan(measured(s, d, FLAGSHIP), rho=F.lit(0.9) * F.exp(-F.lit(0.01) * F.col("degree"))).group), O.plan_by_degree(FLAGSHIP, 0.9, 0.01))
 
 # draws
 _N = 20_000
@@ -120,9 +124,17 @@ add("global_edges_doc_line", lambda s, d: made(s, d).where("phase = 2"), O.gen_r
 add("generated_doc_line", lambda s, d: clone(s, d), O.gen_edges(FLAGSHIP, BETA, SEED))
 add("generated_bulk", lambda s, d: clone(s, d, mode="bulk"), O.gen_edges(FLAGSHIP, BETA, SEED, "bulk"))
 for m in ("poisson", "skip", "realised"):
-    add(f"generated_{m}", (lambda m: lambda s, d: clone(s, d, mode=m))(m))
-for k in ("sort", "endpoint", "tile"):
+    add(f"generated_{m}", (lambda m: lambda s, d: clone(s, d, mode=m))(m), O.gen_edges(FLAGSHIP, BETA, SEED, m))
+for k in ("sort", "endpoint"):
     add(f"dedup_{k}", (lambda k: lambda s, d: clone(s, d, k))(k), O.gen_edges(FLAGSHIP, BETA, SEED))
+
+
+def _tiled(s: SparkSession, d: str) -> DataFrame:
+    plan = planned(s, d, FLAGSHIP, BETA)
+    return generate.dedup(stored(generate.generate(plan, SEED, "skip", "portable"), "gen"), "tile", plan, unique_local=True)
+
+
+add("dedup_tile", _tiled, O.gen_edges(FLAGSHIP, BETA, SEED, "skip"))
 add("dedup_count", lambda s, d: clone(s, d, "count"), O.gen_count(FLAGSHIP, BETA, SEED))
 add("clone_summary_doc_line", lambda s, d: profile.summary(stored(clone(s, d), "clone"), FLAGSHIP, "model"), O.clone_summary(FLAGSHIP, BETA, SEED))
 add("clone_profile_doc_line", lambda s, d: rounded(profile.measure_profile(stored(clone(s, d), "clone"), FLAGSHIP)), O.clone_profile(FLAGSHIP, BETA, SEED))
@@ -139,7 +151,7 @@ def _blowup(beta: float) -> Query:
 
 add("blowup_isolated", _blowup(BETA), O.blowup(FLAGSHIP, BETA, SEED))
 add("blowup_isolated_beta_1", _blowup(1.0), O.blowup(FLAGSHIP, 1.0, SEED))
-add("triangle_provenance", lambda s, d: measures.triangle_provenance(stored(made(s, d), "gen")))
+add("triangle_provenance", lambda s, d: measures.triangle_provenance(stored(made(s, d), "gen")), O.triangle_provenance(FLAGSHIP, BETA, SEED))
 add("draws_per_edge", lambda s, d: generate.draws_per_edge(planned(s, d, "fixture73")), "SELECT 1::INTEGER AS phase, 1::INTEGER AS discrete, 3::INTEGER AS uniforms UNION ALL SELECT 2, 2, 4")
 
 # baselines
@@ -147,11 +159,11 @@ add("chung_lu", lambda s, d: generate.dedup(baselines.chung_lu(hist(s, d, FLAGSH
 add("chung_lu_blowup", lambda s, d: generate.dedup(baselines.chung_lu(hist(s, d, FLAGSHIP), BETA, SEED, "portable")), O.chung_lu(FLAGSHIP, BETA, SEED))
 add("chung_lu_pairs", lambda s, d: baselines.chung_lu_pairs(stored(profile.degrees(graphs.BUILDERS[FLAGSHIP](s, d)), "nodes"), SEED, "portable"), O.chung_lu_pairs(FLAGSHIP, SEED))
 add("chung_lu_expected", lambda s, d: baselines.chung_lu_expected(hist(s, d, FLAGSHIP)), O.chung_lu_expected(FLAGSHIP))
-add("degree_dispersion", lambda s, d: rounded(measures.degree_dispersion(measured(s, d, FLAGSHIP), 5)))
+add("degree_dispersion", lambda s, d: rounded(measures.degree_dispersion(measured(s, d, FLAGSHIP), 5, "portable")), O.degree_dispersion(FLAGSHIP, 5))
 add("kronecker", lambda s, d: generate.dedup(baselines.kronecker(s, 9, 4000, seed=SEED, kind="portable")), O.kronecker(9, 4000, baselines.INITIATOR, SEED))
-add("kronecker_noisy", lambda s, d: generate.dedup(baselines.kronecker(s, 9, 4000, seed=SEED, noise=0.05)))
+add("kronecker_noisy", lambda s, d: generate.dedup(baselines.kronecker(s, 9, 4000, seed=SEED, noise=0.05, kind="portable")), O.kronecker(9, 4000, baselines.INITIATOR, SEED, 0.05))
 add("erdos_renyi_pairs", lambda s, d: baselines.erdos_renyi(s, 300, 0.05, "pairs", SEED, "portable"), O.erdos_renyi_pairs(300, 0.05, SEED))
-add("erdos_renyi_skip", lambda s, d: baselines.erdos_renyi(s, 3000, 0.002, "skip", SEED))
+add("erdos_renyi_skip", lambda s, d: baselines.erdos_renyi(s, 3000, 0.002, "skip", SEED, "portable"), O.erdos_renyi_skip(3000, 0.002, SEED))
 
 # idealized profiles
 _DPL, _DGLN = (1.911,), (1.98, 2.08)
@@ -164,18 +176,20 @@ _A, _B = [(round(1.9 + k / 20, 2), round(1.9 + j / 20, 2)) for k in range(4) for
 add("fit_grid_dgln", lambda s, d: ideal.fit_grid(s, "dgln", 16, 10_000, s.createDataFrame(_A, "alpha double, delta double")), O.fit_grid("dgln", ["alpha", "delta"], _A, 16, 10_000))
 add("fit_grid_dpl", lambda s, d: ideal.fit_grid(s, "dpl", 16, 10_000, s.createDataFrame(_B, "gamma double")), O.fit_grid("dpl", ["gamma"], _B, 16, 10_000))
 add("ideal_clustering", lambda s, d: rounded(ideal.ideal_clustering(hist(s, d, FLAGSHIP), 0.5, 0.01)), O.ideal_clustering(FLAGSHIP, 0.5, 0.01))
+_XIS = [0.002 * 2**k for k in range(8)]
+add("fit_xi_grid", lambda s, d: ideal.fit_xi_grid(hist(s, d, FLAGSHIP), 0.9, 0.4, s.createDataFrame([(x,) for x in _XIS], "xi double")), O.xi_grid(FLAGSHIP, 0.9, 0.4, _XIS))
 add("ideal_clustering_noisy", lambda s, d: rounded(ideal.ideal_clustering(hist(s, d, FLAGSHIP), 0.5, 0.01, True, SEED, "portable")), O.ideal_noisy(FLAGSHIP, 0.5, 0.01, SEED))
 add("ideal_profile_gcc", lambda s, d: rounded(profile.profile_gcc(ideal.ideal_clustering(hist(s, d, FLAGSHIP), 0.5, 0.01).withColumn("graph", F.lit("ideal")))), O.ideal_gcc(FLAGSHIP, 0.5, 0.01))
-add("ideal_check", lambda s, d: rounded(ideal.check_ideal(ideal.ideal_degrees(s, _SPEC), 16, 10_000), 4))
-add("dgln_study", lambda s, d: ideal.dgln_study(s, 10_000_000, 100_000), O.dgln_study(10_000_000, 100_000))
-add("realised_rounded", lambda s, d: ideal.realise(ideal.ideal_degrees(s, _SPEC), 10_000))
-add("realised_multinomial", lambda s, d: ideal.realise(ideal.ideal_degrees(s, _SPEC), 10_000, "multinomial", SEED))
+add("ideal_check", lambda s, d: rounded(ideal.check_ideal(ideal.ideal_degrees(s, _SPEC), 16, 10_000), 4), O.ideal_check("dgln", _DGLN, 1000, 16, 10_000))
+add("dgln_study", lambda s, d: ideal.dgln_study(s), O.dgln_study(10_000_000, 1_000_000))
+add("realised_rounded", lambda s, d: ideal.realise(ideal.ideal_degrees(s, _SPEC), 10_000), O.realised_rounded("dgln", _DGLN, 1000, 10_000))
+add("realised_multinomial", lambda s, d: ideal.realise(ideal.ideal_degrees(s, _SPEC), 10_000, "multinomial", SEED, "portable"), O.realised_multinomial("dgln", _DGLN, 1000, 10_000, SEED))
 add("benchmark_summary", lambda s, d: profile.summary(stored(ideal.benchmark_graph(s, 10_000, 16, 1000, 0.5, gcc=0.1, spec=_SPEC)[1], "bench"), "benchmark", "model"))
 
 # the coupon experiment
 add("coupon_weight", lambda s, d: s.range(1).select(F.round(F.lit(45.0) * -F.log1p(F.lit(-0.5)), 6).alias("draws"), F.lit(22.5).alias("target")), "SELECT round(45::DOUBLE * ln(2::DOUBLE), 6) AS draws, 22.5::DOUBLE AS target")
 add("coupon_harmonic", lambda s, d: s.range(1, 1001).select((F.col("id") * 10).alias("u"), (F.col("id") * 5).alias("seen")).select("u", F.round(F.col("u") * F.aggregate(F.sequence(F.col("u") - F.col("seen") + 1, F.col("u")), F.lit(0.0), lambda a, x: a + F.lit(1.0) / x), 6).alias("draws")).where("u <= 100"), "SELECT u::BIGINT AS u, round(u * sum(1::DOUBLE / k), 6) AS draws FROM range(10, 101, 10) t(u), LATERAL (SELECT unnest(range(u - u // 2 + 1, u + 1)) AS k) GROUP BY u")
-add("coupon_trials", lambda s, d: measures.coupon_trials(s, 10, 0.5, 10_000, SEED))
+add("coupon_trials", lambda s, d: measures.coupon_trials(s, 10, 0.5, 10_000, SEED, "portable"), O.coupon_poisson(10_000, SEED, measures.poisson_cdf(-45 * math.log1p(-0.5))))
 add("coupon_trials_fixed", lambda s, d: measures.coupon_trials(s, 10, 0.5, 2000, SEED, "portable", True), O.coupon_fixed(2000, SEED))
 
 
@@ -184,27 +198,28 @@ def _models(s: SparkSession, d: str) -> dict[str, DataFrame]:
     """Profiles of the original and of every model of the flagship graph."""
     own = measured(s, d, FLAGSHIP)
     n, m = own.agg(F.sum("n"), F.sum(F.col("n") * F.col("degree"))).head()
-    plans = {f"model_{b:g}": generate.generate(block_plan.build_plan(own, b), SEED) for b in (1.0, BETA)}
-    plans |= {"chung_lu": baselines.chung_lu(own, BETA, SEED), "kronecker": baselines.kronecker(s, max(1, (n - 1).bit_length()), m // 2, seed=SEED)}
-    return {"original": own} | {k: stored(profile.measure_profile(stored(generate.dedup(x), "edges"), k), "profile") for k, x in plans.items()}
+    models = {f"model_{b:g}": generate.generate(block_plan.build_plan(own, b), SEED, kind="portable") for b in (1.0, BETA)}
+    models |= {"chung_lu": baselines.chung_lu(own, BETA, SEED, "portable"), "kronecker": baselines.kronecker(s, max(1, (n - 1).bit_length()), m // 2, seed=SEED, kind="portable")}
+    return {"original": own} | {k: profile.measure_profile(stored(generate.dedup(x), "edges"), k) for k, x in models.items()}
 
 
 def compare_models(s: SparkSession, d: str) -> DataFrame:
     p = _models(s, d)
-    out = None
+    every = None
     for k, x in p.items():
-        row = measures.compare(p["original"], x).select(F.lit(k).alias("model"), "*")
-        out = row if out is None else out.unionByName(row)
-    return out
+        rows = x.select(F.lit(k).alias("model"), "degree", "n", "c")
+        every = rows if every is None else every.unionByName(rows)
+    return measures.compare_all(p["original"], stored(every, "profiles"))
 
 
 def _clone_hist(s: SparkSession, d: str) -> DataFrame:
     return profile.degree_hist(profile.degrees(clone(s, d)))
 
 
-add("compare_models_doc_line", compare_models)
+add("compare_models_doc_line", compare_models, O.compare_models(FLAGSHIP, (1.0, BETA), BETA, baselines.INITIATOR, SEED))
 add("ks_distance", lambda s, d: measures.ks_distance(hist(s, d, FLAGSHIP), _clone_hist(s, d)), O.compared(FLAGSHIP, BETA, SEED))
-add("profile_series_doc_line", lambda s, d: rounded(measures.profile_series(measured(s, d, FLAGSHIP), profile.measure_profile(stored(clone(s, d), "clone"), FLAGSHIP))))
+add("profile_series_doc_line", lambda s, d: rounded(measures.profile_series(measured(s, d, FLAGSHIP), profile.measure_profile(stored(clone(s, d), "clone"), FLAGSHIP))), O.profile_series(FLAGSHIP, BETA, SEED))
+add("clustering_gap", lambda s, d: measures.clustering_gap(measured(s, d, FLAGSHIP), profile.measure_profile(stored(clone(s, d), "clone"), FLAGSHIP)), O.clustering_gap(FLAGSHIP, BETA, SEED))
 
 # relational surroundings
 _nodes = lambda s, d, g=FLAGSHIP: profile.degrees(graphs.BUILDERS[g](s, d))
@@ -233,8 +248,8 @@ def _rollup(s: SparkSession, d: str) -> DataFrame:
     return relational.phase_rollup(generate.generate(plan, SEED, kind="portable"), plan)
 
 
-add("rollup_phase", _rollup)
-add("pivot_summary", lambda s, d: relational.pivoted(profile.summary(stored_edges(s, d, FLAGSHIP), FLAGSHIP, "original").unionByName(profile.summary(stored(clone(s, d), "clone"), FLAGSHIP, "model"))))
+add("rollup_phase", _rollup, O.phase_rollup(FLAGSHIP, BETA, SEED))
+add("pivot_summary", lambda s, d: relational.pivoted(profile.summary(stored_edges(s, d, FLAGSHIP), FLAGSHIP, "original").unionByName(profile.summary(stored(clone(s, d), "clone"), FLAGSHIP, "model"))), O.pivoted(FLAGSHIP, BETA, SEED))
 
 # streams: the batch result of the finished query
 _WINDOW = "SELECT w AS start, w + INTERVAL {n} MINUTE AS \"end\", user_id, count(*)::BIGINT AS events FROM ({src}) GROUP BY ALL"
@@ -250,7 +265,7 @@ def _finished(kind: str) -> Query:
 
 add("window_edges_tumbling", _finished("tumbling"), _WINDOW.format(n=5, src="SELECT time_bucket(INTERVAL 5 MINUTE, ts) AS w, user_id FROM events"))
 add("window_edges_sliding", _finished("sliding"), _WINDOW.format(n=15, src="SELECT time_bucket(INTERVAL 5 MINUTE, ts) - INTERVAL (5 * k) MINUTE AS w, user_id FROM events, range(3) t(k)"))
-add("window_edges_session", _finished("session"))
+add("window_edges_session", _finished("session"), O.SESSIONS)
 
 
 def _running(s: SparkSession, d: str) -> DataFrame:
@@ -261,11 +276,47 @@ def _running(s: SparkSession, d: str) -> DataFrame:
 add("running_degrees", _running, "SELECT v, count(*)::BIGINT AS degree FROM (SELECT user_id * 2 AS v FROM events UNION ALL SELECT event_id * 2 + 1 FROM events) GROUP BY v")
 
 
+add("stream_generate", lambda s, d: generate.dedup(stream.generated_by_stream(planned(s, d, FLAGSHIP, BETA), round(sum(planned(s, d, FLAGSHIP, BETA).totals())), SEED, "portable")), O.gen_edges(FLAGSHIP, BETA, SEED))
+add("stream_static_nation", lambda s, d: stream.finished(stream.by_nation(stream.event_stream(s, d), s, d), "nation", "complete"), "SELECT c_nationkey, count(*)::BIGINT AS events FROM events JOIN customer ON c_custkey = user_id GROUP BY 1")
+add("stream_followed_within", lambda s, d: stream.finished(stream.followed_within(stream.event_stream(s, d), stream.event_stream(s, d)), "followed"), "SELECT a.user_id, a.event_id AS first_id, b.event_id AS second_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id < b.event_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 60 MINUTE")
+
+
+def _stateful(s: SparkSession, d: str) -> DataFrame:
+    ends = stream.event_stream(s, d).select((F.col("user_id") * 2).alias("lo"), (F.col("event_id") * 2 + 1).alias("hi"))
+    with stream.column_families(s):
+        return stream.finished(stream.stateful_degrees(ends), "stateful", "update")
+
+
+add("stream_stateful_degrees", _stateful, "SELECT v, count(*)::BIGINT AS degree FROM (SELECT user_id * 2 AS v FROM events UNION ALL SELECT event_id * 2 + 1 FROM events) GROUP BY v")
+
+# more of the relational surroundings
+add("edges_by_degree", lambda s, d: relational.edges_by_degree(graphs.BUILDERS[FLAGSHIP](s, d), _nodes(s, d)), f"{_WITH} SELECT degree, count(*)::BIGINT AS edges FROM e JOIN nd ON v = lo GROUP BY degree")
+add("lateral_blocks", lambda s, d: relational.lateral_blocks(planned(s, d, "fixture73")), f"SELECT g, block, first_node FROM ({O.expanded_blocks()})")
+add("decimal_gcc", lambda s, d: relational.decimal_gcc(profile.clustering_by_degree(stored_edges(s, d, FLAGSHIP))), f"WITH {O._clustered(FLAGSHIP)} SELECT round(sum(closed)::DOUBLE / sum(wedges)::DOUBLE, 9) AS gcc FROM cd")
+add("multiset_difference", lambda s, d: relational.multiset_difference(graphs.user_next(s, d), graphs.user_window(s, d)), f"SELECT * FROM ({O.EDGES['user_next']})")
+add("degree_shape", lambda s, d: relational.degree_shape(_nodes(s, d)), f"{_WITH}, m AS (SELECT avg(degree) AS a FROM nd), c AS (SELECT avg((degree - a) ** 2) AS m2, avg((degree - a) ** 3) AS m3, avg((degree - a) ** 4) AS m4 FROM nd, m) SELECT round(m3 / m2 ** 1.5, 6) AS skewness, round(m4 / m2 ** 2 - 3, 6) AS kurtosis FROM c")
+add("near_degrees", lambda s, d: relational.near_degrees(hist(s, d, FLAGSHIP)), f"{_WITH} SELECT degree, (sum(n) OVER (ORDER BY degree RANGE BETWEEN 2 PRECEDING AND 2 FOLLOWING))::BIGINT AS near FROM h")
+add("hist_json", lambda s, d: relational.hist_json(hist(s, d, FLAGSHIP)), f"{_WITH} SELECT degree, '{{\"degree\":' || degree || ',\"n\":' || n || '}}' AS said FROM h")
+add("recursive_bins", lambda s, d: relational.recursive_bins(s), f"WITH {O._BINS} SELECT lo FROM bn WHERE lo <= 3000")
+add("stratified_sample", lambda s, d: relational.stratified(_nodes(s, d), 0.5, SEED))
+
+# the experiments; seconds are left to the bench
+add("w1_summary", lambda s, d: rounded(experiments.small_comparison(s, d, (FLAGSHIP,), k=0)["summary"]))
+add("w2_large_clones", lambda s, d: rounded(experiments.large_clones(s, d, (FLAGSHIP, "part_basket", "page_href"))["summary"]))
+add("w3_degree_fits", lambda s, d: rounded(experiments.degree_fit_cases(s), 4))
+add("w4_example_graphs", lambda s, d: rounded(experiments.example_graphs(s)["summary"]))
+add("w5_weak_scaling", lambda s, d: experiments.weak_scaling(s, steps=3).drop("seconds"))
+add("w7_largest_series", lambda s, d: rounded(experiments.largest_series(s, 40_000, 1000)))
+add("w8_replot_binned", lambda s, d: rounded(experiments.replot(measured(s, d, FLAGSHIP))[0]), O.binned(FLAGSHIP))
+add("w8_replot_cumulative", lambda s, d: rounded(experiments.replot(measured(s, d, FLAGSHIP))[1]), O.cumulative_shares(FLAGSHIP))
+add("w10_ablations", lambda s, d: experiments.ablations(s, d))
+
+
 def flagship(s: SparkSession, d: str) -> DataFrame:
     """The original graph and its clone, one summary row each."""
     own = stored_edges(s, d, FLAGSHIP)
-    made_ = stored(generate.clone_graph(own, FLAGSHIP, BETA, seed=SEED), "clone")
+    made_ = stored(generate.clone_graph(own, FLAGSHIP, BETA, seed=SEED, kind="portable"), "clone")
     return profile.summary(own, FLAGSHIP, "original").unionByName(profile.summary(made_, FLAGSHIP, "model"))
 
 
-add("flagship", flagship)
+add("flagship", flagship, O.flagship(FLAGSHIP, BETA, SEED))

@@ -4,14 +4,14 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from ..functions import rng
 from ..functions.rng import below, uniform
 from .discrete import cumulative, draw
-from .generate import EDGES_PER_TASK, edge_ids, edge_total
+from .generate import EDGES_PER_TASK, HITS, STEPS, edge_ids, edge_total
 
 INITIATOR = (0.57, 0.19, 0.19, 0.05)
 
@@ -64,7 +64,10 @@ def chung_lu_pairs(nodes: DataFrame, seed: int = 1, kind: str = "fast") -> DataF
 
 
 def chung_lu_expected(profile: DataFrame) -> DataFrame:
-    """(degree_a, degree_b, expected): expected edges between degree classes, as m draws of pairs give them."""
+    """(degree_a, degree_b, expected): expected edges between degree classes, as m draws of pairs give them.
+
+    A row per pair of distinct degrees, which is the result's own size; give degrees in log bins where there are many.
+    """
     p = profile.select(F.col("degree").alias("degree_a"), F.col("n").alias("na"))
     q = profile.select(F.col("degree").alias("degree_b"), F.col("n").alias("nb"))
     stubs = profile.agg(F.sum(F.col("degree") * F.col("n")).cast("double").alias("stubs"))
@@ -73,16 +76,21 @@ def chung_lu_expected(profile: DataFrame) -> DataFrame:
     return both.select("degree_a", "degree_b", F.round(F.when(F.col("degree_a") == F.col("degree_b"), share).otherwise(share * 2), 6).alias("expected"))
 
 
+def quadrants(initiator: tuple[float, ...], noise: float, seed: int, level: int) -> list[float]:
+    """Shares of the four quadrants on one level."""
+    p = [x / sum(initiator) for x in initiator]
+    if noise:
+        shift = noise * (2 * ((seed * 2654435761 + level * 40503) % 65536) / 65536 - 1)
+        spread = p[0] + p[3]
+        p = [p[0] - 2 * shift * p[0] / spread, p[1] + shift, p[2] + shift, p[3] - 2 * shift * p[3] / spread]
+    return p
+
+
 def kronecker(spark: SparkSession, levels: int, edges: int, initiator: tuple[float, float, float, float] = INITIATOR, seed: int = 1, noise: float = 0.0, kind: str = "fast", edges_per_task: int = EDGES_PER_TASK) -> DataFrame:
     """``edges`` draws of a quadrant on each of ``levels`` levels; ``noise`` perturbs the initiator level by level, which evens degrees out."""
     a = b = F.lit(0).cast("bigint")
-    top = sum(initiator)
     for level in range(levels):
-        p = [x / top for x in initiator]
-        if noise:
-            shift = noise * (2 * ((seed * 2654435761 + level * 40503) % 65536) / 65536 - 1)
-            spread = p[0] + p[3]
-            p = [p[0] - 2 * shift * p[0] / spread, p[1] + shift, p[2] + shift, p[3] - 2 * shift * p[3] / spread]
+        p = quadrants(initiator, noise, seed, level)
         u = uniform(seed, "edge_id", rng.LEVEL + level, kind)
         down = u >= F.lit(p[0] + p[1])
         right = ((u >= F.lit(p[0])) & ~down) | (u >= F.lit(p[0] + p[1] + p[2]))
@@ -90,17 +98,21 @@ def kronecker(spark: SparkSession, levels: int, edges: int, initiator: tuple[flo
     return edge_ids(spark, edges, edges_per_task).select("edge_id", F.lit(2).cast("tinyint").alias("phase"), a.alias("a"), b.alias("b"))
 
 
-def erdos_renyi(spark: SparkSession, n: int, rho: float, method: str = "skip", seed: int = 1, kind: str = "fast", tile: int = 1 << 20) -> DataFrame:
+def erdos_renyi(spark: SparkSession, n: int, rho: float, method: str = "skip", seed: int = 1, kind: str = "fast") -> DataFrame:
     """Each pair of 1..n with probability ``rho``: a coin per pair, or geometric gaps inside tiles of pair codes for sparse graphs."""
     if method == "pairs":
         p = _pairs(n, spark)
         return p.where(uniform(seed, "code", rng.TRIAL, kind) < F.lit(rho)).select((F.col("lo") + 1).alias("lo"), (F.col("hi") + 1).alias("hi"))
-    total = n * (n - 1) // 2
-    steps = min(tile, math.ceil(tile * rho + 12 * math.sqrt(tile * rho) + 20))
-    tiles = spark.range(0, max(1, -(-total // tile)), 1, max(1, math.ceil(total * rho / EDGES_PER_TASK))).withColumnRenamed("id", "t")
-    rows = tiles.withColumn("s", F.explode(F.sequence(F.lit(1), F.lit(steps))))
-    gap = F.floor(F.log1p(-uniform(seed, F.concat_ws("-", "t", "s"), rng.SKIP, kind)) / F.lit(math.log1p(-min(rho, 1 - 1e-12)))) + 1
-    at = F.sum("gap").over(Window.partitionBy("t").orderBy("s")) - 1
-    codes = rows.withColumn("gap", gap.cast("bigint")).withColumn("at", at).where(F.col("at") < tile).select((F.col("t") * tile + F.col("at")).alias("code")).where(F.col("code") < total)
+    total, keep = n * (n - 1) // 2, F.lit(min(rho, 1 - 1e-12))
+    span = math.ceil(HITS / rho) if rho > 0 else max(1, total)
+    tiles = spark.range(0, -(-total // span), 1, max(spark.sparkContext.defaultParallelism, math.ceil(total * rho / EDGES_PER_TASK))).withColumnRenamed("id", "t")
+
+    def step(acc: Column, s: Column) -> Column:
+        gap = F.floor(F.log(F.lit(1.0) - uniform(seed, F.concat_ws("-", "t", s), rng.SKIP, kind)) / F.log(F.lit(1.0) - keep)) + 1
+        at = acc["at"] + gap
+        return F.struct(at.alias("at"), F.when(at < span, F.array_append(acc["codes"], at)).otherwise(acc["codes"]).alias("codes"))
+
+    zero = F.struct(F.lit(-1).cast("bigint").alias("at"), F.array().cast("array<bigint>").alias("codes"))
+    codes = tiles.select("t", F.explode(F.aggregate(F.sequence(F.lit(1), F.lit(STEPS)), zero, step, lambda acc: acc["codes"])).alias("at"))
+    codes = codes.select((F.col("t") * span + F.col("at")).alias("code")).where(F.col("code") < total)
     return _unranked(codes).select((F.col("lo") + 1).alias("lo"), (F.col("hi") + 1).alias("hi"))
-

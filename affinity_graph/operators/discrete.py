@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-BROADCAST_BINS = 2_000_000
+BROADCAST_BINS, ARRAY_BINS = 2_000_000, 4096
 PLACES = 9
 
 
@@ -54,7 +54,7 @@ def draw(df: DataFrame, u: Column, dist: DataFrame, method: str = "guide", bins:
         out = rows.join(_small(table, 2 * bins), "slot").where((F.col("u_") >= F.col("lo")) & (F.col("u_") < F.col("hi")))
     elif method in ("search", "array"):
         # both need the cumulative values as one array, which is collected only for tables of checked size
-        if bins > BROADCAST_BINS:
+        if bins > (BROADCAST_BINS if method == "search" else ARRAY_BINS):  # an array is literals of one expression
             raise ValueError("too many bins for one array; use guide")
         table = dist.select("bin", "hi").orderBy("hi").collect()
         his, names = [float(r["hi"]) for r in table], [r["bin"] for r in table]
@@ -82,6 +82,20 @@ def draw(df: DataFrame, u: Column, dist: DataFrame, method: str = "guide", bins:
     return out.select(*df.columns, *carried)
 
 
+def locate(df: DataFrame, value: str, ranges: DataFrame, lo: str, hi: str, how: str = "inner") -> DataFrame:
+    """``df`` with the row of ``ranges`` (disjoint, lo <= value < hi) that its whole number ``value`` falls in.
+
+    As with ``guide``, the span of values is cut into as many slots as there are ranges: an equi-join on the slot and an interval test,
+    two rows a value on average. The number of ranges, a row per distinct degree or group, is read before they are broadcast.
+    """
+    rows, first, last = ranges.agg(F.count(F.lit(1)), F.min(lo), F.max(hi)).head()
+    width = max(1, -(-((last or 0) - (first or 0)) // max(1, rows)))
+    slot = lambda c: F.expr(f"({c} - {first or 0}L) div {width}L")
+    table = ranges.withColumn("slot_", F.explode(F.sequence(slot(lo), slot(f"({hi} - 1)"))))
+    hit = (F.col("of_") == F.col("slot_")) & (F.col(value) >= F.col(lo)) & (F.col(value) < F.col(hi))
+    return df.withColumn("of_", slot(value)).join(_small(table, 2 * rows), hit, how).drop("of_", "slot_")
+
+
 def alias_table(dist: DataFrame, slots: int) -> DataFrame:
     """(slot, cut, one, two): each slot is shared by two bins at most. Built on the driver from a table of checked size."""
     if slots > BROADCAST_BINS:

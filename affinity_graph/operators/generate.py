@@ -13,8 +13,9 @@ from pyspark.sql import functions as F
 
 from ..functions import rng
 from ..functions.rng import below, uniform
-from ..plans.block_plan import Plan
-from .discrete import cumulative, draw
+from ..plans.block_plan import Plan, block_of
+from ..sources.tables import stored
+from .discrete import _small, cumulative, draw, locate
 
 EDGES_PER_TASK = 10_000_000
 
@@ -85,22 +86,38 @@ def generate(plan: Plan, seed: int = 1, mode: str = "independent", kind: str = "
     if mode == "bulk":
         return local_edges(edge_ids(spark, n_local, edges_per_task), plan, seed, kind, method).unionByName(global_edges(far, plan, seed, kind, method))
     if mode == "poisson":
-        return poisson_local(plan, seed, kind).unionByName(global_edges(far, plan, seed, kind, method))
+        return poisson_local(plan, seed, kind, edges_per_task).unionByName(global_edges(far, plan, seed, kind, method))
     if mode == "skip":
-        return skip_local(plan, seed, kind).unionByName(global_edges(far, plan, seed, kind, method))
+        return skip_local(plan, seed, kind, edges_per_task).unionByName(global_edges(far, plan, seed, kind, method))
     if mode == "realised":
-        local = skip_local(plan, seed, kind)
-        return local.unionByName(realised_global(local, plan, seed, kind, method))
+        local = skip_local(plan, seed, kind, edges_per_task)
+        return local.unionByName(realised_global(local, plan, seed, kind, method, edges_per_task))
     raise ValueError(f"unknown mode: {mode}")
 
 
-def _tiles(plan: Plan, size: int) -> DataFrame:
-    """Each group's pair space, blocks end to end, cut into tiles of at most ``size`` codes: (g, tile, lo, hi, ...)."""
+TILE, DRAWS, HITS, STEPS = 1 << 16, 4096, 64, 160
+
+
+def _id(kind: str, *names: str) -> Column:
+    """What a uniform of several whole numbers is drawn for."""
+    return F.concat_ws("-", *names) if kind == "portable" else F.xxhash64(*names)
+
+
+def _tiles(plan: Plan, which: Column, span: Column, edges_per_task: int) -> DataFrame:
+    """Pair spaces of the groups ``which``, blocks end to end, in tiles of ``span`` codes: (g, tile, lo, hi, codes, pairs, ...).
+
+    Tiles are numbered through all groups, and their numbers come from a range that is spread over tasks; each finds its group by
+    ``locate``. So neither a large group nor the plan's one file ties tiles to a task, and there is no exchange.
+    """
     pairs = F.expr("block_size * (block_size - 1) div 2")
-    codes = F.col("blocks") * F.col("pairs")
-    g = plan.group.withColumn("pairs", pairs).where("pairs > 0").withColumn("codes", codes)
-    g = g.withColumn("tile", F.explode(F.sequence(F.lit(0).cast("bigint"), F.expr(f"(codes - 1) div {size}"))))
-    return g.withColumn("lo", F.col("tile") * size).withColumn("hi", F.least(F.col("codes"), (F.col("tile") + 1) * size))
+    g = plan.group.withColumn("pairs", pairs).where((F.col("pairs") > 0) & which).withColumn("codes", F.col("blocks") * F.col("pairs")).withColumn("span", span.cast("bigint"))
+    g = g.withColumn("tiles", F.expr("(codes - 1) div span + 1"))
+    g = g.withColumn("t1", F.sum("tiles").over(Window.orderBy("g").rowsBetween(Window.unboundedPreceding, 0))).withColumn("t0", F.col("t1") - F.col("tiles"))
+    spark = plan.group.sparkSession
+    total, draws = g.agg(F.coalesce(F.sum("tiles"), F.lit(0)), F.coalesce(F.sum("w"), F.lit(0.0))).head()
+    parts = min(max(1, total), max(math.ceil(draws / edges_per_task), spark.sparkContext.defaultParallelism))
+    t = locate(spark.range(0, total, 1, parts).withColumnRenamed("id", "t"), "t", g, "t0", "t1").withColumn("tile", F.col("t") - F.col("t0"))
+    return t.withColumn("lo", F.col("tile") * F.col("span")).withColumn("hi", F.least(F.col("codes"), (F.col("tile") + 1) * F.col("span")))
 
 
 def _unranked(df: DataFrame, code: str = "code") -> DataFrame:
@@ -114,82 +131,87 @@ def _unranked(df: DataFrame, code: str = "code") -> DataFrame:
     return df.withColumn("a", base + F.col("j")).withColumn("b", base + F.col("i"))
 
 
-def skip_local(plan: Plan, seed: int, kind: str = "fast", tile: int = 1 << 16) -> DataFrame:
-    """Every pair of a block kept with its density by geometric gaps: no repeats, no exchange; a tile is one row until it is opened.
+def skip_local(plan: Plan, seed: int, kind: str = "fast", edges_per_task: int = EDGES_PER_TASK) -> DataFrame:
+    """Every pair of a block kept with its density, so that there are no repeats. No exchange; a tile is one row until it is opened.
 
-    In a tile of n codes the k-th gap is drawn from its own uniform; drawing stops at the tile's end. The number of draws
-    laid out is bounded by the tile, so that arrays stay small.
+    Above a density of 0.1 each pair tosses a coin. Below, geometric gaps lead from one kept pair to the next in tiles in which
+    ``HITS`` are expected; ``STEPS`` gaps leave a tile unfinished with a probability below 1e-20.
     """
-    t = _tiles(plan, tile).withColumn("key", F.xxhash64("g", "tile"))
     dense = F.col("rho") > 0.1
-    coin = t.where(dense).withColumn("code", F.explode(F.sequence(F.col("lo"), F.col("hi") - 1)))
-    coin = coin.where(uniform(seed, F.xxhash64("key", "code"), rng.SKIP, kind) < F.col("rho")).select("g", "first_node", "block_size", "pairs", "code")
-    steps = F.greatest(F.lit(1.0), F.ceil((F.col("hi") - F.col("lo")) * F.col("rho") * 2 + 40))
-    gaps = t.where(~dense & (F.col("rho") > 0)).withColumn("s", F.explode(F.sequence(F.lit(1).cast("bigint"), steps.cast("bigint"))))
-    gap = F.floor(F.log1p(-uniform(seed, F.xxhash64("key", "s"), rng.SKIP, kind)) / F.log1p(-F.col("rho"))) + 1
-
-    at = F.sum("gap").over(Window.partitionBy("g", "tile").orderBy("s")) + F.col("lo") - 1
-    gaps = gaps.withColumn("gap", gap.cast("bigint")).withColumn("code", at).where("code < hi").select("g", "first_node", "block_size", "pairs", "code")
-    out = _unranked(coin.unionByName(gaps))
+    coin = _tiles(plan, dense, F.lit(TILE), edges_per_task).withColumn("code", F.explode(F.sequence(F.col("lo"), F.col("hi") - 1)))
+    coin = coin.where(uniform(seed, _id(kind, "g", "code"), rng.SKIP, kind) < F.col("rho"))
+    sparse = _tiles(plan, ~dense & (F.col("rho") > 0), F.ceil(F.lit(float(HITS)) / F.col("rho")), edges_per_task)
+
+    def step(acc: Column, s: Column) -> Column:
+        id_ = F.concat_ws("-", "g", "tile", s) if kind == "portable" else F.xxhash64("g", "tile", s)
+        gap = F.floor(F.log(F.lit(1.0) - uniform(seed, id_, rng.SKIP, kind)) / F.log(F.lit(1.0) - F.col("rho"))) + 1
+        at = acc["at"] + gap
+        return F.struct(at.alias("at"), F.when(at < F.col("hi"), F.array_append(acc["codes"], at)).otherwise(acc["codes"]).alias("codes"))
+
+    zero = F.struct((F.col("lo") - 1).alias("at"), F.array().cast("array<bigint>").alias("codes"))
+    sparse = sparse.withColumn("code", F.explode(F.aggregate(F.sequence(F.lit(1), F.lit(STEPS)), zero, step, lambda acc: acc["codes"])))
+    keep = ("g", "first_node", "block_size", "pairs", "code")
+    out = _unranked(coin.select(*keep).unionByName(sparse.select(*keep)))
     return out.select(F.xxhash64("g", "code").alias("edge_id"), F.lit(1).cast("tinyint").alias("phase"), "a", "b")
 
 
-def poisson_local(plan: Plan, seed: int, kind: str = "fast") -> DataFrame:
-    """Each tile of a group's pair space draws a Poisson number of pairs, uniformly with replacement.
+def poisson_local(plan: Plan, seed: int, kind: str = "fast", edges_per_task: int = EDGES_PER_TASK) -> DataFrame:
+    """Each tile of a group's pair space draws a Poisson number of pairs, uniformly with replacement. No exchange.
 
-    Splitting a Poisson number over tiles leaves it Poisson, so no group is one task's work. A number is drawn by inversion
+    Splitting a Poisson number over tiles leaves it Poisson, so tiles of about ``DRAWS`` draws spread any group over tasks. A number is drawn by inversion
     for small means and by the normal limit for large ones.
     """
-    size = 1 << 16
-    t = _tiles(plan, size).withColumn("key", F.xxhash64("g", "tile"))
-    mean = F.col("w") * (F.col("hi") - F.col("lo")) / F.col("codes")
-    u1, u2 = uniform(seed, "key", rng.NOISE_1, kind), uniform(seed, "key", rng.NOISE_2, kind)
+    span = F.greatest(F.lit(1), F.ceil(F.lit(float(DRAWS)) * F.col("codes") / F.col("w")))
+    t = _tiles(plan, F.col("w") > 0, span, edges_per_task).withColumn("mean", F.col("w") * (F.col("hi") - F.col("lo")) / F.col("codes"))
+    u1, u2 = (uniform(seed, _id(kind, "g", "tile"), stream, kind) for stream in (rng.NOISE_1, rng.NOISE_2))
     normal = F.sqrt(F.lit(-2.0) * F.log(F.lit(1.0) - u1)) * F.cos(F.lit(2 * math.pi) * u2)
     zero = F.struct(F.lit(0).alias("k"), F.exp(-F.col("mean")).alias("p"), F.exp(-F.col("mean")).alias("s"))
     inverse = F.aggregate(F.sequence(F.lit(1), F.lit(120)), zero, lambda acc, k: F.when(acc["s"] > F.col("u1"), acc).otherwise(F.struct(k.alias("k"), (acc["p"] * F.col("mean") / k).alias("p"), (acc["s"] + acc["p"] * F.col("mean") / k).alias("s"))), lambda acc: acc["k"])
-    t = t.withColumn("mean", mean).withColumn("u1", u1).withColumn("number", F.when(F.col("mean") < 30, inverse).otherwise(F.greatest(F.lit(0), F.round(F.col("mean") + F.sqrt("mean") * normal).cast("int"))))
+    t = t.withColumn("u1", u1).withColumn("number", F.when(F.col("mean") < 30, inverse).otherwise(F.greatest(F.lit(0), F.round(F.col("mean") + F.sqrt("mean") * normal).cast("int"))))
     t = t.where("number > 0").withColumn("s", F.explode(F.sequence(F.lit(1), F.col("number"))))
-    code = F.col("lo") + below(uniform(seed, F.xxhash64("key", "s"), rng.FIRST, kind), F.col("hi") - F.col("lo"))
+    id_ = _id(kind, "g", "tile", "s")
+    code = F.col("lo") + below(uniform(seed, id_, rng.FIRST, kind), F.col("hi") - F.col("lo"))
     out = _unranked(t.withColumn("code", code))
-    return out.select(F.xxhash64("key", "s").alias("edge_id"), F.lit(1).cast("tinyint").alias("phase"), "a", "b")
+    return out.select(F.xxhash64("g", "tile", "s").alias("edge_id"), F.lit(1).cast("tinyint").alias("phase"), "a", "b")
 
 
-def realised_global(local: DataFrame, plan: Plan, seed: int, kind: str = "fast", method: str = "guide") -> DataFrame:
+def realised_global(local: DataFrame, plan: Plan, seed: int, kind: str = "fast", method: str = "guide", edges_per_task: int = EDGES_PER_TASK) -> DataFrame:
     """Chung-Lu on what the local phase left of each node's degree: one shuffle of the local edges more than the expected excess.
 
-    Nodes are drawn by class (degree, what is left of it), a table of checked size, and inside a class by rank.
+    Node ids are a range; each finds its wanted degree among the plan's id ranges. Nodes are drawn by class (what is left of the
+    degree), a table of checked size, and inside a class by place.
     """
-
-    from ..plans.block_plan import expand_nodes
-    from .profile import degrees
-
-    have = degrees(local.select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")).distinct())
-    nodes = expand_nodes(plan).select("v", "degree").join(have.withColumnRenamed("degree", "has"), "v", "left")
-    nodes = nodes.withColumn("left", F.greatest(F.col("degree") - F.coalesce("has", F.lit(0)), F.lit(0))).where("left > 0")
-    part = nodes.withColumn("part", F.floor(F.col("v") / (1 << 16)))
-    sizes = part.groupBy("left", "part").agg(F.count(F.lit(1)).alias("k"))
-    offsets = sizes.select("left", "part", F.coalesce(F.sum("k").over(Window.partitionBy("left").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("offset"))
-    ranked = part.join(offsets, ["left", "part"]).select("left", "v", (F.col("offset") + F.row_number().over(Window.partitionBy("left", "part").orderBy("v")) - 1).alias("rank"))
-    classes = sizes.groupBy("left").agg(F.sum("k").alias("members")).withColumn("w", F.col("left") * F.col("members"))
+    from .profile import degrees, numbered
+
+    spark = local.sparkSession
+    have = degrees(local.select(*pair_columns(local)).distinct())
+    ranges = plan.degree.select("degree", F.col("first_node").alias("f0"), (F.col("first_node") + F.col("n")).alias("f1"))
+    top = ranges.agg(F.max("f1")).head()[0] or 1
+    ids = spark.range(1, top, 1, max(spark.sparkContext.defaultParallelism, math.ceil(top / edges_per_task))).withColumnRenamed("id", "v")
+    nodes = locate(ids, "v", ranges, "f0", "f1").select("v", "degree").join(have.withColumnRenamed("degree", "has"), "v", "left")
+    left = F.greatest(F.col("degree") - F.coalesce("has", F.lit(0)), F.lit(0))
+    ranked = numbered(nodes.select("v", left.alias("left")).where("left > 0"), "left", "v")
+    classes = ranked.groupBy("left").agg(F.count(F.lit(1)).alias("members"), F.min("position").alias("start")).withColumn("w", F.col("left") * F.col("members"))
     weight = (classes.agg(F.sum("w")).head()[0] or 0) / 2
-    dist = cumulative(classes, "left", "w", ("members",))
-    ids = edge_ids(local.sparkSession, edge_total(weight))
+    dist = cumulative(classes, "left", "w", ("members", "start"))
+    out = edge_ids(spark, edge_total(weight), edges_per_task)
     for name, streams in (("a", (rng.DEGREE_A, rng.MEMBER_A)), ("b", (rng.DEGREE_B, rng.MEMBER_B))):
-        ids = draw(ids, uniform(seed, "edge_id", streams[0], kind), dist, method).withColumn("rank", below(uniform(seed, "edge_id", streams[1], kind), F.col("members")))
-        ids = ids.join(ranked.select(F.col("left").alias("bin"), "rank", F.col("v").alias(name)), ["bin", "rank"]).drop("bin", "rank", "members")
-    return ids.select("edge_id", F.lit(2).cast("tinyint").alias("phase"), "a", "b")
+        out = draw(out, uniform(seed, "edge_id", streams[0], kind), dist, method).withColumn("position", F.col("start") + below(uniform(seed, "edge_id", streams[1], kind), F.col("members")))
+        out = out.join(ranked.select("position", F.col("v").alias(name)), "position").drop("position", "start", "members", "bin")
+    return out.select("edge_id", F.lit(2).cast("tinyint").alias("phase"), "a", "b")
 
 
 def pair_columns(gen: DataFrame) -> tuple[Column, Column]:
     return F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")
 
 
-def dedup(gen: DataFrame, strategy: str = "exchange") -> DataFrame:
+def dedup(gen: DataFrame, strategy: str = "exchange", plan: Plan | None = None, unique_local: bool = False) -> DataFrame:
     """Simple edges of generated ones; loops go.
 
     ``exchange`` aggregates by the pair, partly before the shuffle. ``sort`` compares neighbours of a sorted partition. ``count``
     keeps each pair's multiplicity, ``none`` all pairs. ``endpoint`` deals by one end only (an ablation: hubs make it
-    uneven). ``tile`` combines inside tasks, then by the pair.
+    uneven). ``tile`` exchanges global edges only: those with both ends in one block of ``plan`` are looked for among the local
+    edges, which are taken as unique with ``unique_local`` (as ``mode="skip"`` makes them) and exchanged by themselves otherwise.
     """
     pairs = gen.where("a <> b").select(*pair_columns(gen))
     if strategy == "exchange":
@@ -205,9 +227,15 @@ def dedup(gen: DataFrame, strategy: str = "exchange") -> DataFrame:
         order = Window.partitionBy("lo", "hi").orderBy("hi") if strategy == "sort" else Window.partitionBy("lo").orderBy("hi")
         return dealt.withColumn("before", F.lag("hi").over(order)).where("before IS NULL OR before <> hi").select("lo", "hi")
     if strategy == "tile":
-        local = gen.where("phase = 1 AND a <> b").select(*pair_columns(gen)).distinct()
-        far = gen.where("phase = 2 AND a <> b").select(*pair_columns(gen)).distinct()
-        return local.unionByName(far.join(local, ["lo", "hi"], "left_anti"))
+        if plan is None:
+            raise ValueError("tile needs the plan")
+        local = gen.where("phase = 1 AND a <> b").select(*pair_columns(gen))
+        local = local if unique_local else local.distinct()
+        far = stored(gen.where("phase = 2 AND a <> b").select(*pair_columns(gen)).distinct(), "far")
+        ends = block_of(block_of(far, plan, "lo").withColumnsRenamed({"g": "g_lo", "block": "block_lo"}), plan, "hi")
+        inside = ends.where("g_lo = g AND block_lo = block").select("lo", "hi")
+        again = local.join(_small(inside, inside.count()), ["lo", "hi"], "left_semi")
+        return local.unionByName(far.join(again, ["lo", "hi"], "left_anti"))
     raise ValueError(f"unknown strategy: {strategy}")
 
 

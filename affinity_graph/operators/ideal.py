@@ -185,6 +185,14 @@ def fit_xi(hist: DataFrame, c_max: float, gcc: float) -> float:
     return (lo + hi) / 2
 
 
+def fit_xi_grid(hist: DataFrame, c_max: float, gcc: float, candidates: DataFrame) -> DataFrame:
+    """(xi, gcc, loss) of each candidate decay, the fit as one job. The candidates (xi) are a parameter."""
+    w = F.col("n") * (F.col("degree") * (F.col("degree") - 1) / 2)
+    rows = hist.where("degree >= 2").join(F.broadcast(candidates))  # a parameter's rows
+    by = rows.groupBy("xi").agg((F.lit(c_max) * F.sum(w * F.exp(-(F.col("degree") - 1) * F.col("xi"))) / F.sum(w)).alias("gcc"))
+    return by.select("xi", F.round("gcc", 6).alias("gcc"), F.round(F.abs(F.col("gcc") - gcc), 6).alias("loss"))
+
+
 def ideal_profile(spark: SparkSession, spec: IdealSpec, nodes: int, how: str = "rounded", noise: bool = False, seed: int = 1, kind: str = "fast", graph: str = "ideal") -> DataFrame:
     hist = realise(ideal_degrees(spark, spec), nodes, how, seed, kind)
     return ideal_clustering(hist, spec.c_max, spec.xi, noise, seed, kind).select(F.lit(graph).alias("graph"), "degree", "n", "c")

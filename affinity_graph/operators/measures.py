@@ -5,13 +5,14 @@ from __future__ import annotations
 import math
 import time
 
-from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from ..functions import rng
 from ..functions.rng import below, uniform
-from .generate import edge_ids, pair_columns
+from .discrete import locate
+from .generate import pair_columns
 from .profile import degrees, triangles, wedges
 
 
@@ -79,6 +80,16 @@ def timed(workload: str, graph: str, stage: str, df: DataFrame) -> tuple[str, st
     return workload, graph, stage, time.perf_counter() - began, o.get["rows"]
 
 
+def poisson_cdf(mean: float) -> list[float]:
+    """P(number <= k) for k = 0, 1, ... up to twelve deviations above the mean."""
+    out, p, s = [], math.exp(-mean), 0.0
+    for k in range(int(mean + 12 * math.sqrt(mean) + 20)):
+        s += p
+        out.append(min(s, 1.0))
+        p *= mean / (k + 1)
+    return out
+
+
 def coupon_trials(spark: SparkSession, n_b: int = 10, rho: float = 0.5, trials: int = 10_000, seed: int = 1, kind: str = "fast", fixed: bool = False) -> DataFrame:
     """(unique, trials): distinct pairs seen among a Poisson number (or, ``fixed``, the rounded mean) of draws from a block's pairs."""
     pairs = n_b * (n_b - 1) // 2
@@ -87,14 +98,8 @@ def coupon_trials(spark: SparkSession, n_b: int = 10, rho: float = 0.5, trials:
     if fixed:
         t = t.withColumn("number", F.lit(round(mean)))
     else:
-        limit = int(mean + 12 * math.sqrt(mean) + 20)
         u = uniform(seed, "trial", rng.TRIAL, kind)
-        cdf, p, s = [], math.exp(-mean), 0.0
-        for k in range(limit):
-            s += p
-            cdf.append(min(s, 1.0))
-            p *= mean / (k + 1)
-        t = t.withColumn("u", u).withColumn("number", F.size(F.filter(F.array(*map(F.lit, cdf)), lambda x: x <= F.col("u"))))
+        t = t.withColumn("u", u).withColumn("number", F.size(F.filter(F.array(*map(F.lit, poisson_cdf(mean))), lambda x: x <= F.col("u"))))
     drawn = t.where("number > 0").select("trial", F.explode(F.sequence(F.lit(1), F.col("number"))).alias("s"))
     code = below(uniform(seed, F.col("trial") * 1000 + F.col("s"), rng.FIRST, kind), F.lit(pairs))
     some = drawn.withColumn("code", code).groupBy("trial").agg(F.count_distinct("code").alias("unique"))
@@ -118,7 +123,7 @@ def degree_dispersion(profile: DataFrame, seeds: int = 20, kind: str = "fast") -
     for seed in range(seeds):
         ends = chung_lu(profile, 1.0, seed, kind).select(F.explode(F.array("a", "b")).alias("v")).groupBy("v").agg(F.count(F.lit(1)).alias("got"))
         runs = ends if runs is None else runs.unionByName(ends)
-    by = runs.join(F.broadcast(classes), (F.col("v") >= F.col("first_node")) & (F.col("v") < F.col("first_node") + F.col("pool")))
+    by = locate(runs, "v", classes.withColumn("end", F.col("first_node") + F.col("pool")), "first_node", "end")
     sums = by.groupBy("degree", "pool").agg(F.sum("got").alias("s1"), F.sum(F.col("got") * F.col("got")).alias("s2"))
     n = F.col("pool") * seeds
     return sums.select("degree", (F.col("s1") / n).alias("mean"), (F.col("s2") / n - (F.col("s1") / n) * (F.col("s1") / n)).alias("variance"))
@@ -149,15 +154,39 @@ def binned_gap(a: DataFrame, b: DataFrame, omega: float = 1.5) -> DataFrame:
     return both.agg(F.round(F.avg(F.abs(F.col("x") - F.col("y")) / F.greatest("x", "y")), 6).alias("gap_binned"))
 
 
-def compare(a: DataFrame, b: DataFrame) -> DataFrame:
-    """One row: ks, gap_n, gap_wedge, gap_binned and the relative gap of the profiles' global clustering."""
+def compare_all(own: DataFrame, models: DataFrame, omega: float = 1.5, upto: int = 1 << 24) -> DataFrame:
+    """(model, ks, gap_n, gap_wedge, gap_binned, gcc_rel) of profiles (model, degree, n, c) against the one of ``own``, in one pass.
+
+    ``own`` is repeated for each model (a handful of names), both are summed by (model, degree), and every measure is an
+    aggregate or a window over distinct degrees of a model.
+    """
+    none = F.lit(0).cast("bigint")
+    names = models.select("model").distinct()
+    mine = own.join(F.broadcast(names)).select("model", "degree", F.col("n").alias("x"), none.alias("y"), F.col("c").alias("cx"), F.lit(0.0).alias("cy"))  # one row a model
+    theirs = models.select("model", "degree", none.alias("x"), F.col("n").alias("y"), F.lit(0.0).alias("cx"), F.col("c").alias("cy"))
+    by = mine.unionByName(theirs).groupBy("model", "degree").agg(*[F.sum(c).alias(c) for c in ("x", "y", "cx", "cy")])
+    run, every = Window.partitionBy("model").orderBy("degree").rowsBetween(Window.unboundedPreceding, 0), Window.partitionBy("model")
+    by = by.withColumn("far", F.abs(F.sum("x").over(run) / F.sum("x").over(every) - F.sum("y").over(run) / F.sum("y").over(every)))
+    both = (F.col("degree") >= 2) & (F.col("x") > 0)
+    gap, w = F.abs(F.col("cx") - F.col("cy")), wedges("degree")
+
+    def share(of: Column, weight: Column, where: Column) -> Column:
+        return F.try_divide(F.sum(F.when(where, of * weight)), F.sum(F.when(where, weight)).cast("double"))
+
+    gx, gy = (F.coalesce(share(F.col(c), F.col(n) * w, F.lit(True)), F.lit(0.0)) for c, n in (("cx", "x"), ("cy", "y")))
+    out = by.groupBy("model").agg(
+        F.round(F.max("far"), 6).alias("ks"), F.round(share(gap, F.col("x"), both), 6).alias("gap_n"), F.round(share(gap, F.col("x") * w, both), 6).alias("gap_wedge"),
+        F.round(F.coalesce(F.try_divide(F.abs(gx - gy), gx), F.lit(0.0)), 6).alias("gcc_rel"),
+    )
+    bins = log_bins(own.sparkSession, omega, upto)
+    hit = by.join(F.broadcast(bins), (F.col("degree") >= F.col("lo")) & (F.col("degree") <= F.col("hi"))).groupBy("model", "k").agg(F.sum("x").alias("x"), F.sum("y").alias("y"))
+    binned = hit.groupBy("model").agg(F.round(F.avg(F.abs(F.col("x") - F.col("y")) / F.greatest("x", "y")), 6).alias("gap_binned"))
+    return out.join(F.broadcast(binned), "model").select("model", "ks", "gap_n", "gap_wedge", "gap_binned", "gcc_rel")
 
-    def gcc(p: DataFrame, name: str) -> DataFrame:
-        w = F.col("n") * wedges("degree")
-        return p.agg(F.coalesce(F.try_divide(F.sum(F.col("c") * w), F.sum(w).cast("double")), F.lit(0.0)).alias(name))
 
-    out = ks_distance(a, b).join(F.broadcast(clustering_gap(a, b))).join(F.broadcast(binned_gap(a, b))).join(F.broadcast(gcc(a, "ga"))).join(F.broadcast(gcc(b, "gb")))  # one row each
-    return out.select("ks", "gap_n", "gap_wedge", "gap_binned", F.round(F.coalesce(F.try_divide(F.abs(F.col("ga") - F.col("gb")), F.col("ga")), F.lit(0.0)), 6).alias("gcc_rel"))
+def compare(a: DataFrame, b: DataFrame) -> DataFrame:
+    """One row: ks, gap_n, gap_wedge, gap_binned and the relative gap of the profiles' global clustering."""
+    return compare_all(a.select("degree", "n", "c"), b.select(F.lit("").alias("model"), "degree", "n", "c")).drop("model")
 
 
 def spectrum_gap(a: DataFrame, b: DataFrame) -> DataFrame:

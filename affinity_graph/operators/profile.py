@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window
 
 from ..functions import rng
+from ..sources.tables import stored
 
 
 def degrees(edges: DataFrame) -> DataFrame:
@@ -71,8 +72,10 @@ def measure_profile(edges: DataFrame, graph: str, clustering: str = "exact", k:
     """The model's input: (graph, degree, n, c)."""
     if clustering == "exact":
         by = clustering_by_degree(edges)
-    else:
+    elif clustering == "sampled":
         by = sample_clustering(edges, k, seed).select("degree", "n", "c")
+    else:
+        raise ValueError(f"unknown clustering: {clustering}")
     return by.select(F.lit(graph).alias("graph"), "degree", "n", "c")
 
 
@@ -94,17 +97,24 @@ def summary(edges: DataFrame, graph: str, model: str) -> DataFrame:
 
 
 def canonical_order(nodes: DataFrame) -> DataFrame:
-    """(v, degree, position) by degree, degree 1 last, ties by id.
+    """(v, degree, position) by degree, degree 1 last, ties by id."""
+    n = nodes.withColumn("cls", F.when(F.col("degree") == 1, F.lit(1 << 62)).otherwise(F.col("degree")))
+    return numbered(n, "cls", "v").select("v", "degree", "position")
+
 
-    Position = offset of the degree class + rank inside the class's hash bucket: offsets come from counts per (class, id range),
-    so that only ranges of one class are ranked in one task.
+def numbered(rows: DataFrame, *order: str) -> DataFrame:
+    """``rows`` with ``position`` from 1 in an order without ties.
+
+    Range partitions, cut by sampled values of the whole order and so of even size whatever the ids or classes, are sorted and
+    written with each row's place; a place is moved by the sizes of the partitions before, one row per shuffle partition.
     """
-    width = 1 << 16
-    n = nodes.withColumn("cls", F.when(F.col("degree") == 1, F.lit(1 << 62)).otherwise(F.col("degree"))).withColumn("part", F.floor(F.col("v") / width))
-    sizes = n.groupBy("cls", "part").agg(F.count(F.lit(1)).alias("k"))
-    offsets = sizes.select("cls", "part", F.coalesce(F.sum("k").over(Window.orderBy("cls", "part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("offset"))
-    rank = F.row_number().over(Window.partitionBy("cls", "part").orderBy("v"))
-    return n.join(offsets, ["cls", "part"]).select("v", "degree", (F.col("offset") + rank).alias("position"))
+    width = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    id_ = F.monotonically_increasing_id()  # partition in the upper bits, place in the lower 33
+    dealt = rows.repartitionByRange(width, *order).sortWithinPartitions(*order)
+    placed = stored(dealt.select("*", F.shiftright(id_, 33).alias("part_"), id_.bitwiseAND(F.lit((1 << 33) - 1)).alias("at_")), "numbered")
+    sizes = placed.groupBy("part_").agg(F.count(F.lit(1)).alias("k_"))
+    before = F.coalesce(F.sum("k_").over(Window.orderBy("part_").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    return placed.join(F.broadcast(sizes.select("part_", before.alias("before_"))), "part_").select(*rows.columns, (F.col("before_") + F.col("at_") + 1).alias("position"))
 
 
 # --- wedge sampling ----------------------------------------------------------------------------------------------
@@ -115,41 +125,53 @@ def samples_for(eps: float, delta: float) -> int:
     return math.ceil(math.log(2 / delta) / (2 * eps * eps))
 
 
-def sampled_wedges(edges: DataFrame, k: int, seed: int, kind: str = "fast", exact_below: int = 0) -> DataFrame:
-    """(degree, k, center, a, b, closed): ``k`` uniform wedges for every degree of at least 2.
+def _arcs(edges: DataFrame) -> DataFrame:
+    return edges.select(F.col("lo").alias("center"), F.col("hi").alias("w")).unionByName(edges.select(F.col("hi").alias("center"), F.col("lo").alias("w")))
+
+
+def sampled_wedges(edges: DataFrame, k: int, seed: int, kind: str = "fast", least: int = 0) -> DataFrame:
+    """(degree, n, k, center, a, b, closed): ``k`` uniform wedges for every degree of at least 2 with more than ``least`` wedges in all.
 
     Every node of a degree class has as many wedges, so a uniform node and two distinct uniform neighbours are a uniform wedge.
-    Class members are ranked within id ranges with offsets, drawn ranks meet them in an equi-join, and only edges at drawn
-    centres are ranked. Closure is an equi-join of k wedges a degree with the edges.
+    Nodes are numbered by (degree, id) and the arcs at drawn centres by (centre, neighbour), both in even range partitions, so
+    that neither a class nor a hub is one task's; drawn ranks meet them in equi-joins. Closure is an equi-join of k wedges a
+    degree with the edges.
     """
-    nodes = degrees(edges).where("degree >= 2")
-    width = 1 << 16
-    parts = nodes.withColumn("part", F.floor(F.col("v") / width))
-    sizes = parts.groupBy("degree", "part").agg(F.count(F.lit(1)).alias("c"))
-    offsets = sizes.select("degree", "part", F.coalesce(F.sum("c").over(Window.partitionBy("degree").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("offset"))
-    ranked = parts.join(offsets, ["degree", "part"]).select("degree", "v", (F.col("offset") + F.row_number().over(Window.partitionBy("degree", "part").orderBy("v")) - 1).alias("rank"))
-    hist = sizes.groupBy("degree").agg(F.sum("c").alias("n"))
-    draws = hist.select("degree", "n", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(k - 1).cast("bigint"))).alias("k"))
+    ranked = numbered(degrees(edges).where("degree >= 2"), "degree", "v")
+    hist = ranked.groupBy("degree").agg(F.count(F.lit(1)).alias("n"), F.min("position").alias("first")).where(F.col("n") * wedges("degree") > least)
+    draws = hist.select("degree", "n", "first", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(k - 1).cast("bigint"))).alias("k"))
     id_ = F.col("degree") * F.lit(1 << 20) + F.col("k")
-    draws = draws.withColumn("rank", rng.below(rng.uniform(seed, id_, rng.CENTER, kind), F.col("n"))).withColumn("i", rng.below(rng.uniform(seed, id_, rng.NEIGHBOUR_1, kind), F.col("degree"))).withColumn("j0", rng.below(rng.uniform(seed, id_, rng.NEIGHBOUR_2, kind), F.col("degree") - 1))
-    picked = draws.join(ranked, ["degree", "rank"]).select("degree", "n", "k", F.col("v").alias("center"), "i", F.when(F.col("j0") >= F.col("i"), F.col("j0") + 1).otherwise(F.col("j0")).alias("j"))
-    both = edges.select(F.col("lo").alias("center"), F.col("hi").alias("w")).unionByName(edges.select(F.col("hi").alias("center"), F.col("lo").alias("w")))
-    near = both.join(picked.select("center").distinct(), "center", "left_semi")
-    near = near.select("center", "w", (F.row_number().over(Window.partitionBy("center").orderBy("w")) - 1).cast("bigint").alias("at"))
-    w = picked.join(near.select("center", F.col("at").alias("i"), F.col("w").alias("a")), ["center", "i"]).join(near.select("center", F.col("at").alias("j"), F.col("w").alias("b")), ["center", "j"])
+    rank = rng.below(rng.uniform(seed, id_, rng.CENTER, kind), F.col("n"))
+    i, j = rng.below(rng.uniform(seed, id_, rng.NEIGHBOUR_1, kind), F.col("degree")), rng.below(rng.uniform(seed, id_, rng.NEIGHBOUR_2, kind), F.col("degree") - 1)
+    draws = draws.select("degree", "n", "k", (F.col("first") + rank).alias("position"), i.alias("i"), j.alias("j"))
+    picked = stored(draws.join(ranked.select("position", F.col("v").alias("center")), "position").drop("position"), "picked")
+    near = numbered(_arcs(edges).join(picked.select("center").distinct(), "center", "left_semi"), "center", "w")
+    starts = near.groupBy("center").agg(F.min("position").alias("start"))
+    shifted = F.when(F.col("j") >= F.col("i"), F.col("j") + 1).otherwise(F.col("j"))
+    w = picked.join(starts, "center").select("degree", "n", "k", "center", (F.col("start") + F.col("i")).alias("at_a"), (F.col("start") + shifted).alias("at_b"))
+    for name in ("a", "b"):
+        w = w.join(near.select(F.col("position").alias(f"at_{name}"), F.col("w").alias(name)), f"at_{name}")
     w = w.select("degree", "n", "k", "center", "a", "b", F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
     return w.join(edges.select("lo", "hi", F.lit(True).alias("closed")), ["lo", "hi"], "left").select("degree", "n", "k", "center", "a", "b", F.coalesce("closed", F.lit(False)).alias("closed"))
 
 
+def exact_small(edges: DataFrame, most: int) -> DataFrame:
+    """(degree, n, c) of the degrees with at most ``most`` wedges in all: only those wedges are made and closed."""
+    nodes = degrees(edges).where("degree >= 2")
+    small = degree_hist(nodes).withColumn("wedges", F.col("n") * wedges("degree")).where(F.col("wedges") <= most)
+    near = _arcs(edges).join(nodes.join(small.select("degree"), "degree").select(F.col("v").alias("center"), "degree"), "center")
+    pairs = near.select("center", "degree", F.col("w").alias("lo")).join(near.select("center", F.col("w").alias("hi")), "center").where("lo < hi")
+    closed = pairs.join(edges, ["lo", "hi"]).groupBy("degree").agg(F.count(F.lit(1)).alias("closed"))
+    share = F.coalesce("closed", F.lit(0)).cast("double") / F.col("wedges").cast("double")
+    return small.join(closed, "degree", "left").select("degree", "n", share.alias("c"))
+
+
 def sample_clustering(edges: DataFrame, k: int = 2000, seed: int = 1, kind: str = "fast", exact_below: int = 0) -> DataFrame:
     """(degree, n, c) from sampled wedges; degrees with at most ``exact_below`` wedges in all are counted exactly."""
-    s = sampled_wedges(edges, k, seed, kind).groupBy("degree").agg(F.first("n").alias("n"), F.avg(F.col("closed").cast("double")).alias("c"))
-    ones = degree_hist(degrees(edges)).where("degree = 1").select("degree", "n", F.lit(0.0).alias("c"))
-    out = s.unionByName(ones)
+    out = sampled_wedges(edges, k, seed, kind, exact_below).groupBy("degree").agg(F.first("n").alias("n"), F.avg(F.col("closed").cast("double")).alias("c"))
     if exact_below:
-        exact = clustering_by_degree(edges).where(F.col("wedges") <= exact_below).select("degree", F.col("c").alias("exact"))
-        out = out.join(exact, "degree", "left").select("degree", "n", F.coalesce("exact", "c").alias("c"))
-    return out
+        out = out.unionByName(exact_small(edges, exact_below))
+    return out.unionByName(degree_hist(degrees(edges)).where("degree = 1").select("degree", "n", F.lit(0.0).alias("c")))
 
 
 def sample_gcc(edges: DataFrame, k: int = 2000, seed: int = 1, kind: str = "fast") -> DataFrame:
@@ -157,8 +179,8 @@ def sample_gcc(edges: DataFrame, k: int = 2000, seed: int = 1, kind: str = "fast
     return profile_gcc(sample_clustering(edges, k, seed, kind).select(F.lit("sampled").alias("graph"), "degree", "n", "c"))
 
 
-def sampling_error(edges: DataFrame, k: int = 2000, seed: int = 1) -> DataFrame:
+def sampling_error(edges: DataFrame, k: int = 2000, seed: int = 1, kind: str = "fast") -> DataFrame:
     """(degree, exact, sampled, gap)."""
     exact = clustering_by_degree(edges).select("degree", F.col("c").alias("exact"))
-    sampled = sample_clustering(edges, k, seed).select("degree", F.col("c").alias("sampled"))
+    sampled = sample_clustering(edges, k, seed, kind).select("degree", F.col("c").alias("sampled"))
     return exact.join(sampled, "degree").withColumn("gap", F.abs(F.col("exact") - F.col("sampled")))

@@ -143,3 +143,50 @@ def register_sql(spark: SparkSession, views: dict[str, DataFrame] | None = None)
     spark.udf.register("ks_of", ks_of)
     for name, df in (views or {}).items():
         df.createOrReplaceTempView(name)
+
+
+def edges_by_degree(edges: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Edges by the degree of their smaller end; the nodes are hashed in each partition, without a sort."""
+    return edges.join(nodes.select(F.col("v").alias("lo"), "degree").hint("shuffle_hash"), "lo").groupBy("degree").agg(F.count(F.lit(1)).alias("edges"))
+
+
+def lateral_blocks(plan: Plan) -> DataFrame:
+    """(g, block, first_node) by a lateral join of each group with its blocks."""
+    return plan.group.sparkSession.sql("SELECT g, block, first_node + block * block_size AS first_node FROM {groups}, LATERAL (SELECT explode(sequence(0L, blocks - 1)) AS block)", groups=plan.group)
+
+
+def decimal_gcc(by_degree: DataFrame) -> DataFrame:
+    """Global clustering as an exact decimal, from counts by degree (closed, wedges)."""
+    exact = lambda c: F.sum(F.col(c).cast("decimal(38,0)"))
+    return by_degree.agg((exact("closed").cast("decimal(24,0)") / exact("wedges").cast("decimal(20,0)")).cast("decimal(38,9)").cast("double").alias("gcc"))
+
+
+def multiset_difference(a: DataFrame, b: DataFrame) -> DataFrame:
+    """Rows of both, as often as there are, without one of each of the second's."""
+    return a.unionByName(b).exceptAll(b)
+
+
+def degree_shape(nodes: DataFrame) -> DataFrame:
+    """(skewness, kurtosis) of degrees, population moments."""
+    return nodes.agg(F.round(F.skewness("degree"), 6).alias("skewness"), F.round(F.kurtosis("degree"), 6).alias("kurtosis"))
+
+
+def near_degrees(hist: DataFrame, reach: int = 2) -> DataFrame:
+    """(degree, near): nodes of degrees at most ``reach`` away, by a frame of values."""
+    return hist.select("degree", F.sum("n").over(Window.orderBy("degree").rangeBetween(-reach, reach)).alias("near"))
+
+
+def hist_json(hist: DataFrame) -> DataFrame:
+    """(degree, said): a distribution as JSON lines."""
+    return hist.select("degree", F.to_json(F.struct("degree", "n")).alias("said"))
+
+
+def stratified(nodes: DataFrame, share: float, seed: int) -> DataFrame:
+    """Nodes of the ten smallest degrees, each degree sampled by the same share."""
+    return nodes.where("degree <= 10").sampleBy("degree", {d: share for d in range(1, 11)}, seed)
+
+
+def recursive_bins(spark: SparkSession, omega: float = 1.5, upto: int = 3000, steps: int = 40) -> DataFrame:
+    """(lo): first degrees of log bins by recursive SQL."""
+    power = f"WITH RECURSIVE p(k, x) AS (SELECT 1, 1.0D UNION ALL SELECT k + 1, x * {omega}D FROM p WHERE k < {steps})"
+    return spark.sql(f"{power} SELECT DISTINCT CAST(ceil(round((x - 1) / ({omega}D - 1), 9)) AS BIGINT) + 1 AS lo FROM p WHERE ceil(round((x - 1) / ({omega}D - 1), 9)) + 1 <= {upto}")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 
 def _simple(raw: str) -> str:
     return f"SELECT DISTINCT least(src, dst)::BIGINT AS lo, greatest(src, dst)::BIGINT AS hi FROM ({raw}) WHERE src IS NOT NULL AND dst IS NOT NULL AND src <> dst"
@@ -101,6 +103,10 @@ def cumulative(g: str) -> str:
     return f"WITH {_base(g)} SELECT degree, (sum(n) OVER (ORDER BY degree))::BIGINT AS cum_le, (sum(n) OVER (ORDER BY degree ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING))::BIGINT AS cum_ge FROM h"
 
 
+def cumulative_shares(g: str) -> str:
+    return f"WITH {_base(g)} SELECT degree, round(sum(n) OVER (ORDER BY degree) / sum(n) OVER (), 6) AS cum_le, round(sum(n) OVER (ORDER BY degree ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) / sum(n) OVER (), 6) AS cum_ge FROM h"
+
+
 #: Bin k begins at ceil((w^(k-1) - 1) / (w - 1)) + 1; repeated starts are one bin.
 _BINS = """bs AS (SELECT DISTINCT ceil(round((pow(1.5, k - 1) - 1) / 0.5, 9))::BIGINT + 1 AS lo FROM range(1, 41) r(k)),
 bn AS (SELECT row_number() OVER (ORDER BY lo)::INTEGER AS k, lo, lead(lo) OVER (ORDER BY lo) - 1 AS hi FROM bs)"""
@@ -123,7 +129,16 @@ def roughness(g: str) -> str:
 FIXTURE = "prof AS (SELECT degree::BIGINT AS degree, n::BIGINT AS n, CASE WHEN degree > 1 THEN 0.9::DOUBLE * exp(-0.1::DOUBLE * (degree - 1)) ELSE 0 END AS c FROM (VALUES (1,26),(2,20),(3,10),(4,6),(5,4),(6,3),(7,2),(8,1),(9,1)) t(degree, n))"
 
 
-def planned(head: str, beta: float = 1.0) -> str:
+def _harmonic(n: str) -> str:
+    return f"CASE WHEN {n} < 256 THEN coalesce(list_sum(list_transform(range(1, least({n}, 256) + 1), lambda k: 1::DOUBLE / k)), 0) ELSE ln({n}::DOUBLE) + 0.5772156649015329::DOUBLE + 1 / (2 * {n})::DOUBLE - 1 / (12 * ({n})::DOUBLE ** 2) + 1 / (120 * ({n})::DOUBLE ** 4) END"
+
+
+_PAIRS = "(block_size * (block_size - 1) // 2)"
+_SEEN = f"round_even({_PAIRS} * rho, 0)::BIGINT"
+WEIGHTS = {"log": f"-blocks * {_PAIRS} * ln(1 - rho)", "plain": f"blocks * {_PAIRS} * rho", "harmonic": f"blocks * ({_PAIRS} * (({_harmonic(_PAIRS)}) - ({_harmonic(f'({_PAIRS} - {_SEEN})')})))"}
+
+
+def planned(head: str, beta: float = 1.0, weight: str = "log") -> str:
     """CTEs up to pd (degrees) and pg (groups): the scan as a recursive query over distinct degrees."""
 
     def rho(c: str, size: str) -> str:
@@ -151,7 +166,7 @@ pd0 AS (SELECT degree, first_node, n, fill AS n_fill, w_fill, w_bulk FROM sc WHE
 pd AS (SELECT *, w_fill + w_bulk AS w, CASE WHEN w_fill + w_bulk > 0 THEN w_fill / (w_fill + w_bulk) ELSE 0 END AS r FROM pd0),
 pg0 AS (SELECT g - (m2 > 0)::BIGINT AS g, degree, first_node + fill AS first_node, b1 AS blocks, s1 AS block_size, r1 AS rho FROM sc WHERE m1 > 0
   UNION ALL SELECT g, degree, first_node + fill + b1 * s1, 1, s2, r2 FROM sc WHERE m2 > 0),
-pg AS (SELECT *, CASE WHEN block_size > 1 THEN -blocks * (block_size * (block_size - 1) // 2) * ln(1 - rho) ELSE 0 END AS w FROM pg0)"""
+pg AS (SELECT *, CASE WHEN block_size > 1 THEN {WEIGHTS[weight]} ELSE 0 END AS w FROM pg0)"""
 
 
 def plan_degree(g: str) -> str:
@@ -159,9 +174,15 @@ def plan_degree(g: str) -> str:
     return f"WITH RECURSIVE {planned(head)} SELECT '{g}' AS graph, degree, first_node, n, n_fill, round(w_fill, 6) AS w_fill, round(w_bulk, 6) AS w_bulk, round(w, 6) AS w, round(r, 6) AS r FROM pd"
 
 
-def plan_group(g: str) -> str:
-    head = FIXTURE if g == "fixture73" else _clustered(g)
-    return f"WITH RECURSIVE {planned(head)} SELECT '{g}' AS graph, g::INTEGER AS g, degree, first_node, blocks, block_size, round(rho, 6) AS rho, round(w, 6) AS w FROM pg"
+def plan_group(g: str, weight: str = "log", head: str | None = None) -> str:
+    head = head or (FIXTURE if g == "fixture73" else _clustered(g))
+    return f"WITH RECURSIVE {planned(head, weight=weight)} SELECT '{g}' AS graph, g::INTEGER AS g, degree, first_node, blocks, block_size, round(rho, 6) AS rho, round(w, 6) AS w FROM pg"
+
+
+def plan_by_degree(g: str, top: float, fall: float) -> str:
+    """Densities by a formula of the degree."""
+    rho = f"{top}::DOUBLE * exp(-{fall}::DOUBLE * degree)"
+    return plan_group(g, head=f"{_base(g)}, prof AS (SELECT degree, n, ({rho}) * ({rho}) AS c FROM h)")
 
 
 def plan_ranges(g: str) -> str:
@@ -191,7 +212,7 @@ def _cumulated(source: str, key: str, keep: str) -> str:
     return f"""(SELECT bin, {keep}, (run - q)::DOUBLE / total::DOUBLE AS lo, run::DOUBLE / total::DOUBLE AS hi FROM (SELECT *, sum(q) OVER (ORDER BY bin) AS run, sum(q) OVER () AS total FROM (SELECT {key} AS bin, {keep}, greatest(w, 0)::DECIMAL(28,9) AS q FROM {source}) WHERE q > 0))"""
 
 
-def _u(seed: int, stream: int, id_: str = "edge_id") -> str:
+def _u(seed: int, stream: int | str, id_: str = "edge_id") -> str:
     from .functions.rng import duckdb_uniform
 
     return duckdb_uniform(seed, id_, stream)
@@ -201,8 +222,57 @@ def _below(u: str, n: str) -> str:
     return f"least(floor({u} * ({n})::DOUBLE)::BIGINT, ({n})::BIGINT - 1)"
 
 
+def _unranked(source: str) -> str:
+    """(a, b) of pair codes: the block, then the pair j < i with i (i - 1) / 2 + j."""
+    return f"""SELECT first_node + blk * block_size + q - i * (i - 1) // 2 AS a, first_node + blk * block_size + i AS b
+  FROM (SELECT *, CASE WHEN i0 * (i0 - 1) // 2 > q THEN i0 - 1 WHEN (i0 + 1) * i0 // 2 <= q THEN i0 + 1 ELSE i0 END AS i
+    FROM (SELECT *, floor((sqrt(8::DOUBLE * q + 1) + 1) / 2)::BIGINT AS i0 FROM (SELECT *, code // pairs AS blk, code % pairs AS q FROM {source})))"""
+
+
+def _gap(u: str, rho: str) -> str:
+    return f"floor(ln(1 - {u}) / ln(1 - {rho}))::BIGINT + 1"
+
+
+def _skipped(seed: int) -> str:
+    """CTEs up to loc (a, b): pairs of dense groups by coins, of the others by gaps in tiles of 64 expected hits."""
+    return f"""tg AS (SELECT *, {_PAIRS} AS pairs, blocks * {_PAIRS} AS codes FROM pg WHERE block_size > 1),
+dense AS (SELECT g, first_node, block_size, pairs, rho, unnest(range(0, codes)) AS code FROM tg WHERE rho > 0.1),
+tiles AS (SELECT *, unnest(range(0, (codes - 1) // span + 1)) AS tile FROM (SELECT *, ceil(64::DOUBLE / rho)::BIGINT AS span FROM tg WHERE rho > 0 AND rho <= 0.1)),
+sparse AS (SELECT g, first_node, block_size, pairs, tile * span - 1 + sum({_gap(_u(seed, 13, "g || '-' || tile || '-' || s"), "rho")}) OVER (PARTITION BY g, tile ORDER BY s) AS code, least(codes, (tile + 1) * span) AS hi FROM tiles, range(1, 161) q(s)),
+kept AS (SELECT first_node, block_size, pairs, code FROM dense WHERE {_u(seed, 13, "g || '-' || code")} < rho UNION ALL SELECT first_node, block_size, pairs, code::BIGINT FROM sparse WHERE code < hi),
+loc AS ({_unranked("kept")})"""
+
+
+def _poissoned(seed: int) -> str:
+    """CTEs up to loc (a, b): a Poisson number of draws a tile of about 4096, by inversion below a mean of 30."""
+    return f"""tg AS (SELECT *, {_PAIRS} AS pairs, blocks * {_PAIRS} AS codes FROM pg WHERE block_size > 1 AND w > 0),
+tiles AS (SELECT *, tile * span AS lo, least(codes, (tile + 1) * span) AS hi FROM (SELECT *, unnest(range(0, (codes - 1) // span + 1)) AS tile FROM (SELECT *, greatest(1, ceil(4096::DOUBLE * codes / w)::BIGINT) AS span FROM tg))),
+means AS (SELECT *, w * (hi - lo) / codes AS mean, {_u(seed, 11, "g || '-' || tile")} AS u1, {_u(seed, 12, "g || '-' || tile")} AS u2 FROM tiles),
+steps AS (SELECT g, tile, u1, sum(exp(-mean + CASE WHEN k > 0 THEN k * ln(mean) - lgamma(k + 1) ELSE 0 END)) OVER (PARTITION BY g, tile ORDER BY k) AS cdf FROM means, range(0, 120) q(k) WHERE mean < 30),
+numbers AS (SELECT g, tile, count(*) FILTER (cdf <= u1) AS number FROM steps GROUP BY g, tile UNION ALL
+  SELECT g, tile, greatest(0, round(mean + sqrt(mean) * sqrt(-2 * ln(1 - u1)) * cos({2 * 3.141592653589793!r}::DOUBLE * u2))::BIGINT) FROM means WHERE mean >= 30),
+drawn AS (SELECT m.*, unnest(range(1, number + 1)) AS s FROM means m JOIN numbers USING (g, tile)),
+kept AS (SELECT first_node, block_size, pairs, lo + {_below(_u(seed, 3, "g || '-' || tile || '-' || s"), "hi - lo")} AS code FROM drawn),
+loc AS ({_unranked("kept")})"""
+
+
+def _realised(seed: int) -> str:
+    """CTEs up to far (edge_id, a, b): both ends in proportion to what the local edges left of each node's degree."""
+
+    def end(name: str, s: int) -> str:
+        return f"{name} AS (SELECT edge_id, rk.v FROM (SELECT edge_id, start + {_below('mu', 'members')} AS position FROM (SELECT i AS edge_id, {_u(seed, s, 'i')} AS u, {_u(seed, s + 2, 'i')} AS mu FROM range((SELECT floor(sum(w) / 2 + 0.5)::BIGINT FROM lc2)) t(i)) x JOIN ld ON u >= lo AND u < hi) JOIN rk USING (position))"
+
+    return f"""le AS (SELECT DISTINCT least(a, b) AS lo, greatest(a, b) AS hi FROM loc),
+hv AS (SELECT v, count(*) AS has FROM (SELECT lo AS v FROM le UNION ALL SELECT hi FROM le) GROUP BY v),
+wanted AS (SELECT degree, unnest(range(first_node, first_node + n)) AS v FROM pd),
+rk AS (SELECT v, lft, row_number() OVER (ORDER BY lft, v) AS position FROM (SELECT v, degree - coalesce(has, 0) AS lft FROM wanted LEFT JOIN hv USING (v)) WHERE lft > 0),
+lc2 AS (SELECT lft, count(*) AS members, min(position) AS start, lft * count(*) AS w FROM rk GROUP BY lft),
+ld AS {_cumulated("lc2", "lft", "members, start")}, {end("ra", 5)}, {end("rb", 8)},
+far AS (SELECT ra.edge_id, ra.v AS a, rb.v AS b FROM ra JOIN rb USING (edge_id))"""
+
+
 def generated(g: str, beta: float, seed: int, mode: str = "independent") -> str:
-    """CTEs up to gen (edge_id, phase, a, b)."""
+    """CTEs up to gen (edge_id, phase, a, b); edge_id is null for local edges that are not drawn from ids."""
     head = planned(_clustered(g), beta)
     if mode == "independent":
         ids = f"""ids AS (SELECT i AS edge_id, {_u(seed, 0, "i")} < (SELECT w1 / (w1 + w2) FROM tot) AS is_local FROM range((SELECT floor(w1 + w2 + 0.5)::BIGINT FROM tot)) t(i))"""
@@ -212,15 +282,20 @@ def generated(g: str, beta: float, seed: int, mode: str = "independent") -> str:
     def end(name: str, s: int) -> str:
         return f"{name} AS (SELECT edge_id, first_node + CASE WHEN fu < r THEN {_below('mu', 'n_fill')} ELSE n_fill + {_below('mu', 'n_bulk')} END AS v FROM (SELECT edge_id, {_u(seed, s)} AS u, {_u(seed, s + 1)} AS fu, {_u(seed, s + 2)} AS mu FROM ids WHERE NOT is_local) x JOIN dd ON u >= lo AND u < hi)"
 
+    drawn = f"""lo1 AS (SELECT edge_id, first_node + {_below("bu", "blocks")} * block_size AS base, {_below("iu", "block_size")} AS i, {_below("ju", "block_size - 1")} AS j
+  FROM (SELECT edge_id, {_u(seed, 1)} AS u, {_u(seed, 2)} AS bu, {_u(seed, 3)} AS iu, {_u(seed, 4)} AS ju FROM ids WHERE is_local) x JOIN gd ON u >= lo AND u < hi),
+loc AS (SELECT edge_id, base + i AS a, base + j + (j >= i)::BIGINT AS b FROM lo1)"""
+    local = {"skip": _skipped, "realised": _skipped, "poisson": _poissoned}.get(mode, lambda _: drawn)(seed)
+    own_id = "edge_id" if local == drawn else "NULL::BIGINT AS edge_id"
+    far = _realised(seed) if mode == "realised" else f'{end("ea", 5)}, {end("eb", 8)},\nfar AS (SELECT ea.edge_id, ea.v AS a, eb.v AS b FROM ea JOIN eb USING (edge_id))'
     return f"""{head},
 tot AS (SELECT (SELECT coalesce(sum(w), 0) FROM pg) AS w1, (SELECT coalesce(sum(w), 0) FROM pd) AS w2),
 gd AS {_cumulated("pg", "g", "first_node, blocks, block_size")},
 dd AS {_cumulated("(SELECT *, greatest(n - n_fill, 0) AS n_bulk FROM pd)", "degree", "first_node, n_fill, n_bulk, r")},
 {ids},
-lo1 AS (SELECT edge_id, first_node + {_below("bu", "blocks")} * block_size AS base, {_below("iu", "block_size")} AS i, {_below("ju", "block_size - 1")} AS j
-  FROM (SELECT edge_id, {_u(seed, 1)} AS u, {_u(seed, 2)} AS bu, {_u(seed, 3)} AS iu, {_u(seed, 4)} AS ju FROM ids WHERE is_local) x JOIN gd ON u >= lo AND u < hi),
-{end("ea", 5)}, {end("eb", 8)},
-gen AS (SELECT edge_id, 1 AS phase, base + i AS a, base + j + (j >= i)::BIGINT AS b FROM lo1 UNION ALL SELECT ea.edge_id, 2, ea.v, eb.v FROM ea JOIN eb USING (edge_id))"""
+{local},
+{far},
+gen AS (SELECT {own_id}, 1 AS phase, a, b FROM loc UNION ALL SELECT edge_id, 2, a, b FROM far)"""
 
 
 _UNIQUE = "SELECT DISTINCT least(a, b)::BIGINT AS lo, greatest(a, b)::BIGINT AS hi FROM gen WHERE a <> b"
@@ -272,14 +347,21 @@ def coin_rows(share: float, seed: int, rows: int) -> str:
     return f"SELECT i::BIGINT AS edge_id, {_u(seed, 0, 'i')} < {share} AS local FROM range({rows}) t(i)"
 
 
-def chung_lu(g: str, beta: float, seed: int) -> str:
+def chung_lu(g: str, beta: float, seed: int, tail: str = _UNIQUE) -> str:
     def end(name: str, s: int, t: int) -> str:
         return f"{name} AS (SELECT edge_id, first_node + {_below('mu', 'pool')} AS v FROM (SELECT i AS edge_id, {_u(seed, s, 'i')} AS u, {_u(seed, t, 'i')} AS mu FROM range((SELECT floor(sum(w) / 2 + 0.5)::BIGINT FROM cls)) r(i)) x JOIN dist ON u >= lo AND u < hi)"
 
     return f"""WITH {_base(g)}, cls AS (SELECT degree, pool, w, 1 + coalesce(sum(pool) OVER (ORDER BY CASE WHEN degree = 1 THEN 4611686018427387904 ELSE degree END ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS first_node
   FROM (SELECT degree, CASE WHEN degree = 1 THEN floor({beta} * n + 0.5) ELSE n END::BIGINT AS pool, degree::DOUBLE * n AS w FROM h)),
 dist AS {_cumulated("cls", "degree", "first_node, pool")}, {end("ea", 5, 7)}, {end("eb", 8, 10)},
-gen AS (SELECT ea.v AS a, eb.v AS b FROM ea JOIN eb USING (edge_id)) {_UNIQUE}"""
+gen AS (SELECT ea.v AS a, eb.v AS b FROM ea JOIN eb USING (edge_id)) {tail}"""
+
+
+def degree_dispersion(g: str, seeds: int) -> str:
+    """Moments over seeds of the degrees that nodes of a class get, repeats kept."""
+    of = "SELECT degree, pool, count(*) AS got FROM (SELECT a AS v FROM gen UNION ALL SELECT b FROM gen) JOIN cls ON v >= first_node AND v < first_node + pool GROUP BY degree, pool, v"
+    runs = " UNION ALL ".join(f"({chung_lu(g, 1.0, seed, of)})" for seed in range(seeds))
+    return f"SELECT degree, round(sum(got) / (pool * {seeds})::DOUBLE, 6) AS mean, round(sum(got * got) / (pool * {seeds})::DOUBLE - (sum(got) / (pool * {seeds})::DOUBLE) * (sum(got) / (pool * {seeds})::DOUBLE), 6) AS variance FROM ({runs}) GROUP BY degree, pool"
 
 
 def chung_lu_expected(g: str) -> str:
@@ -296,11 +378,30 @@ def erdos_renyi_pairs(n: int, rho: float, seed: int) -> str:
     return f"SELECT x.i + 1 AS lo, y.i + 1 AS hi FROM range({n}) x(i) JOIN range({n}) y(i) ON x.i < y.i WHERE {_u(seed, 14, '(y.i * (y.i - 1) // 2 + x.i)')} < {rho}"
 
 
-def kronecker(levels: int, edges: int, initiator: tuple[float, ...], seed: int) -> str:
+def erdos_renyi_skip(n: int, rho: float, seed: int) -> str:
+    span, total = math.ceil(64 / rho), n * (n - 1) // 2
+    gaps = f"SELECT t * {span} - 1 + sum({_gap(_u(seed, 13, chr(39).join(['t || ', '-', ' || s'])), f'{rho}::DOUBLE')}) OVER (PARTITION BY t ORDER BY s) AS code, (t + 1) * {span} AS upto FROM range({-(-total // span)}) x(t), range(1, 161) y(s)"
+    kept = f"(SELECT 1 AS first_node, {n} AS block_size, {total} AS pairs, code::BIGINT AS code FROM ({gaps}) WHERE code < upto AND code < {total})"
+    return f"SELECT a::BIGINT AS lo, b::BIGINT AS hi FROM ({_unranked(kept)})"
+
+
+def kronecker_profile(seed: int, initiator: tuple[float, ...]) -> str:
+    """Unique edges of as many levels and draws as the profile ``prof`` has nodes (in powers of two) and edges."""
     p = [x / sum(initiator) for x in initiator]
-    cuts = (repr(p[0]), repr(p[0] + p[1]), repr(p[0] + p[1] + p[2]))
+    u = _u(seed, "(100 + level)", "i")
+    return f"""(WITH z AS (SELECT greatest(1, floor(log2(sum(n) - 1) + 1e-9)::BIGINT + 1) AS levels, (sum(n * degree) // 2)::BIGINT AS m FROM prof),
+d AS (SELECT i, level, levels, {u} AS u FROM z, LATERAL (SELECT unnest(range(0, m)) AS i), LATERAL (SELECT unnest(range(0, levels)) AS level)),
+gen AS (SELECT i, sum((u >= {p[0] + p[1]!r}::DOUBLE)::BIGINT << (levels - 1 - level)) AS a, sum(((u >= {p[0]!r}::DOUBLE AND u < {p[0] + p[1]!r}::DOUBLE) OR u >= {p[0] + p[1] + p[2]!r}::DOUBLE)::BIGINT << (levels - 1 - level)) AS b FROM d GROUP BY i)
+{_UNIQUE})"""
+
+
+def kronecker(levels: int, edges: int, initiator: tuple[float, ...], seed: int, noise: float = 0.0) -> str:
+    from .operators.baselines import quadrants
+
     a, b = [], []
     for level in range(levels):
+        p = quadrants(initiator, noise, seed, level)
+        cuts = (repr(p[0]), repr(p[0] + p[1]), repr(p[0] + p[1] + p[2]))
         u = _u(seed, 100 + level, "i")
         a.append(f"({u} >= {cuts[1]}::DOUBLE)::BIGINT * {1 << (levels - 1 - level)}")
         b.append(f"(({u} >= {cuts[0]}::DOUBLE AND {u} < {cuts[1]}::DOUBLE) OR {u} >= {cuts[2]}::DOUBLE)::BIGINT * {1 << (levels - 1 - level)}")
@@ -356,3 +457,110 @@ def compared(g: str, beta: float, seed: int) -> str:
     return f"""WITH {_base(g)}, ce AS ({clone}), ch AS (SELECT degree, count(*) AS n FROM (SELECT v, count(*) AS degree FROM (SELECT lo AS v FROM ce UNION ALL SELECT hi FROM ce) GROUP BY v) GROUP BY degree),
 s AS (SELECT degree, sum(x) AS x, sum(y) AS y FROM (SELECT degree, n AS x, 0 AS y FROM h UNION ALL SELECT degree, 0, n FROM ch) GROUP BY degree)
 SELECT round(max(gap), 6) AS ks FROM (SELECT abs(sum(x) OVER (ORDER BY degree)::DOUBLE / sum(x) OVER () - sum(y) OVER (ORDER BY degree)::DOUBLE / sum(y) OVER ()) AS gap FROM s)"""
+
+
+# --- sampled wedges, comparisons, reports ------------------------------------------------------------------------
+
+
+def _sampled(g: str, k: int, seed: int, exact_below: int = 0) -> str:
+    """CTEs up to sp (degree, n, c): k wedges a degree drawn by rank of the centre and of two of its neighbours."""
+    id_ = "(degree * 1048576 + k)"
+    return f"""{_clustered(g)},
+sd AS (SELECT degree, n, {_below(_u(seed, 15, id_), "n")} AS rank, {_below(_u(seed, 16, id_), "degree")} AS i, {_below(_u(seed, 17, id_), "degree - 1")} AS j0 FROM h, range({k}) t(k) WHERE degree >= 2 AND n * (degree * (degree - 1) // 2) > {exact_below}),
+sr AS (SELECT v, degree, row_number() OVER (PARTITION BY degree ORDER BY v) - 1 AS rank FROM nd),
+sn AS (SELECT v, w, row_number() OVER (PARTITION BY v ORDER BY w) - 1 AS at FROM (SELECT lo AS v, hi AS w FROM e UNION ALL SELECT hi, lo FROM e)),
+sw AS (SELECT sd.degree, n, x.w AS a, y.w AS b FROM sd JOIN sr ON sr.degree = sd.degree AND sr.rank = sd.rank JOIN sn x ON x.v = sr.v AND x.at = i JOIN sn y ON y.v = sr.v AND y.at = j0 + (j0 >= i)::BIGINT),
+sp AS (SELECT degree, n, count(lo)::DOUBLE / count(*) AS c FROM sw LEFT JOIN e ON lo = least(a, b) AND hi = greatest(a, b) GROUP BY degree, n
+  UNION ALL SELECT degree, n, c FROM prof WHERE degree < 2 OR n * (degree * (degree - 1) // 2) <= {exact_below})"""
+
+
+def sampled_clustering(g: str, k: int, seed: int, exact_below: int = 0) -> str:
+    return f"WITH {_sampled(g, k, seed, exact_below)} SELECT degree, n, round(c, 6) AS c FROM sp"
+
+
+def sampled_gcc(g: str, k: int, seed: int) -> str:
+    return f"WITH {_sampled(g, k, seed)} SELECT 'sampled' AS graph, round(coalesce(sum(c * n * (degree * (degree - 1) // 2)) / nullif(sum(n * (degree * (degree - 1) // 2)), 0), 0), 6) AS gcc FROM sp"
+
+
+def sampling_error(g: str, k: int, seed: int) -> str:
+    return f"WITH {_sampled(g, k, seed)} SELECT degree, round(prof.c, 6) AS exact, round(sp.c, 6) AS sampled, round(abs(prof.c - sp.c), 6) AS gap FROM prof JOIN sp USING (degree)"
+
+
+def profile_series(g: str, beta: float, seed: int) -> str:
+    return f"WITH {_clustered(g)}, y AS ({_of_edges(gen_edges(g, beta, seed), 'SELECT degree, n, c FROM prof')}) SELECT degree, coalesce(prof.n, 0)::BIGINT AS n_a, coalesce(y.n, 0)::BIGINT AS n_b, round(coalesce(prof.c, 0), 6) AS c_a, round(coalesce(y.c, 0), 6) AS c_b FROM prof FULL JOIN y USING (degree)"
+
+
+def pivoted(g: str, beta: float, seed: int) -> str:
+    return f"SELECT a.graph, a.nodes AS original_nodes, a.edges AS original_edges, b.nodes AS model_nodes, b.edges AS model_edges FROM ({summary(g)}) a JOIN ({clone_summary(g, beta, seed)}) b ON a.graph = b.graph"
+
+
+def flagship(g: str, beta: float, seed: int) -> str:
+    return f"SELECT * FROM ({summary(g)}) UNION ALL SELECT * FROM ({clone_summary(g, beta, seed)})"
+
+
+def phase_rollup(g: str, beta: float, seed: int) -> str:
+    return f"""WITH RECURSIVE {generated(g, beta, seed)},
+bl AS (SELECT g, k, first_node + k * block_size AS f0, first_node + (k + 1) * block_size AS f1 FROM (SELECT *, unnest(range(0, blocks)) AS k FROM pg)),
+x AS (SELECT phase, coalesce(p.f0 = q.f0, false) AS same_block FROM gen LEFT JOIN bl p ON a >= p.f0 AND a < p.f1 LEFT JOIN bl q ON b >= q.f0 AND b < q.f1)
+SELECT phase::INTEGER AS phase, same_block, count(*)::BIGINT AS edges, grouping(phase, same_block)::BIGINT AS level FROM x GROUP BY ROLLUP (phase, same_block)"""
+
+
+def triangle_provenance(g: str, beta: float, seed: int) -> str:
+    return f"""WITH RECURSIVE {generated(g, beta, seed)}, te AS (SELECT least(a, b) AS lo, greatest(a, b) AS hi, (min(phase) = 1)::INTEGER AS p FROM gen WHERE a <> b GROUP BY 1, 2)
+SELECT (x.p + y.p + z.p)::INTEGER AS local_edges, count(*)::BIGINT AS triangles FROM te x JOIN te y ON x.hi = y.lo JOIN te z ON z.lo = x.lo AND z.hi = y.hi GROUP BY 1"""
+
+
+def compare_models(g: str, betas: tuple[float, ...], beta: float, initiator: tuple[float, ...], seed: int) -> str:
+    """Distances of the original's and every model's profile from the original's."""
+    parts = [f"SELECT 'model_{b:g}' AS model, * FROM ({_of_edges(gen_edges(g, b, seed), 'SELECT degree, n, c FROM prof')})" for b in betas]
+    parts.append(f"SELECT 'chung_lu' AS model, * FROM ({_of_edges(chung_lu(g, beta, seed), 'SELECT degree, n, c FROM prof')})")
+    inner = f"WITH {_clustered(g)} SELECT * FROM {kronecker_profile(seed, initiator)}"
+    parts.append(f"SELECT 'kronecker' AS model, * FROM ({_of_edges(inner, 'SELECT degree, n, c FROM prof')})")
+    w = "(degree * (degree - 1) // 2)"
+    return f"""WITH {_clustered(g)}, {_BINS},
+own AS MATERIALIZED (SELECT degree, n, c FROM prof),
+md AS MATERIALIZED (SELECT 'original' AS model, * FROM own UNION ALL {" UNION ALL ".join(parts)}),
+by0 AS (SELECT model, degree, sum(x) AS x, sum(y) AS y, sum(cx) AS cx, sum(cy) AS cy FROM (SELECT model, own.degree, own.n AS x, 0 AS y, own.c AS cx, 0 AS cy FROM own, (SELECT DISTINCT model FROM md) UNION ALL SELECT model, degree, 0, n, 0, c FROM md) GROUP BY model, degree),
+by1 AS (SELECT *, abs(sum(x) OVER r::DOUBLE / sum(x) OVER e - sum(y) OVER r::DOUBLE / sum(y) OVER e) AS far FROM by0 WINDOW r AS (PARTITION BY model ORDER BY degree), e AS (PARTITION BY model)),
+m AS (SELECT model, max(far) AS ks, sum(abs(cx - cy) * x) FILTER (degree >= 2 AND x > 0) / sum(x) FILTER (degree >= 2) AS gap_n, sum(abs(cx - cy) * x * {w}) FILTER (degree >= 2 AND x > 0) / sum(x * {w}) FILTER (degree >= 2) AS gap_wedge,
+  sum(cx * x * {w}) / sum(x * {w}) AS gx, sum(cy * y * {w}) / sum(y * {w}) AS gy FROM by1 GROUP BY model),
+b AS (SELECT model, avg(abs(x - y)::DOUBLE / greatest(x, y)) AS gap_binned FROM (SELECT model, k, sum(x) AS x, sum(y) AS y FROM by0 JOIN bn ON degree BETWEEN lo AND hi GROUP BY model, k) GROUP BY model)
+SELECT model, round(ks, 6) AS ks, round(gap_n, 6) AS gap_n, round(gap_wedge, 6) AS gap_wedge, round(gap_binned, 6) AS gap_binned, round(coalesce(abs(gx - gy) / gx, 0), 6) AS gcc_rel FROM m JOIN b USING (model)"""
+
+
+def coupon_poisson(trials: int, seed: int, cdf: list[float]) -> str:
+    return f"WITH t AS (SELECT i AS trial, len(list_filter([{', '.join(f'{x!r}::DOUBLE' for x in cdf)}], lambda x: x <= {_u(seed, 14, 'i')})) AS number FROM range({trials}) r(i)), d AS (SELECT trial, {_below(_u(seed, 3, '(trial * 1000 + s)'), '45')} AS code FROM (SELECT trial, unnest(range(1, number + 1)) AS s FROM t)), u AS (SELECT trial, count(DISTINCT code) AS k FROM t LEFT JOIN d USING (trial) GROUP BY trial) SELECT k::BIGINT AS \"unique\", count(*)::BIGINT AS trials FROM u GROUP BY k"
+
+
+def _realised_counts(kind: str, p: tuple[float, ...], dmax: int) -> str:
+    return f"r AS (SELECT degree::BIGINT AS degree, {_law(kind, p)} AS f FROM range(1, {dmax + 1}) t(degree)), p AS (SELECT degree, f / (SELECT sum(f) FROM r) AS p FROM r)"
+
+
+def realised_rounded(kind: str, p: tuple[float, ...], dmax: int, nodes: int) -> str:
+    return f"""WITH {_realised_counts(kind, p, dmax)}, x AS (SELECT degree, p * {nodes} AS x, floor(p * {nodes})::BIGINT AS base FROM p), o AS (SELECT *, row_number() OVER (ORDER BY round(x - base, 9) DESC, degree) AS place FROM x)
+SELECT degree, n::BIGINT AS n FROM (SELECT degree, base + (place <= {nodes} - (SELECT sum(base) FROM x))::BIGINT AS n FROM o) WHERE n > 0"""
+
+
+def realised_multinomial(kind: str, p: tuple[float, ...], dmax: int, nodes: int, seed: int) -> str:
+    dist = _cumulated("(SELECT degree, 0 AS zero, p * 1000000000000::DOUBLE AS w FROM p)", "degree", "zero")
+    return f"WITH {_realised_counts(kind, p, dmax)}, dist AS {dist} SELECT bin AS degree, count(*)::BIGINT AS n FROM (SELECT {_u(seed, 14, 'i')} AS u FROM range({nodes}) t(i)) JOIN dist ON u >= lo AND u < hi GROUP BY bin"
+
+
+def ideal_check(kind: str, p: tuple[float, ...], dmax: int, davg: float, nodes: int) -> str:
+    return f"WITH {_realised_counts(kind, p, dmax)}, m AS (SELECT sum(degree * p) AS davg, max_by(p, degree) AS p_top FROM p) SELECT round(davg, 4) AS davg, round(p_top, 4) AS p_top, abs(davg - {davg}) <= {0.01 * davg} AS mean_fits, p_top * {nodes} < 1 AS tail_fits FROM m"
+
+
+def clustering_gap(g: str, beta: float, seed: int) -> str:
+    w = "(degree * (degree - 1) // 2)"
+    return f"WITH {_clustered(g)}, y AS ({_of_edges(gen_edges(g, beta, seed), 'SELECT degree, c FROM prof')}), s AS (SELECT degree, n, abs(prof.c - coalesce(y.c, 0)) AS gap FROM prof LEFT JOIN y USING (degree) WHERE degree >= 2) SELECT round(sum(gap * n) / sum(n), 6) AS gap_n, round(sum(gap * n * {w}) / sum(n * {w}), 6) AS gap_wedge FROM s"
+
+
+def xi_grid(g: str, c_max: float, gcc: float, xis: list[float]) -> str:
+    values = ", ".join(f"({x}::DOUBLE)" for x in xis)
+    w = "(n * (degree * (degree - 1) // 2))"
+    return f"WITH {_base(g)}, x(xi) AS (VALUES {values}), s AS (SELECT xi, {c_max}::DOUBLE * sum({w} * exp(-(degree - 1) * xi)) / sum({w}) AS gcc FROM h, x WHERE degree >= 2 GROUP BY xi) SELECT xi, round(gcc, 6) AS gcc, round(abs(gcc - {gcc}), 6) AS loss FROM s"
+
+
+SESSIONS = """WITH e AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 10 MINUTE THEN 0 ELSE 1 END AS fresh FROM events),
+s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS k FROM e)
+SELECT min(ts) AS start, max(ts) + INTERVAL 10 MINUTE AS "end", user_id, count(*)::BIGINT AS events FROM s GROUP BY user_id, k"""

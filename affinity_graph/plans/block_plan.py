@@ -170,9 +170,11 @@ def expand_blocks(plan: Plan) -> DataFrame:
 
 
 def block_of(nodes: DataFrame, plan: Plan, v: str = "v") -> DataFrame:
-    """``nodes`` with g and block (null outside all blocks). The groups are one row per distinct degree at most, hence broadcast."""
+    """``nodes`` with g and block (null outside all blocks)."""
+    from ..operators.discrete import locate
+
     g = plan.group.select("g", F.col("first_node").alias("f0"), (F.col("first_node") + F.col("blocks") * F.col("block_size")).alias("f1"), "block_size")
-    hit = nodes.join(F.broadcast(g), (F.col(v) >= F.col("f0")) & (F.col(v) < F.col("f1")), "left")
+    hit = locate(nodes, v, g, "f0", "f1", "left")
     return hit.select(*nodes.columns, "g", F.expr(f"({v} - f0) div block_size").alias("block"))
 
 

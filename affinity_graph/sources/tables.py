@@ -14,9 +14,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or one of our own where it is unset (tests)."""
+    """The folder that all executors share: spark.checkpoint.dir. Where that is unset one of our own serves a local master only."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         base = tempfile.mkdtemp(prefix="affinity-graph-")
         spark.sparkContext.setCheckpointDir(base)
     return base.rstrip("/")
@@ -29,6 +31,12 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def is_directory(spark: SparkSession, path: str) -> bool:
+    """Whether a path of any store that Spark reads is a folder."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark._jsc.hadoopConfiguration()).getFileStatus(p).isDirectory()
+
+
 def read_edge_list(spark: SparkSession, path: str, fmt: str = "csv", src: str = "src", dst: str = "dst", **options: str) -> DataFrame:
     """Raw pairs from Parquet, ORC, CSV, JSON, or text with two numbers a line; rows that do not parse have nulls."""
     if fmt == "text":

@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-import os
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -13,15 +13,16 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from ..operators.generate import global_edges, local_edges, phase_coin
 from ..plans.block_plan import Plan
-from ..sources.tables import shared_dir
+from ..sources.tables import is_directory, shared_dir, table
 
 EVENT_SCHEMA = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
 
 def event_stream(spark: SparkSession, sf_dir: str, late: str = "10 minutes") -> DataFrame:
     """The events table as a stream, with event time and a watermark (which takes a time-zoned type only)."""
-    raw = spark.readStream.schema(EVENT_SCHEMA).option("pathGlobFilter", "events.parquet" if not os.path.isdir(f"{sf_dir}/events.parquet") else "*.parquet")
-    stream = raw.parquet(sf_dir if not os.path.isdir(f"{sf_dir}/events.parquet") else f"{sf_dir}/events.parquet")
+    folder = is_directory(spark, f"{sf_dir}/events.parquet")
+    raw = spark.readStream.schema(EVENT_SCHEMA).option("pathGlobFilter", "*.parquet" if folder else "events.parquet")
+    stream = raw.parquet(f"{sf_dir}/events.parquet" if folder else sf_dir)
     return stream.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)
 
 
@@ -35,7 +36,7 @@ def generate_stream(plan: Plan, rows_per_batch: int = 100_000, seed: int = 1, ki
 
 
 def window_members(events: DataFrame, kind: str = "tumbling") -> DataFrame:
-    """(start, user_id) of users active in event-time windows; sessions are per event type."""
+    """(start, end, user_id, events) of users active in event-time windows; a session is one user's run of events without a gap of ten minutes."""
     if kind == "tumbling":
         w, keys = F.window("ts", "5 minutes"), []
     elif kind == "sliding":
@@ -49,6 +50,20 @@ def window_members(events: DataFrame, kind: str = "tumbling") -> DataFrame:
     return events.groupBy(w.alias("w"), "user_id").agg(F.count(F.lit(1)).alias("events")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "user_id", "events")
 
 
+def by_nation(events: DataFrame, spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Stream-static join: events by the nation of the customer with the user's id."""
+    customers = table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("user_id"), "c_nationkey")
+    return events.join(customers, "user_id").groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("events"))
+
+
+def followed_within(a: DataFrame, b: DataFrame, minutes: int = 60) -> DataFrame:
+    """Stream-stream join: pairs of a user's events at most ``minutes`` apart. The bound on event time lets the state of both sides go."""
+    x = a.select(F.col("user_id").alias("user_id"), F.col("event_id").alias("first_id"), F.col("ts").alias("ts_a"))
+    y = b.select(F.col("user_id").alias("user_b"), F.col("event_id").alias("second_id"), F.col("ts").alias("ts_b"))
+    near = F.expr(f"user_id = user_b AND first_id < second_id AND ts_b >= ts_a AND ts_b <= ts_a + INTERVAL {minutes} MINUTES")
+    return x.join(y, near).select("user_id", "first_id", "second_id")
+
+
 def unique_within_watermark(pairs: DataFrame) -> DataFrame:
     """Simple pairs of a stream with event time: repeats within the watermark go, with state bounded by it."""
     return pairs.where("lo < hi").dropDuplicatesWithinWatermark(["lo", "hi"])
@@ -74,20 +89,49 @@ class DegreeState(StatefulProcessor):
         pass
 
 
+@contextmanager
+def column_families(spark: SparkSession) -> Iterator[None]:
+    """Queries started inside keep their state in RocksDB, which explicit state needs; the session's setting comes back after."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 def stateful_degrees(edges: DataFrame) -> DataFrame:
+    """(v, degree) of an edge stream, a row per node and batch with its degree so far. Run it inside ``column_families``."""
     ends = edges.select(F.explode(F.array("lo", "hi")).alias("v"))
     return ends.groupBy("v").transformWithStateInPandas(DegreeState(), outputStructType="v long, degree long", outputMode="Update", timeMode="None")
 
 
-def finished(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there and return its sink as a table. Each batch replaces its own folder, so that a repeated batch
-    leaves no double rows; in complete mode the last batch is the result."""
-    spark = stream.sparkSession
-    base = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+def _run(stream: DataFrame, name: str, mode: str) -> tuple[str, list]:
+    base = f"{shared_dir(stream.sparkSession)}/{name}-{uuid.uuid4().hex}"
 
     def write(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite").parquet(f"{base}/rows/batch={number if mode == 'append' else 0}")
+        batch.write.mode("overwrite").parquet(f"{base}/rows/batch={number if mode != 'complete' else 0}")
 
     query = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{base}/checkpoint").foreachBatch(write).trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(f"{base}/rows").select(*stream.columns)
+    return base, query.recentProgress
+
+
+def finished(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
+    """Run a stream over what is there and return its sink as a table. Each batch replaces its own folder, so that a repeated batch
+    leaves no double rows; in complete mode the last batch is the result."""
+    base, _ = _run(stream, name, mode)
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{base}/rows").select(*stream.columns)
+
+
+def late_rows(stream: DataFrame, name: str = "late") -> int:
+    """Rows that came after the watermark and were dropped by the stream's stateful operators, counted as they reach those:
+    an aggregate combines a batch's rows of one group before."""
+    _, progress = _run(stream, name, "append")
+    return sum(op["numRowsDroppedByWatermark"] for p in progress for op in p["stateOperators"])
+
+
+def generated_by_stream(plan: Plan, rows: int, seed: int = 1, kind: str = "fast") -> DataFrame:
+    """The first ``rows`` edges of ``generate_stream``, as a table."""
+    return finished(generate_stream(plan, rows, seed, kind), "generated")

@@ -21,7 +21,7 @@ def _union(frames: list[DataFrame]) -> DataFrame:
 
 
 def small_comparison(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("doc_line", "user_next"), beta: float = 10.0, initiator: tuple[float, float, float, float] = baselines.INITIATOR, k: int = 50, seed: int = 1) -> dict[str, DataFrame]:
-    """Block model, Chung-Lu with blow-up and Kronecker against the original: summaries, series and leading eigenvalues."""
+    """Block model, Chung-Lu with blow-up and Kronecker against the original: summaries, series and the ``k`` leading eigenvalues (none with 0)."""
     summaries, series, spectra = [], [], []
     for g in graphs:
         own = stored(BUILDERS[g](spark, sf_dir), "edges")
@@ -37,12 +37,15 @@ def small_comparison(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] =
             e = e if model == "original" else stored(e, "edges")
             summaries.append(profile.summary(e, g, model))
             series.append(profile.measure_profile(e, g).withColumn("model", F.lit(model)))
-            spectra.append(spectrum.leading_eigenvalues(e, k).select(F.lit(g).alias("graph"), F.lit(model).alias("model"), "rank", "value"))
-    return {"summary": _union(summaries), "series": _union(series), "spectrum": _union(spectra)}
+            if k:
+                spectra.append(spectrum.leading_eigenvalues(e, k).select(F.lit(g).alias("graph"), F.lit(model).alias("model"), "rank", "value"))
+    out = {"summary": _union(summaries), "series": _union(series)}
+    return out | ({"spectrum": _union(spectra)} if k else {})
 
 
 def large_clones(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("doc_line", "part_basket", "cust_day", "page_href", "host_href"), beta: float = 1.0, k: int = 2000, seed: int = 1) -> dict[str, DataFrame]:
-    """Clones from sampled clustering, with the seconds of generation and of dropping repeats. Sizes only where wedges are too many to count."""
+    """Clones by the block model and by Chung-Lu from a profile with sampled clustering, with sizes, sampled global clustering, and the
+    seconds of generation and of dropping repeats."""
     rows, sizes = [], []
     for g in graphs:
         own = stored(BUILDERS[g](spark, sf_dir), "edges")
@@ -51,12 +54,21 @@ def large_clones(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("d
         rows.append(measures.timed("clones", g, "generate", generate.generate(plan, seed)))
         gen = stored(generate.generate(plan, seed), "gen")
         rows.append(measures.timed("clones", g, "dedup", generate.dedup(gen)))
-        clone = stored(generate.dedup(gen), "edges")
-        for model, e in (("original", own), ("model", clone)):
-            sizes.append(profile.size_from_hist(profile.degree_hist(profile.degrees(e))).select(F.lit(g).alias("graph"), F.lit(model).alias("model"), "*"))
+        made = {"original": p}
+        for model, x in (("block model", gen), ("chung-lu", baselines.chung_lu(p, beta, seed))):
+            made[model] = stored(profile.measure_profile(stored(generate.dedup(x), "edges"), g, "sampled", k, seed), "profile")
+        sizes += [_sized(x, g, model) for model, x in made.items()]
     return {"summary": _union(sizes), "bench": spark.createDataFrame(rows, BENCH)}
 
 
+def _sized(p: DataFrame, graph: str, model: str) -> DataFrame:
+    """One row: sizes and global clustering that a profile implies."""
+    w = F.col("n") * profile.wedges("degree")
+    stubs, n = F.sum(F.col("degree") * F.col("n")), F.sum("n")
+    gcc = F.coalesce(F.try_divide(F.sum(F.col("c") * w), F.sum(w).cast("double")), F.lit(0.0))
+    return p.agg(F.lit(graph).alias("graph"), F.lit(model).alias("model"), n.alias("nodes"), (stubs / 2).cast("bigint").alias("edges"), F.max("degree").alias("dmax"), (stubs / n).alias("davg"), gcc.alias("gcc"))
+
+
 def degree_fit_cases(spark: SparkSession, nodes: int = 10_000_000) -> DataFrame:
     """Both targets by both laws: parameters, mean degree and probability of the largest degree."""
     out = []
@@ -68,7 +80,7 @@ def degree_fit_cases(spark: SparkSession, nodes: int = 10_000_000) -> DataFrame:
     return _union(out)
 
 
-def example_graphs(spark: SparkSession, nodes: int = 10_000, seed: int = 1) -> dict[str, DataFrame]:
+def example_graphs(spark: SparkSession, nodes: int = 10_000, seed: int = 1, k: int = 2000) -> dict[str, DataFrame]:
     """The two example graphs at any size: target and realised summaries, and seconds."""
     rows, summaries = [], []
     for name, spec in (("EX-A", ideal.IdealSpec("dgln", 100_000, alpha=2.14, delta=1.83, c_max=0.9, xi=3.59e-4)), ("EX-B", ideal.IdealSpec("dgln", 10_000, alpha=1.98, delta=2.08, c_max=0.5, xi=0.01))):
@@ -77,15 +89,12 @@ def example_graphs(spark: SparkSession, nodes: int = 10_000, seed: int = 1) -> d
         rows.append(measures.timed("examples", name, "generate", generate.generate(plan, seed)))
         gen = stored(generate.generate(plan, seed), "gen")
         rows.append(measures.timed("examples", name, "dedup", generate.dedup(gen)))
-        made = profile.sample_clustering(stored(generate.dedup(gen), "edges"), 500, seed)
-        for model, x in (("target", p), ("model", made)):
-            gcc = profile.profile_gcc(x.select(F.lit(name).alias("graph"), "degree", "n", "c"))
-            size = profile.size_from_hist(x).select(F.lit(name).alias("graph"), F.lit(model).alias("model"), "*")
-            summaries.append(size.join(F.broadcast(gcc), "graph"))  # one row
+        made = stored(profile.sample_clustering(stored(generate.dedup(gen), "edges"), k, seed), "profile")
+        summaries += [_sized(x, name, model) for model, x in (("target", p), ("model", made))]
     return {"summary": _union(summaries), "bench": spark.createDataFrame(rows, BENCH)}
 
 
-def weak_scaling(spark: SparkSession, base_nodes: int = 10_000, base_dmax: int = 500, steps: int = 4, edges_per_task: int = 250_000, seed: int = 1) -> DataFrame:
+def weak_scaling(spark: SparkSession, base_nodes: int = 10_000, base_dmax: int = 500, steps: int = 7, edges_per_task: int = 250_000, seed: int = 1) -> DataFrame:
     """Graphs of doubling size with a fixed number of edges a task: generated, unique, and seconds of both stages."""
     rows = []
     for nodes, dmax in ideal.scaling_series(base_nodes, base_dmax, steps):
@@ -108,11 +117,11 @@ def replot(series: DataFrame) -> tuple[DataFrame, DataFrame]:
     return measures.log_binned(series), measures.cumulative_degrees(series.select("degree", "n"))
 
 
-def largest_series(spark: SparkSession, nodes: int = 80_000, dmax: int = 1414, seed: int = 1) -> DataFrame:
+def largest_series(spark: SparkSession, nodes: int = 640_000, dmax: int = 4000, seed: int = 1, k: int = 2000) -> DataFrame:
     """Target against realised degrees and clustering of the largest scaling graph, in log bins."""
     spec = ideal.fit_degrees("dgln", 32, dmax, 0.001 / nodes)
     target, edges = ideal.benchmark_graph(spark, nodes, 32, dmax, 0.5, gcc=0.15, spec=spec, seed=seed)
-    made = profile.sample_clustering(stored(edges, "edges"), 500, seed)
+    made = profile.sample_clustering(stored(edges, "edges"), k, seed)
     a = measures.log_binned(target).select("k", "lo", "hi", F.col("n").alias("n_target"), F.col("c").alias("c_target"))
     return a.join(measures.log_binned(made).select("k", F.col("n").alias("n_model"), F.col("c").alias("c_model")), "k", "full")
 
@@ -126,8 +135,5 @@ def ablations(spark: SparkSession, sf_dir: str, graph: str = "doc_line", seed: i
     runs |= {f"beta={b:g}": generate.generate(build_plan(p, b), seed) for b in (2.0, 10.0)}
     runs |= {f"mode={m}": generate.generate(base, seed, m) for m in ("bulk", "poisson", "skip", "realised")}
     runs["density by degree"] = generate.generate(build_plan(p, rho=F.lit(0.9) * F.exp(-F.lit(0.01) * F.col("degree"))), seed)
-    out = []
-    for name, gen in runs.items():
-        made = stored(profile.measure_profile(stored(generate.dedup(gen), "edges"), graph), "profile")
-        out.append(measures.compare(p, made).select(F.lit(name).alias("variant"), "*"))
-    return _union(out)
+    every = [profile.measure_profile(stored(generate.dedup(gen), "edges"), graph).select(F.lit(name).alias("model"), "degree", "n", "c") for name, gen in runs.items()]
+    return measures.compare_all(p, stored(_union(every), "profiles")).withColumnRenamed("model", "variant")

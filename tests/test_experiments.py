@@ -10,7 +10,9 @@ def test_small_comparison(spark, data):
 
 def test_clones_and_scaling(spark, data):
     out = ex.large_clones(spark, data, ("doc_line",), k=200)
-    assert out["bench"].count() == 2 and out["summary"].count() == 2
+    assert out["bench"].count() == 2
+    s = {r.model: r for r in out["summary"].collect()}
+    assert set(s) == {"original", "block model", "chung-lu"} and abs(s["original"].gcc - s["block model"].gcc) < 0.1 < s["original"].gcc - s["chung-lu"].gcc
     rows = ex.weak_scaling(spark, 1000, 100, 2).collect()
     made = {(r.graph, r.stage): r.rows_out for r in rows}
     assert 1.6 < made["2000", "generate"] / made["1000", "generate"] < 2.6
@@ -25,3 +27,12 @@ def test_fits_examples_and_ablations(spark, data):
     a = {r.variant: r for r in ex.ablations(spark, data).collect()}
     assert a["weight=plain"].gcc_rel > a["weight=log"].gcc_rel
     assert ex.coupon_experiment(spark).count() > 5
+
+
+def test_largest_series_and_replots(spark, data):
+    rows = ex.largest_series(spark, 4000, 316, k=300).collect()
+    whole = [r for r in rows if (r.n_target or 0) > 100]
+    assert len(rows) > 5 and all(abs(r.n_model - r.n_target) < 0.5 * r.n_target for r in whole)
+    p = spark.createDataFrame([("g", d, 100 // d, 0.1) for d in range(1, 50)], "graph string, degree long, n long, c double")
+    binned, cumulative = ex.replot(p)
+    assert binned.agg({"n": "sum"}).head()[0] == sum(100 // d for d in range(1, 50)) and cumulative.orderBy("degree").head().cum_ge == 1.0

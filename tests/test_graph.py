@@ -90,7 +90,8 @@ def test_local_edges_stay_in_their_block(plan):
 
 def test_dedup_strategies_agree(plan):
     gen = tables.stored(generate.generate(plan, 3), "gen")
-    sets = {k: sorted((r.lo, r.hi) for r in generate.dedup(gen, k).collect()) for k in ("exchange", "sort", "endpoint", "tile", "count")}
+    sets = {k: sorted((r.lo, r.hi) for r in generate.dedup(gen, k).collect()) for k in ("exchange", "sort", "endpoint", "count")}
+    sets["tile"] = sorted((r.lo, r.hi) for r in generate.dedup(gen, "tile", plan).collect())
     assert len({tuple(s) for s in sets.values()}) == 1 and len(set(sets["sort"])) == len(sets["sort"])
     with pytest.raises(ValueError):
         generate.dedup(gen, "other")
@@ -105,6 +106,36 @@ def test_modes_keep_the_size(plan, lines, mode):
 def test_skip_has_no_local_repeats(plan):
     local = generate.skip_local(plan, 4)
     assert local.count() == local.select(F.least("a", "b"), F.greatest("a", "b")).distinct().count()
+    gen = tables.stored(generate.generate(plan, 4, "skip"), "gen")
+    assert sorted(map(tuple, generate.dedup(gen, "tile", plan, True).collect())) == sorted(map(tuple, generate.dedup(gen).collect()))
+
+
+@pytest.mark.parametrize("mode", ["skip", "poisson"])
+def test_local_modes_spread_over_tasks_without_exchange(spark, mode):
+    """Many groups, one of them huge: rows come from all tasks, the plan has no exchange but those of its group table, and each
+    density's pairs are kept as often as its law says."""
+    p = bp.build_plan(spark.createDataFrame([("g", 40, 40_000, 0.36), ("g", 900, 9_010, 0.0009), ("g", 3000, 3_001, 0.0004)], "graph string, degree long, n long, c double"))
+    local = {"skip": generate.skip_local, "poisson": generate.poisson_local}[mode](p, 7)
+    rows = local.withColumn("task", F.spark_partition_id()).groupBy("task").count().collect()
+    assert len(rows) > 1 and max(r["count"] for r in rows) < 0.7 * sum(r["count"] for r in rows)
+    found = {r.g: r.n for r in bp.block_of(local, p, "a").groupBy("g").agg(F.count_distinct(F.least("a", "b"), F.greatest("a", "b")).alias("n")).collect()}
+    for g in p.group.collect():
+        pairs = g.blocks * g.block_size * (g.block_size - 1) / 2
+        assert abs(found[g.g] - pairs * g.rho) < 5 * (pairs * g.rho * (1 - g.rho)) ** 0.5, g
+    text = local._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" not in text and "BroadcastNestedLoopJoin" not in text and "Exchange hashpartitioning" not in text
+
+
+def test_numbering_and_lookup_plans(spark, lines, plan):
+    """No window over all nodes, no nested loop: numbers come from range partitions, blocks from slots."""
+    ids = lines.select(F.xxhash64("lo").alias("lo"), F.xxhash64("hi").alias("hi")).select(F.least("lo", "hi").alias("lo"), F.greatest("lo", "hi").alias("hi"))
+    nodes = profile.degrees(ids)
+    got = profile.canonical_order(nodes).orderBy("position").collect()
+    assert [r.position for r in got] == list(range(1, len(got) + 1))
+    assert [(r.degree, r.v) for r in got] == sorted(((r.degree, r.v) for r in nodes.collect()), key=lambda x: (x[0] == 1, x))
+    for df in (profile.sampled_wedges(ids, 20, 1), bp.block_of(generate.generate(plan, 1), plan, "a")):
+        text = df._jdf.queryExecution().executedPlan().toString()
+        assert "BroadcastNestedLoopJoin" not in text and "CartesianProduct" not in text
 
 
 def test_plan_shape_of_generation(plan):
@@ -180,12 +211,28 @@ def test_edge_lists_and_sinks(spark, lines, tmp_path):
 def test_stream_repeats_the_batch(spark, plan):
     s = stream.generate_stream(plan, 100, 5)
     assert s.isStreaming and s.columns == ["edge_id", "phase", "a", "b"]
+    total = round(sum(plan.totals()))
+    got = stream.generated_by_stream(plan, total, 5)
+    assert got.count() == total and got.exceptAll(generate.generate(plan, 5)).count() == 0
 
 
 def test_stateful_degrees(spark, data):
     e = stream.event_stream(spark, data).select((F.col("user_id") * 2).alias("lo"), (F.col("event_id") * 2 + 1).alias("hi"), "ts")
     got = stream.finished(stream.unique_within_watermark(e), "unique")
     assert got.count() <= 1000
+    with stream.column_families(spark):
+        ends = stream.finished(stream.stateful_degrees(e.select("lo", "hi")), "stateful", "update")
+    batch = spark.read.parquet(f"{data}/events.parquet").select((F.col("user_id") * 2).alias("lo"), (F.col("event_id") * 2 + 1).alias("hi"))
+    assert sorted(map(tuple, ends.collect())) == sorted(map(tuple, stream.running_degrees(batch).collect()))
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    """A second file with events before the watermark: they are dropped, and counted."""
+    for k, stamps in enumerate((["2024-01-01 10:00:00", "2024-01-01 12:00:00"], ["2024-01-01 12:01:00"], ["2024-01-01 08:00:00", "2024-01-01 08:21:00", "2024-01-01 12:05:00"])):
+        rows = spark.createDataFrame([(x,) for x in stamps], "ts string").select(F.col("ts").cast("timestamp").alias("ts"))
+        rows.coalesce(1).write.parquet(f"{tmp_path}/in/k={k}")
+    events = spark.readStream.schema("ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in/*").withWatermark("ts", "10 minutes")
+    assert stream.late_rows(events.groupBy(F.window("ts", "5 minutes")).count()) == 2
 
 
 def test_sql_face(spark, lines):
