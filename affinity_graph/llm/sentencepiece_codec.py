@@ -1,36 +1,51 @@
 """SentencePiece encoding and decoding through a table of distinct marked words.
 
 Where no piece of the vocabulary has a whitespace marker after another character, segmentation never crosses from a
-word into the next marker run, so a text's ids are those of its marked words end to end. Each task keeps a table
-(marked word -> ids), segments a word once, on first sight, and joins the ids back by position; no row is shuffled, and the
-table is bounded: at ``limit`` entries it is begun anew. Vocabularies with crossing pieces, or a normaliser that is not
-the identity, are encoded whole, text by text.
+word into the next marker run, so a text's ids are those of its marked words end to end:
+
+1. Documents are taken in blocks of about ``BLOCK_BYTES`` of text. A block numbers its distinct marked words; a document becomes
+   the numbers of its words in their places. Blocks are written to the shared folder (numbers packed, words by slot).
+2. The words of all blocks meet in slots by their hash. There each distinct word of the corpus is segmented once, and its ids go
+   back to every block that has it. A slot's table holds that slot's words only; there are ``SLOTS`` slots a shuffle partition.
+3. Each block meets its ids and joins them back by place, document by document.
+
+What is shuffled grows with the distinct words of a block and with packed places, not with the words in full. A word that is
+in all texts is one entry a block. Vocabularies with crossing pieces, or a normaliser that is not the identity, are
+encoded whole, text by text.
 
 Nulls and edges: a null text is empty and has the end id only; texts of blanks only, marker characters in the text,
-repeated rows and very long texts are ordinary; an empty table gives an empty result.
+repeated rows, null ids and very long texts (a block of their own) are ordinary; other columns are ignored; an empty table
+gives an empty result.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
-from collections.abc import Iterator
+import uuid
+import zlib
+from array import array
+from collections.abc import Callable, Iterator
 from itertools import chain
 
+import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from .common import load, public_path, text_pieces
+from .common import load, public_path, release, shuffle_width, stored, text_pieces
 
 MODEL = "piece_bpe_32k.model"
 MARK = "▁"
+BLOCK_BYTES, SLOTS = 16 << 20, 4
 _MARKED = re.compile(f"{MARK}+[^{MARK}]*")
 
 
 class MarkedWordTable:
-    """Encodes texts by looking up their marked words; ``ids`` and ``digits`` are the table's columns."""
+    """Encodes texts by looking up their marked words; ``ids`` and ``digits`` are the table's columns. ``limit``: entries held, None: all."""
 
-    def __init__(self, path: str, end_id: bool = True, limit: int = 250_000):
+    def __init__(self, path: str, end_id: bool = True, limit: int | None = 250_000):
         import sentencepiece
 
         self.model = sentencepiece.SentencePieceProcessor(model_file=path)
@@ -40,9 +55,9 @@ class MarkedWordTable:
         probe = "a   ﬁ　 A"
         same = self.model.decode(self.model.encode(probe)) == probe and self.model.encode_as_pieces("a")[0].startswith(MARK)
         self.separable = same and not any(MARK in p.lstrip(MARK) for p in pieces)
-        self._clear()
+        self.clear()
 
-    def _clear(self) -> None:
+    def clear(self) -> None:
         lone = [self.model.piece_to_id(MARK)]
         self.ids: dict[str, list[int]] = {"": lone}
         self.digits: dict[str, str] = {"": str(lone[0])}
@@ -56,8 +71,8 @@ class MarkedWordTable:
 
     def look_up(self, words: list[str]) -> None:
         fresh = [w for w in dict.fromkeys(words) if w not in self.ids]
-        if len(self.ids) + len(fresh) > self.limit and len(self.ids) > 1:
-            self._clear()
+        if self.limit and len(self.ids) + len(fresh) > self.limit and len(self.ids) > 1:
+            self.clear()
             fresh = [w for w in dict.fromkeys(words) if w]
         for w, ids in zip(fresh, self.model.encode(fresh, num_threads=1), strict=True):
             self.ids[w] = ids
@@ -78,16 +93,144 @@ class MarkedWordTable:
         return ids, " ".join([*map(self.digits.__getitem__, words), *map(str, self.end)])
 
 
-def encode(docs: DataFrame, model_path: str) -> DataFrame:
-    """(doc_id, ids array<int>) of whole texts."""
+class _Numbering(dict):
+    """Words to numbers in order of first sight."""
+
+    def __missing__(self, word: str) -> int:
+        self[word] = number = len(self)
+        return number
+
+
+def _pack(values: np.ndarray) -> bytes:
+    """int32 values, one byte plane after another, compressed."""
+    return zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(np.asarray(values, "<i4").view(np.uint8).reshape(-1, 4).T).tobytes())
+
+
+def _unpack(blob: bytes) -> np.ndarray:
+    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(blob), np.uint8)
+    return np.ascontiguousarray(raw.reshape(4, -1).T).reshape(-1).view("<i4").astype(np.int64)
+
+
+_BLOCKS = "block long, slot int, doc_ids array<long>, counts binary, places binary, numbers binary, words binary"
+_IDS = "block long, doc_ids array<long>, counts binary, places binary, numbers binary, sizes binary, ids binary"
+
+
+def _rows(ddl: str, rows: list[dict]) -> pa.RecordBatch:
+    types = {"long": pa.int64(), "int": pa.int32(), "array<long>": pa.list_(pa.int64()), "binary": pa.binary()}
+    fields = [f.split() for f in ddl.split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array([r.get(n) for r in rows], types[t]) for n, t in fields], [n for n, _ in fields])
+
+
+def _blocks(docs: DataFrame, model_path: str, slots: int) -> DataFrame:
+    """Documents as numbers of words (slot -1), and each block's words by slot."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = MarkedWordTable(model_path)
-        for piece in text_pieces(batches, limit=4 << 20):
-            ids = [table.encode(t)[0] for t in piece.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(ids, pa.list_(pa.int32()))], ["doc_id", "ids"])
+        for piece in text_pieces(batches, limit=BLOCK_BYTES):
+            block, numbers, counts, places = uuid.uuid4().int >> 65, _Numbering(), [], array("i")
+            for text in piece.column("text").to_pylist():
+                before = len(places)
+                if text:
+                    places.extend(map(numbers.__getitem__, table.words(text)))
+                counts.append(len(places) - before)
+            yield _rows(_BLOCKS, [{"block": block, "slot": -1, "doc_ids": piece.column("doc_id").to_pylist(), "counts": _pack(counts), "places": _pack(np.frombuffer(places, np.int32) if places else [])}])
+            words = list(numbers)
+            slot = np.fromiter(map(zlib.crc32, map(str.encode, words)), np.int64, len(words)) % slots
+            order = np.argsort(slot, kind="stable")
+            for part in np.split(order, np.flatnonzero(np.diff(slot[order])) + 1):
+                if len(part):
+                    said = MARK.join(map(words.__getitem__, part.tolist())).encode()
+                    yield _rows(_BLOCKS, [{"block": block, "slot": int(slot[part[0]]), "numbers": _pack(part), "words": zstandard.ZstdCompressor(level=1).compress(said)}])
+
+    return docs.select("doc_id", "text").mapInArrow(run, _BLOCKS)
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, ids array<int>")
+
+def _segmented(words: DataFrame, model_path: str) -> DataFrame:
+    """The ids of each block's words; rows come sorted by slot, and a slot's table serves all of its blocks."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table, now = MarkedWordTable(model_path, limit=None), None
+        for batch in batches:
+            for r in batch.to_pylist():
+                if r["slot"] != now:
+                    table.clear()
+                    now = r["slot"]
+                said = zstandard.ZstdDecompressor().decompress(r["words"]).decode().split(MARK)
+                if not all(map(table.ids.__contains__, said)):
+                    table.look_up(said)
+                ids = list(map(table.ids.__getitem__, said))
+                yield _rows(_IDS, [{"block": r["block"], "numbers": r["numbers"], "sizes": _pack(list(map(len, ids))), "ids": _pack(list(chain.from_iterable(ids)))}])
+
+    return words.mapInArrow(run, _IDS)
+
+
+def _joined(rows: Iterator[dict], end: list[int]) -> Iterator[tuple[int | None, np.ndarray, str]]:
+    """(doc_id, ids with the end id, the same as decimals) of the documents of blocks; a block's ids come before its documents."""
+    parts: list[tuple] = []
+    said_end = list(map(str, end))
+    for r in rows:
+        if r["ids"] is not None:
+            parts.append(tuple(_unpack(r[c]) for c in ("numbers", "sizes", "ids")))
+            continue
+        numbers, sizes, ids = (np.concatenate(x) if parts else np.zeros(0, np.int64) for x in (zip(*parts, strict=True) if parts else ((), (), ())))
+        parts = []
+        begins = np.cumsum(sizes) - sizes
+        digits, texts = [""] * len(numbers), list(map(str, ids.tolist()))
+        for number, a, n in zip(numbers.tolist(), begins.tolist(), sizes.tolist(), strict=True):
+            digits[number] = texts[a] if n == 1 else " ".join(texts[a : a + n])
+        size_of, begin_of = np.zeros(len(numbers), np.int64), np.zeros(len(numbers), np.int64)
+        size_of[numbers], begin_of[numbers] = sizes, begins
+        places, upto = _unpack(r["places"]), 0
+        for doc_id, count in zip(r["doc_ids"], _unpack(r["counts"]).tolist(), strict=True):
+            own = places[upto : upto + count]
+            upto += count
+            n = size_of[own]
+            at = np.repeat(begin_of[own] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+            yield doc_id, np.concatenate([ids[at], np.array(end, np.int64)]), " ".join([*map(digits.__getitem__, own.tolist()), *said_end])
+
+
+def _each(docs: DataFrame, model_path: str, finish: Callable, schema: str) -> DataFrame:
+    """``finish`` over (doc_id, ids, decimals) of every document, in lists of about a thousand."""
+    if not MarkedWordTable(model_path).separable:
+
+        def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            table = MarkedWordTable(model_path)
+            for piece in text_pieces(batches, limit=4 << 20):
+                encoded = [table.encode(t) for t in piece.column("text").to_pylist()]
+                yield finish(table, [(d, np.array(ids, np.int64), said) for d, (ids, said) in zip(piece.column("doc_id").to_pylist(), encoded, strict=True)])
+
+        return docs.select("doc_id", "text").mapInArrow(whole, schema)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = MarkedWordTable(model_path)
+        rows = (r for batch in batches for k in range(batch.num_rows) for r in batch.slice(k, 1).to_pylist())
+        held, size = [], 0
+        for item in _joined(rows, table.end):
+            held.append(item)
+            size += len(item[1])
+            if len(held) >= 1000 or size > 1 << 20:
+                yield finish(table, held)
+                held, size = [], 0
+        if held:
+            yield finish(table, held)
+        release()
+
+    width = shuffle_width(docs.sparkSession)
+    blocks = stored(_blocks(docs, model_path, SLOTS * width), "blocks")
+    words = blocks.where("slot >= 0").repartition(width, "slot").sortWithinPartitions("slot").select("slot", "block", "numbers", "words")
+    ids = _segmented(words, model_path)
+    texts = blocks.where("slot < 0").select("block", "doc_ids", "counts", "places", *[F.lit(None).cast("binary").alias(c) for c in ("numbers", "sizes", "ids")])
+    both = ids.unionByName(texts).withColumn("last", F.col("ids").isNull())
+    return both.repartition(width, "block").sortWithinPartitions("block", "last").mapInArrow(run, schema)
+
+
+def encode(docs: DataFrame, model_path: str) -> DataFrame:
+    """(doc_id, ids array<int>) of whole texts."""
+
+    def finish(table: MarkedWordTable, items: list) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([d for d, _, _ in items], pa.int64()), pa.array([ids.astype(np.int32) for _, ids, _ in items], pa.list_(pa.int32()))], ["doc_id", "ids"])
+
+    return _each(docs, model_path, finish, "doc_id long, ids array<int>")
 
 
 def decode(ids: DataFrame, model_path: str) -> DataFrame:
@@ -105,20 +248,13 @@ def decode(ids: DataFrame, model_path: str) -> DataFrame:
 
 
 def round_trip(docs: DataFrame, model_path: str) -> DataFrame:
-    """Encode and decode each text in one pass and return digests of both, so that ids never leave their task."""
+    """Encode and decode each text and return digests of both, so that ids never leave their task."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = MarkedWordTable(model_path)
-        for piece in text_pieces(batches):
-            counts, ids_digest, text_digest = [], [], []
-            for text in piece.column("text").to_pylist():
-                ids, digits = table.encode(text)
-                counts.append(len(ids))
-                ids_digest.append(hashlib.sha256(digits.encode()).hexdigest())
-                text_digest.append(hashlib.sha256(table.model.decode(ids).encode()).hexdigest())
-            yield pa.RecordBatch.from_arrays([piece.column("doc_id"), pa.array(counts, pa.int64()), pa.array(ids_digest, pa.string()), pa.array(text_digest, pa.string())], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+    def finish(table: MarkedWordTable, items: list) -> pa.RecordBatch:
+        columns = zip(*((d, len(ids), hashlib.sha256(said.encode()).hexdigest(), hashlib.sha256(table.model.decode(ids.tolist()).encode()).hexdigest()) for d, ids, said in items), strict=True)
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True)], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return _each(docs, model_path, finish, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

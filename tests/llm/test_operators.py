@@ -252,7 +252,7 @@ def test_quality(docs, rows, none):
     assert clean.where("contains(text, 'menu |')").count() == 0 and quality_rules.clean(none).count() == 0
 
 
-def test_sentencepiece(docs, rows, none):
+def test_sentencepiece(docs, rows, none, monkeypatch):
     path = common.public_path(sentencepiece_codec.MODEL)
     got = {(r.doc_id, r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in sentencepiece_codec.round_trip(docs, path).collect()}
     assert got == set(sentencepiece_codec.brute_force([(r[0], r[1]) for r in rows], path))
@@ -261,6 +261,13 @@ def test_sentencepiece(docs, rows, none):
     for _ in range(300):
         text = "".join(rng.choice([" ", "  ", "a", "the", "▁", "\n", "é", "日", "<s>", "\x00", ". ", "Wor ld"]) for _ in range(rng.randint(0, 30)))
         assert table.encode(text)[0] == table.model.encode(text, add_eos=True), repr(text)
+    monkeypatch.setattr(sentencepiece_codec, "BLOCK_BYTES", 700)  # many blocks that share words
+    assert {(r.doc_id, r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in sentencepiece_codec.round_trip(docs, path).collect()} == got
+    monkeypatch.setattr(sentencepiece_codec.MarkedWordTable, "words", None)  # the way of vocabularies with crossing pieces
+    whole = sentencepiece_codec.MarkedWordTable(path)
+    whole.separable = False
+    assert all(whole.encode(t)[0] == whole.model.encode(t or "", add_eos=True) for _, t, *_ in rows)
+    monkeypatch.undo()
     back = sentencepiece_codec.decode(sentencepiece_codec.encode(docs, path), path)
     assert back.count() == docs.count() and sentencepiece_codec.round_trip(none, path).count() == 0
 
