@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .tables import table
+from .tables import stored, table
 
 LINE_LENGTH, LINE_DOCUMENTS = 15, 60
 
@@ -21,7 +21,7 @@ def to_simple(raw: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
 
 def _together(members: DataFrame, *keys: str) -> DataFrame:
     """Pairs of members (column v) that share a key."""
-    m = members.distinct()
+    m = stored(members.distinct(), "members")  # both sides of the join read what was made distinct once
     return to_simple(m.alias("x").join(m.withColumnRenamed("v", "w").alias("y"), list(keys)).where("v < w").select(F.col("v").alias("src"), F.col("w").alias("dst")))
 
 
@@ -29,11 +29,12 @@ def _hashed(c: Column, side: int) -> Column:
     return F.conv(F.substring(F.md5(c.cast("binary")), 1, 12), 16, 10).cast("bigint") * 2 + side
 
 
-def doc_line(spark: SparkSession, d: str) -> DataFrame:
-    """Documents that share a trimmed line that 2 to 60 documents have; more widespread lines are no tie by definition."""
+def doc_line(spark: SparkSession, d: str, most: int | None = LINE_DOCUMENTS) -> DataFrame:
+    """Documents that share a trimmed line that 2 to ``most`` documents have (None: any number); more widespread lines are no tie by
+    this graph's definition."""
     lines = table(spark, d, "documents").select(F.col("doc_id").alias("v"), F.explode(F.split("text", "\n")).alias("line")).select("v", F.trim("line").alias("line")).where(F.length("line") > LINE_LENGTH)
     lines = lines.select("v", F.md5(F.col("line").cast("binary")).alias("line")).distinct()
-    some = lines.groupBy("line").count().where(F.col("count").between(2, LINE_DOCUMENTS)).select("line")
+    some = lines.groupBy("line").count().where((F.col("count") >= 2) & (F.lit(True) if most is None else F.col("count") <= most)).select("line")
     return _together(lines.join(some, "line"), "line")
 
 

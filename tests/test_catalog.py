@@ -19,7 +19,7 @@ def test_entry_without_optional_operators(monkeypatch):
 
     def no_llm(name, *a, **b):
         if name.startswith(("affinity_graph.llm", "corpus_pipeline")):
-            raise ImportError(name)
+            raise ModuleNotFoundError(name, name="affinity_graph.llm")
         return real(name, *a, **b)
 
     monkeypatch.setattr(builtins, "__import__", no_llm)
