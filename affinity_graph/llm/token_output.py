@@ -153,13 +153,16 @@ def _dictionary(content: bytes):
     return zstandard.ZstdCompressionDict(content) if content else None
 
 
-def write_shards(docs: DataFrame, path: str, tokenizer_path: str, end_id: int = END_ID) -> None:
-    """Encode ``docs`` (doc_id, text) and write the shards and their dictionary under ``path``."""
+def write_shards(docs: DataFrame, path: str, tokenizer_path: str, end_id: int = END_ID, sample_docs: int = SAMPLE_DOCS, sample_chars: int = SAMPLE_CHARS) -> None:
+    """Encode ``docs`` (doc_id, text) and write the shards and their dictionary under ``path``.
+
+    The dictionary is trained on ``sample_docs`` documents, ``sample_chars`` characters of each; every document is encoded whole.
+    """
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
     # Only ids meet in the top-k; texts of the chosen ones are fetched by a pushed-down filter.
-    ids = [r[0] for r in docs.select("doc_id").where("doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(SAMPLE_DOCS).collect()]
-    sample = docs.where(F.col("doc_id").isin(ids)).select(F.substring("text", 1, SAMPLE_CHARS).alias("text")).limit(SAMPLE_DOCS) if ids else None
+    ids = [r[0] for r in docs.select("doc_id").where("doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_docs).collect()]
+    sample = docs.where(F.col("doc_id").isin(ids)).select(F.substring("text", 1, sample_chars).alias("text")).limit(sample_docs) if ids else None
     content = train_dictionary(sorted(encoder(tokenizer_path, end_id).encode_all([r[0] for r in sample.collect()]))) if sample is not None else b""
     dict_hash = hashlib.sha256(content).hexdigest()
     spark.createDataFrame([(dict_hash, bytearray(content))], "dict_hash string, content binary").coalesce(1).write.parquet(f"{path}/dictionary")
@@ -194,7 +197,9 @@ def write_shards(docs: DataFrame, path: str, tokenizer_path: str, end_id: int =
         if ids:
             yield row()
 
-    ordered = docs.repartitionByRange(shuffle_width(spark), F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
+    # By the text's hash too, so that rows of one id, or of none, are not one task's.
+    order = F.col("doc_id").asc_nulls_first(), F.xxhash64("text").asc()
+    ordered = docs.repartitionByRange(shuffle_width(spark), *order).sortWithinPartitions(*order)
     ordered.mapInArrow(pack, BLOCKS).write.option("compression", "none").parquet(f"{path}/blocks")
 
 

@@ -480,6 +480,35 @@ def test_fingerprints(docs, rows, none):
     assert fingerprints.compared(some.limit(1)).count() == 1
 
 
+def plain_chunks(text):
+    """Distinct chunks of a text, byte by byte: the hash doubles and adds the byte's value."""
+    data, out, at, h = text.encode(), set(), 0, 0
+    for i, byte in enumerate(data):
+        h = (h * 2 + int(fingerprints._GEAR[byte])) % 2**64
+        size = i + 1 - at
+        zero = lambda mask, h=h: h & int(mask) == 0
+        hard = fingerprints.SMALLEST <= size <= fingerprints.NORMAL and zero(fingerprints.HARD) and zero(fingerprints.EASY)
+        easy = size >= fingerprints.NORMAL and zero(fingerprints.EASY)
+        if (hard or easy or size == fingerprints.LARGEST) and len(data) - at > fingerprints.SMALLEST:
+            out.add(data[at : i + 1])
+            at = i + 1
+    return out | ({data[at:]} if data[at:] else set())
+
+
+def test_fingerprints_byte_by_byte(docs, rows):
+    got = {r.doc_id: r for r in fingerprints.compared(docs.where("doc_id IS NOT NULL")).collect()}
+    texts = sorted(((d, t or "") for d, t in known(rows)), reverse=True)
+
+    def share(a, b):
+        return sum(len(x) for x in a & b) / sum(map(len, a)) if a and b else float(a == b)
+
+    for k, (d, t) in enumerate(texts):
+        after = texts[(k + 1) % len(texts)][1]
+        own, edited = plain_chunks(t), plain_chunks(t[: len(t) - len(t) // 2] + after[: len(t) // 2])
+        assert (len(got[d].fingerprint), len(got[d].edited_fingerprint)) == (12 * len(own), 12 * len(edited))
+        assert (got[d].near_edited, got[d].near_next) == pytest.approx((share(own, edited), share(own, plain_chunks(after))))
+
+
 def test_chunks_survive_an_insertion():
     rng = random.Random(4)
     t = "".join(rng.choice("abcdefgh ") for _ in range(5000)).encode()
@@ -490,15 +519,48 @@ def test_chunks_survive_an_insertion():
 def test_pipeline_keeps_columns(spark, docs, data):
     import corpus_pipeline
 
-    now = docs
+    now, tables = docs, [{r.doc_id: r.text for r in docs.collect()}]
     for name, stage in corpus_pipeline.STAGES[:-1]:
         now = common.stored(stage(spark, now, data), "s")
         assert now.columns == docs.columns, name
-    packed = corpus_pipeline.STAGES[-1][1](spark, now, data)
-    assert {r.doc_id for r in packed.select("doc_id").distinct().collect()} == {r.doc_id for r in now.collect()}
+        tables.append({r.doc_id: r.text for r in now.collect()})
+    packed = corpus_pipeline.STAGES[-1][1](spark, now, data).collect()
+    assert {r.doc_id for r in packed} == set(tables[-1])
+    # every stage against a plain version of it, on what its predecessor kept
+    clean, unique, passages, safe = tables[1:]
+    for d, t in clean.items():
+        lines = tables[0][d].split("\n")
+        assert len(WORD.findall(tables[0][d])) >= 20 and set(t.split("\n")) <= set(lines) and "menu |" not in t
+    top = linked({d: shingles(t, 5) for d, t in clean.items()})
+    assert unique == {d: t for d, t in clean.items() if top[d] == d}
+    digest = {d: x for d, _, _, x in removed(sorted(unique.items()))}
+    assert {d: hashlib.sha256(" ".join(WORD.findall(t)).encode()).hexdigest() for d, t in passages.items()} == digest
+    assert set(safe) == set(passages) and all(safe[d] == t or "[SECRET]" in safe[d] for d, t in passages.items())
+    encoder = token_output.ChunkEncoder(common.public_path(token_output.TOKENIZER))
+    assert {d: sum(r.length for r in packed if r.doc_id == d) for d in safe} == {d: len(encoder.encode(t)) // 4 for d, t in safe.items()}
     assert [n for n, _ in corpus_pipeline.STAGES] == ["quality rules", "near duplicates", "repeated passages", "secret scan", "best-fit packing"]
 
 
+def test_very_long_texts(spark, tmp_path):
+    """A text of three million characters, its copy, and a line of half a million without a space, through every query on documents."""
+    rng = random.Random(11)
+    words = ["".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 9))) for _ in range(5000)]
+    long = " ".join(rng.choice(words) for _ in range(480_000)) + "."
+    texts = [long, long, "x" * 500_000, "short text of a few words"]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {name: {r.doc_id: r for r in q(spark, str(tmp_path)).collect()} for name, q in queries.queries().items() if name not in ("op4_warc_archive", "op7_url_templates", "op8_best_fit_packing")}
+    assert all(set(x) == {0, 1, 2, 3} for x in got.values())
+    assert [r.n_removed for _, r in sorted(got["op2_substring_dedup"].items())] == [0, 480_000, 0, 0]
+    assert [r.component_id for _, r in sorted(got["op9_near_dedup"].items())] == [0, 0, 2, 3]
+    assert got["op5_quality_rules"][0].n_words == 480_000 and got["op10_fingerprints"][2].n_chars == 500_000
+    path = common.public_path(token_output.TOKENIZER)
+    assert [(r.doc_id, r.start, r.n_tokens, r.ids_crc32) for _, r in sorted(got["op1_token_shards"].items())] == token_output.brute_force(list(enumerate(texts)), path)
+    model = common.public_path(sentencepiece_codec.MODEL)
+    assert {tuple(r) for r in got["op6_sentencepiece"].values()} == set(sentencepiece_codec.brute_force(list(enumerate(texts)), model))
+    packed = queries.queries()["op8_best_fit_packing"](spark, str(tmp_path)).collect()
+    assert sum(r.length for r in packed) == sum(r.n_tokens for r in got["op1_token_shards"].values())
+
+
 @pytest.mark.parametrize("name", sorted(queries.oracle_sql()))
 def test_equals_duckdb(name, spark, data, same):
     same(queries.queries()[name](spark, data), queries.oracle_sql()[name])
