@@ -29,7 +29,7 @@ BOILERPLATE = (
 _BLANK = "[ \\t\\n\\x0b\\f\\r]"
 _ENDS = "[.!?:;…。！？][\"')\\]»”’]*$"
 _ANY_POINT = "[.,;:!?…。！？]"
-_THREE_WORDS = "[^ \\t\\r\\x0b\\f]+[ \\t\\r\\x0b\\f]+[^ \\t\\r\\x0b\\f]+[ \\t\\r\\x0b\\f]+[^ \\t\\r\\x0b\\f]"
+_THREE_WORDS = "^[^ \\t\\r\\x0b\\f]+[ \\t\\r\\x0b\\f]+[^ \\t\\r\\x0b\\f]+[ \\t\\r\\x0b\\f]+[^ \\t\\r\\x0b\\f]"
 
 
 def _dropped(column: Column | str, characters: str) -> Column:

@@ -46,8 +46,8 @@ ENCODINGS = (
 #: Looked at after those above, the last for every run that is left. Ordinary words are nearer to these, so the shares of kinds of symbols
 #: must fit the alphabet (``KINDS``, ``FIT``), else the run is of no encoding. Dashes of hex groups are left out.
 WIDER = (
-    ("hex", "^(?=.*[0-9])(?=.*[a-f])[0-9a-f]+(-[0-9a-f]+)+$", "0123456789abcdef", 0.25),
-    ("hex", "^(?=.*[0-9])(?=.*[A-F])[0-9A-F]+(-[0-9A-F]+)+$", "0123456789ABCDEF", 0.25),
+    ("hex", "^(?=.*[0-9])(?=.*[a-f])(?=.*-)[0-9a-f][0-9a-f-]*$", "0123456789abcdef", 0.25),
+    ("hex", "^(?=.*[0-9])(?=.*[A-F])(?=.*-)[0-9A-F][0-9A-F-]*$", "0123456789ABCDEF", 0.25),
     ("base32", "^(?=.*[2-7])(?=.*[a-z])[a-z2-7]+$", "abcdefghijklmnopqrstuvwxyz234567", 0.35),
     ("base36", "^(?=.*[0-9])(?=.*[a-z])[a-z0-9]+$", "abcdefghijklmnopqrstuvwxyz0123456789", 0.37),
     ("base36", "^(?=.*[0-9])(?=.*[A-Z])[A-Z0-9]+$", "ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", 0.37),
