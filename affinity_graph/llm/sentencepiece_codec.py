@@ -3,8 +3,10 @@
 Where no piece of the vocabulary has a whitespace marker after another character, segmentation never crosses from a
 word into the next marker run, so a text's ids are those of its marked words end to end:
 
-1. Documents are taken in blocks of about ``BLOCK_BYTES`` of text. A block numbers its distinct marked words; a document becomes
-   the numbers of its words in their places. Blocks are written to the shared folder (numbers packed, words by slot).
+1. Documents are taken in blocks of about ``BLOCK_BYTES`` of text, named by a digest of their contents. A block numbers its
+   distinct marked words; a document becomes the numbers of its words in their places. Documents are read twice, once for
+   the words and once for the places, which costs less than writing either; what is not a plain scan of files is
+   written first, and a block whose words were not found in the first reading is an error.
 2. The words of all blocks meet in slots by their hash. There each distinct word of the corpus is segmented once, and its ids go
    back to every block that has it. A slot's table holds that slot's words only; there are ``SLOTS`` slots a shuffle partition.
 3. Each block meets its ids and joins them back by place, document by document.
@@ -22,7 +24,6 @@ from __future__ import annotations
 
 import hashlib
 import re
-import uuid
 import zlib
 from array import array
 from collections.abc import Callable, Iterator
@@ -34,7 +35,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import load, public_path, release, shuffle_width, stored, text_pieces
+from .common import load, pack_ints, public_path, release, shuffle_width, stored, text_pieces, unpack_ints
 
 MODEL = "piece_bpe_32k.model"
 MARK = "▁"
@@ -57,6 +58,15 @@ class MarkedWordTable:
         self.separable = same and not any(MARK in p.lstrip(MARK) for p in pieces)
         self.clear()
 
+    _of: dict[str, MarkedWordTable] = {}
+
+    @classmethod
+    def of(cls, path: str) -> MarkedWordTable:
+        """One table a Python worker, for what needs no ids."""
+        if path not in cls._of:
+            cls._of[path] = cls(path)
+        return cls._of[path]
+
     def clear(self) -> None:
         lone = [self.model.piece_to_id(MARK)]
         self.ids: dict[str, list[int]] = {"": lone}
@@ -111,7 +121,7 @@ def _unpack(blob: bytes) -> np.ndarray:
     return np.ascontiguousarray(raw.reshape(4, -1).T).reshape(-1).view("<i4").astype(np.int64)
 
 
-_BLOCKS = "block long, slot int, doc_ids array<long>, counts binary, places binary, numbers binary, words binary"
+_WORDS = "block long, slot int, numbers binary, words binary"
 _IDS = "block long, doc_ids array<long>, counts binary, places binary, numbers binary, sizes binary, ids binary"
 
 
@@ -121,28 +131,52 @@ def _rows(ddl: str, rows: list[dict]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([r.get(n) for r in rows], types[t]) for n, t in fields], [n for n, _ in fields])
 
 
-def _blocks(docs: DataFrame, model_path: str, slots: int) -> DataFrame:
-    """Documents as numbers of words (slot -1), and each block's words by slot."""
+def _blocks(docs: DataFrame, run: Callable, schema: str) -> DataFrame:
+    """``run`` over (block, doc_ids, texts) of blocks of whole documents."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = MarkedWordTable(model_path)
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for piece in text_pieces(batches, limit=BLOCK_BYTES):
-            block, numbers, counts, places = uuid.uuid4().int >> 65, _Numbering(), [], array("i")
-            for text in piece.column("text").to_pylist():
-                before = len(places)
-                if text:
-                    places.extend(map(numbers.__getitem__, table.words(text)))
-                counts.append(len(places) - before)
-            yield _rows(_BLOCKS, [{"block": block, "slot": -1, "doc_ids": piece.column("doc_id").to_pylist(), "counts": _pack(counts), "places": _pack(np.frombuffer(places, np.int32) if places else [])}])
-            words = list(numbers)
-            slot = np.fromiter(map(zlib.crc32, map(str.encode, words)), np.int64, len(words)) % slots
-            order = np.argsort(slot, kind="stable")
-            for part in np.split(order, np.flatnonzero(np.diff(slot[order])) + 1):
-                if len(part):
-                    said = MARK.join(map(words.__getitem__, part.tolist())).encode()
-                    yield _rows(_BLOCKS, [{"block": block, "slot": int(slot[part[0]]), "numbers": _pack(part), "words": zstandard.ZstdCompressor(level=1).compress(said)}])
-
-    return docs.select("doc_id", "text").mapInArrow(run, _BLOCKS)
+            doc_ids, texts = piece.column("doc_id").to_pylist(), piece.column("text").to_pylist()
+            digest = hashlib.blake2b(repr(doc_ids).encode(), digest_size=8)
+            for text in texts:
+                digest.update((text or "").encode() + b"\xff")
+            yield from run(int.from_bytes(digest.digest(), "little", signed=True), doc_ids, texts)
+
+    return docs.select("doc_id", "text").mapInArrow(each, schema)
+
+
+def _words(docs: DataFrame, model_path: str, slots: int) -> DataFrame:
+    """Each block's distinct words by slot; a word's number is its place among them in order of first sight."""
+
+    def run(block: int, doc_ids: list, texts: list) -> Iterator[pa.RecordBatch]:
+        table, seen = MarkedWordTable.of(model_path), {}
+        for text in texts:
+            if text:
+                seen.update(dict.fromkeys(table.words(text)))
+        words = list(seen)
+        slot = np.fromiter(map(zlib.crc32, map(str.encode, words)), np.int64, len(words)) % slots
+        order = np.argsort(slot, kind="stable")
+        for part in np.split(order, np.flatnonzero(np.diff(slot[order])) + 1):
+            if len(part):
+                said = MARK.join(map(words.__getitem__, part.tolist())).encode()
+                yield _rows(_WORDS, [{"block": block, "slot": int(slot[part[0]]), "numbers": pack_ints(part), "words": zstandard.ZstdCompressor(level=3).compress(said)}])
+
+    return _blocks(docs, run, _WORDS)
+
+
+def _places(docs: DataFrame, model_path: str) -> DataFrame:
+    """Each block's documents as numbers of words, in the columns of ``_IDS``."""
+
+    def run(block: int, doc_ids: list, texts: list) -> Iterator[pa.RecordBatch]:
+        table, numbers, counts, places = MarkedWordTable.of(model_path), _Numbering(), [], array("i")
+        for text in texts:
+            before = len(places)
+            if text:
+                places.extend(map(numbers.__getitem__, table.words(text)))
+            counts.append(len(places) - before)
+        yield _rows(_IDS, [{"block": block, "doc_ids": doc_ids, "counts": _pack(counts), "places": _pack(np.frombuffer(places, np.int32) if places else [])}])
+
+    return _blocks(docs, run, _IDS)
 
 
 def _segmented(words: DataFrame, model_path: str) -> DataFrame:
@@ -166,21 +200,26 @@ def _segmented(words: DataFrame, model_path: str) -> DataFrame:
 
 def _joined(rows: Iterator[dict], end: list[int]) -> Iterator[tuple[int | None, np.ndarray, str]]:
     """(doc_id, ids with the end id, the same as decimals) of the documents of blocks; a block's ids come before its documents."""
-    parts: list[tuple] = []
-    said_end = list(map(str, end))
+    said_end, now, parts, table = list(map(str, end)), None, [], None
     for r in rows:
+        if r["block"] != now:
+            now, parts, table = r["block"], [], None
         if r["ids"] is not None:
-            parts.append(tuple(_unpack(r[c]) for c in ("numbers", "sizes", "ids")))
+            parts.append((unpack_ints(r["numbers"]), _unpack(r["sizes"]), _unpack(r["ids"])))
             continue
-        numbers, sizes, ids = (np.concatenate(x) if parts else np.zeros(0, np.int64) for x in (zip(*parts, strict=True) if parts else ((), (), ())))
-        parts = []
-        begins = np.cumsum(sizes) - sizes
-        digits, texts = [""] * len(numbers), list(map(str, ids.tolist()))
-        for number, a, n in zip(numbers.tolist(), begins.tolist(), sizes.tolist(), strict=True):
-            digits[number] = texts[a] if n == 1 else " ".join(texts[a : a + n])
-        size_of, begin_of = np.zeros(len(numbers), np.int64), np.zeros(len(numbers), np.int64)
-        size_of[numbers], begin_of[numbers] = sizes, begins
+        if table is None:  # equal blocks share a digest and what was found for it
+            numbers, sizes, ids = (np.concatenate(x) if parts else np.zeros(0, np.int64) for x in (zip(*parts, strict=True) if parts else ((), (), ())))
+            begins = np.cumsum(sizes) - sizes
+            many = int(numbers.max()) + 1 if len(numbers) else 0
+            digits, texts = [""] * many, list(map(str, ids.tolist()))
+            for number, a, n in zip(numbers.tolist(), begins.tolist(), sizes.tolist(), strict=True):
+                digits[number] = texts[a] if n == 1 else " ".join(texts[a : a + n])
+            size_of, begin_of = np.zeros(many, np.int64), np.zeros(many, np.int64)
+            size_of[numbers], begin_of[numbers] = sizes, begins
+            table, texts = True, []
         places, upto = _unpack(r["places"]), 0
+        if len(places) and (places.max() >= many or not size_of[places].all()):
+            raise ValueError("documents changed between two readings: write them first")
         for doc_id, count in zip(r["doc_ids"], _unpack(r["counts"]).tolist(), strict=True):
             own = places[upto : upto + count]
             upto += count
@@ -189,8 +228,8 @@ def _joined(rows: Iterator[dict], end: list[int]) -> Iterator[tuple[int | None,
             yield doc_id, np.concatenate([ids[at], np.array(end, np.int64)]), " ".join([*map(digits.__getitem__, own.tolist()), *said_end])
 
 
-def _each(docs: DataFrame, model_path: str, finish: Callable, schema: str) -> DataFrame:
-    """``finish`` over (doc_id, ids, decimals) of every document, in lists of about a thousand."""
+def _each(docs: DataFrame, model_path: str, finish: Callable, schema: str, scan: bool) -> DataFrame:
+    """``finish`` over (doc_id, ids, decimals) of every document, in lists of about a thousand. ``scan``: read twice, it is the same."""
     if not MarkedWordTable(model_path).separable:
 
         def whole(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -216,21 +255,19 @@ def _each(docs: DataFrame, model_path: str, finish: Callable, schema: str) -> Da
         release()
 
     width = shuffle_width(docs.sparkSession)
-    blocks = stored(_blocks(docs, model_path, SLOTS * width), "blocks")
-    words = blocks.where("slot >= 0").repartition(width, "slot").sortWithinPartitions("slot").select("slot", "block", "numbers", "words")
-    ids = _segmented(words, model_path)
-    texts = blocks.where("slot < 0").select("block", "doc_ids", "counts", "places", *[F.lit(None).cast("binary").alias(c) for c in ("numbers", "sizes", "ids")])
-    both = ids.unionByName(texts).withColumn("last", F.col("ids").isNull())
+    docs = docs.select("doc_id", "text") if scan else stored(docs.select("doc_id", "text"), "texts")
+    words = _words(docs, model_path, SLOTS * width).repartition(width, "slot").sortWithinPartitions("slot")
+    both = _segmented(words, model_path).unionByName(_places(docs, model_path)).withColumn("last", F.col("ids").isNull())
     return both.repartition(width, "block").sortWithinPartitions("block", "last").mapInArrow(run, schema)
 
 
-def encode(docs: DataFrame, model_path: str) -> DataFrame:
-    """(doc_id, ids array<int>) of whole texts."""
+def encode(docs: DataFrame, model_path: str, scan: bool = False) -> DataFrame:
+    """(doc_id, ids array<int>) of whole texts. ``scan``: ``docs`` is a plain scan of files, which need not be written first."""
 
     def finish(table: MarkedWordTable, items: list) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array([d for d, _, _ in items], pa.int64()), pa.array([ids.astype(np.int32) for _, ids, _ in items], pa.list_(pa.int32()))], ["doc_id", "ids"])
 
-    return _each(docs, model_path, finish, "doc_id long, ids array<int>")
+    return _each(docs, model_path, finish, "doc_id long, ids array<int>", scan)
 
 
 def decode(ids: DataFrame, model_path: str) -> DataFrame:
@@ -247,18 +284,18 @@ def decode(ids: DataFrame, model_path: str) -> DataFrame:
     return ids.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
 
 
-def round_trip(docs: DataFrame, model_path: str) -> DataFrame:
-    """Encode and decode each text and return digests of both, so that ids never leave their task."""
+def round_trip(docs: DataFrame, model_path: str, scan: bool = False) -> DataFrame:
+    """Encode and decode each text and return digests of both, so that ids never leave their task. ``scan`` as for ``encode``."""
 
     def finish(table: MarkedWordTable, items: list) -> pa.RecordBatch:
         columns = zip(*((d, len(ids), hashlib.sha256(said.encode()).hexdigest(), hashlib.sha256(table.model.decode(ids.tolist()).encode()).hexdigest()) for d, ids, said in items), strict=True)
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True)], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return _each(docs, model_path, finish, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return _each(docs, model_path, finish, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string", scan)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return round_trip(load(spark, sf_dir, "documents"), public_path(MODEL))
+    return round_trip(load(spark, sf_dir, "documents"), public_path(MODEL), scan=True)
 
 
 def brute_force(rows: list[tuple[int, str | None]], model_path: str) -> list[tuple[int, int, str, str]]:
