@@ -35,7 +35,7 @@ def by_degree():
     return [(1, 1, 0, 0, 0.0, 0.0), (MANY - 1, MANY - 1, (MANY - 1) * c, (MANY - 1) * c, 1.0, 1.0), (MANY, 1, c, comb(MANY, 2), share, share)]
 
 
-@pytest.mark.parametrize("g", ["cust_day"])
+@pytest.mark.parametrize("g", ["cust_day", "user_props"])
 def test_clustering_of_a_crowd(g, spark, crowd):
     assert sorted(ask(f"clustering_by_degree_{g}", spark, crowd)) == by_degree()
 
