@@ -68,3 +68,10 @@ def test_families_equal_brute_force(spark):
     edges = spark.createDataFrame(sorted(want), "lo long, hi long")
     assert sorted(families.degree_hist(fam).collect()) == sorted(profile.degree_hist(profile.degrees(edges)).collect())
     assert [tuple(x)[:5] for x in sorted(families.clustering_by_degree(fam).collect())] == [tuple(x)[:5] for x in sorted(profile.clustering_by_degree(edges).collect())]
+
+
+@pytest.mark.parametrize("g", ["cust_day", "user_props"])
+def test_summary_of_a_crowd(g, spark, crowd):
+    edges, nodes = comb(MANY, 2) + 1, MANY + 1
+    wedges = (MANY - 1) * comb(MANY - 1, 2) + comb(MANY, 2)
+    assert ask(f"summary_{g}", spark, crowd) == [(g, "original", nodes, edges, MANY, round(2 * edges / nodes, 6), wedges, comb(MANY, 3), round(3 * comb(MANY, 3) / wedges, 6))]
