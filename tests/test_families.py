@@ -75,3 +75,10 @@ def test_summary_of_a_crowd(g, spark, crowd):
     edges, nodes = comb(MANY, 2) + 1, MANY + 1
     wedges = (MANY - 1) * comb(MANY - 1, 2) + comb(MANY, 2)
     assert ask(f"summary_{g}", spark, crowd) == [(g, "original", nodes, edges, MANY, round(2 * edges / nodes, 6), wedges, comb(MANY, 3), round(3 * comb(MANY, 3) / wedges, 6))]
+
+
+@pytest.mark.parametrize("g", ["cust_day", "user_props"])
+def test_log_bins_of_a_crowd(g, spark, crowd):
+    first, *rest = sorted(ask(f"log_binned_{g}", spark, crowd))
+    assert first[3:] == (1, 0.0) and [r[3] for r in rest] == [MANY]
+    assert rest[0][4] == pytest.approx((1 + comb(MANY - 1, 2) / comb(MANY, 2)) / 2, abs=1e-6)
