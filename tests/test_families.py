@@ -82,3 +82,9 @@ def test_log_bins_of_a_crowd(g, spark, crowd):
     first, *rest = sorted(ask(f"log_binned_{g}", spark, crowd))
     assert first[3:] == (1, 0.0) and [r[3] for r in rest] == [MANY]
     assert rest[0][4] == pytest.approx((1 + comb(MANY - 1, 2) / comb(MANY, 2)) / 2, abs=1e-6)
+
+
+@pytest.mark.parametrize("g", ["cust_day", "user_props"])
+def test_gcc_of_a_crowd(g, spark, crowd):
+    wedges = (MANY - 1) * comb(MANY - 1, 2) + comb(MANY, 2)
+    assert ask(f"profile_gcc_{g}", spark, crowd) == [(g, round(3 * comb(MANY, 3) / wedges, 6))]
