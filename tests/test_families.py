@@ -88,3 +88,8 @@ def test_log_bins_of_a_crowd(g, spark, crowd):
 def test_gcc_of_a_crowd(g, spark, crowd):
     wedges = (MANY - 1) * comb(MANY - 1, 2) + comb(MANY, 2)
     assert ask(f"profile_gcc_{g}", spark, crowd) == [(g, round(3 * comb(MANY, 3) / wedges, 6))]
+
+
+@pytest.mark.parametrize("g", ["cust_day", "user_props"])
+def test_degrees_of_a_crowd(g, spark, crowd):
+    assert sorted(ask(f"degree_hist_{g}", spark, crowd)) == [(1, 1), (MANY - 1, MANY - 1), (MANY, 1)]
