@@ -93,3 +93,7 @@ def test_gcc_of_a_crowd(g, spark, crowd):
 @pytest.mark.parametrize("g", ["cust_day", "user_props"])
 def test_degrees_of_a_crowd(g, spark, crowd):
     assert sorted(ask(f"degree_hist_{g}", spark, crowd)) == [(1, 1), (MANY - 1, MANY - 1), (MANY, 1)]
+
+
+def test_isolated_beside_a_crowd(spark, crowd):
+    assert sorted(ask("isolated_customers", spark, crowd)) == [(MANY + 1, 1), (MANY + 2, 0)]
