@@ -97,3 +97,8 @@ def test_degrees_of_a_crowd(g, spark, crowd):
 
 def test_isolated_beside_a_crowd(spark, crowd):
     assert sorted(ask("isolated_customers", spark, crowd)) == [(MANY + 1, 1), (MANY + 2, 0)]
+
+
+def test_nations_of_a_crowd(spark, crowd):
+    half = MANY // 2
+    assert sorted(ask("nation_edges", spark, crowd)) == [(0, 0, comb(half, 2) + 1), (0, 1, half * half), (1, 1, comb(half, 2))]
