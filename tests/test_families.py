@@ -102,3 +102,15 @@ def test_isolated_beside_a_crowd(spark, crowd):
 def test_nations_of_a_crowd(spark, crowd):
     half = MANY // 2
     assert sorted(ask("nation_edges", spark, crowd)) == [(0, 0, comb(half, 2) + 1), (0, 1, half * half), (1, 1, comb(half, 2))]
+
+
+def test_pairs_need_no_exchange_of_pairs(spark, crowd):
+    assert catalog.QUERIES["edges_cust_day"](spark, crowd).where("hi >= 10000 AND lo < 5").count() == 5 * (MANY - 10_000) + 1
+
+
+def test_sample_of_pairs_needs_no_exchange_of_pairs(spark, crowd):
+    from affinity_graph.sources import graphs
+
+    plan = catalog.QUERIES["hashed_sample"](spark, crowd)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate explode" in plan and "Aggregate" not in plan
+    assert graphs.cust_day(spark, crowd).where("hi = 20000").collect() == [(0, MANY)]
