@@ -114,3 +114,11 @@ def test_sample_of_pairs_needs_no_exchange_of_pairs(spark, crowd):
     plan = catalog.QUERIES["hashed_sample"](spark, crowd)._jdf.queryExecution().optimizedPlan().toString()
     assert "Generate explode" in plan and "Aggregate" not in plan
     assert graphs.cust_day(spark, crowd).where("hi = 20000").collect() == [(0, MANY)]
+
+
+def test_given_edges_in_a_crowd(spark, crowd):
+    from affinity_graph.sources import graphs
+
+    given = spark.createDataFrame([(0, MANY), (5, MANY - 1), (5, MANY), (0, MANY + 1)], "lo long, hi long")
+    got = families.among(given, graphs.user_props_members(spark, crowd), "event_type", "props", "hour")
+    assert sorted(map(tuple, got.collect())) == [(0, MANY), (5, MANY - 1)]
