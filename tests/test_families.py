@@ -122,3 +122,15 @@ def test_given_edges_in_a_crowd(spark, crowd):
     given = spark.createDataFrame([(0, MANY), (5, MANY - 1), (5, MANY), (0, MANY + 1)], "lo long, hi long")
     got = families.among(given, graphs.user_props_members(spark, crowd), "event_type", "props", "hour")
     assert sorted(map(tuple, got.collect())) == [(0, MANY), (5, MANY - 1)]
+
+
+@pytest.mark.parametrize("name", ["coupon_weight", "coupon_harmonic", "coupon_trials", "coupon_trials_fixed", "erdos_renyi_pairs", "erdos_renyi_skip", "fit_grid_dgln", "fit_grid_dpl", "ideal_check", "dgln_study", "draws_per_edge", "blocks_fixture73"])
+def test_moved_queries_read_tables(name, spark, data, same, monkeypatch):
+    read = []
+    from affinity_graph.sources import graphs
+
+    for module in (catalog, graphs):
+        monkeypatch.setattr(module, "table", lambda s, d, t, real=module.table: read.append(t) or real(s, d, t))
+    df = catalog.QUERIES[name](spark, data)
+    assert read
+    same(df, catalog.ORACLES[name])
