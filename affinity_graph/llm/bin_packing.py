@@ -96,7 +96,7 @@ def cut_and_pack(docs: DataFrame, tokenizer_path: str, capacity: int, slack: int
         encode, numbers, items = encoder(tokenizer_path, end_id).encode_all, _numbers(0, TaskContext.get().partitionId()), []
         for piece in text_pieces(batches, limit=1 << 20):
             full = []
-            for doc_id, body in zip(piece.column("doc_id").to_pylist(), encode(piece.column("text").to_pylist()), strict=True):
+            for doc_id, body in zip(piece.column("doc_id").to_pylist(), encode(piece.column("text")), strict=True):
                 n = len(body) // 4
                 for k, start in enumerate(range(0, n, capacity)):
                     length = min(capacity, n - start)
