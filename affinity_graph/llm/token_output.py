@@ -121,7 +121,7 @@ class ChunkEncoder:
     when the young one is full the old one is dropped.
     """
 
-    def __init__(self, path: str, end_id: int = END_ID, limit: int = 1_000_000):
+    def __init__(self, path: str, end_id: int = END_ID, limit: int = 1 << 19):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
